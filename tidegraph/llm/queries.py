@@ -2,26 +2,64 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from tidegraph.llm import phrases, simhash
+from tidegraph.llm import decontam, htmltext, licenses, mixing, phrases, quality, rollup, simhash, telephony, toxicity
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _table(spark, sf_dir, "documents")
+    scored = toxicity.score(docs, toxicity.fit(docs, _table(spark, sf_dir, "labels")))
+    return scored.select("doc_id", "held_out", "score", "predicted", "n_words", "n_segments")
+
+
 def op2_repeated_phrases(spark: SparkSession, sf_dir: str) -> DataFrame:
     return phrases.remove_repeats(_table(spark, sf_dir, "documents"))
 
 
+def op3_token_rollup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All documents as one inserted batch; committing it a second time changes nothing."""
+    store = rollup.RollupStore(spark)
+    inserted = _table(spark, sf_dir, "documents").select("source", "lang", "text", F.lit(1).alias("sign"))
+    for _ in range(2):
+        store.commit("initial", inserted)
+    return store.totals()
+
+
+def op4_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontam.matches(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "benchmark"))
+
+
+def op5_telephony(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return telephony.store_texts(_table(spark, sf_dir, "documents"))
+
+
+def op6_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    mixed = mixing.scheduled(_table(spark, sf_dir, "documents").select("doc_id", "source"))
+    return mixed.select("doc_id", "source", "block", "slot", "row_in_block")
+
+
 def op7_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.near_components(_table(spark, sf_dir, "documents"))
 
 
-QUERIES = {
-    "op2_repeated_phrases": op2_repeated_phrases,
-    "op7_simhash": op7_simhash,
-}
+def op8_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return htmltext.extract_pages(_table(spark, sf_dir, "pages"))
+
+
+def op9_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return licenses.scan(_table(spark, sf_dir, "documents"))
+
+
+def op10_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _table(spark, sf_dir, "documents")
+    return quality.score(docs, quality.fit(docs, _table(spark, sf_dir, "labels")))
+
+
+QUERIES = {f.__name__: f for f in (op1_toxicity, op2_repeated_phrases, op3_token_rollup, op4_decontamination, op5_telephony, op6_mixing, op7_simhash, op8_html_text, op9_licenses, op10_quality)}
 
 ORACLES: dict[str, str] = {}
