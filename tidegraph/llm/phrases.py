@@ -1,10 +1,11 @@
 """Substring dedup by repeated-phrase automata.
 
 Recurring passages are confirmed first: every window of words is represented by the rarest-hashed short gram in it (its
-anchor), only windows whose anchor recurs in another text are hashed whole, and those seen in two texts make up the
-passages, each kept where it first occurs. Passages are cut into tiles, compiled into Aho-Corasick automata by shard, and
-the texts that hold anchors of a shard's passages stream through its automaton. A hit is extended word by word, so what
-is removed has been compared as text, not by hash.
+anchor), and the words under the windows of one anchor are its region. Of regions whose anchor recurs in another text,
+equal ones become one, the windows in them are hashed whole, and those seen in two texts make up the passages, each kept
+where it first occurs. Passages are cut into tiles and compiled into Aho-Corasick automata sharded by anchor, and the
+regions stream through the automaton of their shard. A hit is extended word by word, so what is removed has been compared
+as text, not by hash.
 """
 
 from __future__ import annotations
@@ -22,9 +23,9 @@ from pyspark.sql import DataFrame, functions as F
 from tidegraph.runtime import materialize, ship
 
 GRAM = 12
-#: Bytes of passages compiled into one automaton, and documents that stream through one copy of it.
+#: Bytes of passages compiled into one automaton, and regions that stream through one copy of it.
 SHARD_BYTES = 1_500_000
-STREAM_DOCS = 4_000
+STREAM_REGIONS = 20_000
 
 _WORD = re.compile(rb"[^\x20\x09-\x0D]+")
 _ODD = (np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F), np.uint64(0x165667B19E3779F9))
@@ -103,7 +104,7 @@ def _tiles(words: list[str], tile: int):
 
 
 class Automaton:
-    """Tiles of passages compiled for one shard; ``find`` gives the spans of a text that a passage of an earlier text covers."""
+    """Tiles of passages compiled for one shard; ``find`` gives the stretches of a text that its passages hold."""
 
     def __init__(self, window: int):
         self.window, self.tile = window, window // 2
@@ -126,11 +127,11 @@ class Automaton:
         if len(self.trie):
             self.trie.make_automaton()
 
-    def find(self, doc: int, text: str) -> list[tuple[int, int]]:
-        """Word spans [start, end) of ``text`` (words joined by one space), each at least a window long, merged."""
+    def find(self, text: str) -> list[tuple[int, int, int]]:
+        """(first word, end, source) of each stretch of ``text`` (words joined by one space), a window or longer, that a passage holds."""
         if not len(self.trie):
             return []
-        words, starts, spans, reach = text.split(" "), None, [], {}
+        words, starts, found, reach = text.split(" "), None, [], {}
         for end, held in self.trie.iter(f" {text} "):
             if starts is None:
                 lengths = np.fromiter(map(len, words), dtype=np.int64, count=len(words)) + 1
@@ -139,8 +140,6 @@ class Automaton:
             first = last - self.tile + 1
             for passage, offset in held:
                 source, own = self.passages[passage]
-                if source >= doc:
-                    continue
                 shift = first - offset
                 if reach.get((passage, shift), -1) > first:
                     continue
@@ -151,8 +150,8 @@ class Automaton:
                     b += 1
                 reach[passage, shift] = b
                 if b - a >= self.window:
-                    spans.append((a, b))
-        return merged(spans)
+                    found.append((a, b, source))
+        return found
 
 
 def merged(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
@@ -165,13 +164,14 @@ def merged(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
     return [(a, b) for a, b in out]
 
 
-def repeated_spans(docs: DataFrame, window: int = 50, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame]:
+def repeated_spans(docs: DataFrame, window: int = 50, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame, DataFrame]:
     """The word spans of each text that repeat an earlier one.
 
-    Returns ``(whole, spans)``. whole: ``doc_id, n_words, whole_sha256, copy`` of every document with an id, where
+    Returns ``(whole, spans, suspects)``. whole: ``doc_id, n_words, whole_sha256, copy`` of every document with an id, where
     ``copy`` tells that all its words stand in an earlier document in the same order (such a document of a window or more
-    has all its words covered). spans: ``doc_id, starts, ends`` of other documents with covered words, word positions
-    from 0, ends exclusive, merged and in order.
+    has all its words covered). spans: ``doc_id, edges`` of other documents with covered words, where
+    edges are first words and ends (exclusive) in turn, from 0, not merged. suspects: ``doc_id, words`` of the documents spans can be about, the words joined
+    by one space.
 
     A word is covered if it stands in a window of ``window`` words that also starts in a document with a smaller id.
     Null and empty texts have no words; texts shorter than a window are never covered. Ids should be unique.
@@ -216,58 +216,91 @@ def repeated_spans(docs: DataFrame, window: int = 50, id_col: str = "doc_id", te
     runs_type = "array<struct<anchor:long,first:long,next:long>>"
     suspects = materialize(texts.join(per_doc, "doc_id").mapInArrow(normalise, f"doc_id long, words string, runs {runs_type}"), "suspects")
 
-    def hash_windows(batches):
-        for batch in batches:
-            for doc, raw, runs in zip(batch.column(0).to_pylist(), _raw(batch.column(1)), batch.column(2).to_pylist()):
-                h = word_hashes(raw.split(b" "))
-                place = np.concatenate([np.arange(r["first"], r["next"]) for r in runs])
-                anchor = np.repeat(np.array([r["anchor"] for r in runs], dtype=np.int64), [r["next"] - r["first"] for r in runs])
-                one, two = run_hashes(h, window, 1)[place], run_hashes(h, window, 2)[place]
-                yield pa.RecordBatch.from_arrays(
-                    [_longs(one), _longs(two), pa.array(np.full(len(place), doc, dtype=np.int64)), _longs(place), pa.array(anchor)], ["h1", "h2", "doc_id", "place", "anchor"]
-                )
-
-    windows = suspects.df.mapInArrow(hash_windows, "h1 long, h2 long, doc_id long, place long, anchor long")
-    confirmed = materialize(
-        windows.groupBy("h1", "h2").agg(F.min(F.struct("doc_id", "place", "anchor")).alias("w"), F.max("doc_id").alias("latest")).where("w.doc_id < latest").select("w.*"),
-        "confirmed",
+    def cut_regions(with_text: bool):
+        def run(batches):
+            for batch in batches:
+                docs_, firsts, anchor, keys, out = [], [], [], [], []
+                for doc, text, runs in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2).to_pylist()):
+                    words = text.split(" ")
+                    for r in runs:
+                        region = " ".join(words[r["first"] : r["next"] + window - 1])
+                        docs_.append(doc)
+                        firsts.append(r["first"])
+                        anchor.append(r["anchor"])
+                        if with_text:
+                            out.append(region)
+                        else:
+                            keys.append(xxhash.xxh3_128_digest(region.encode()))
+                columns = [pa.array(docs_, pa.int64()), pa.array(firsts, pa.int64()), pa.array(anchor, pa.int64())]
+                yield pa.RecordBatch.from_arrays([*columns, pa.array(out, pa.string()) if with_text else pa.array(keys, pa.binary())], ["doc_id", "first", "anchor", "region"])
+
+        return run
+
+    places = "doc_id long, first long, anchor long"
+    regions = materialize(
+        suspects.df.mapInArrow(cut_regions(True), f"{places}, region string")
+        .groupBy("region", "anchor")
+        .agg(F.min(F.struct("doc_id", "first")).alias("at"), F.max("doc_id").alias("latest"))
+        .select("at.*", "latest", "anchor", "region"),
+        "regions",
     )
-    sizes = confirmed.df.agg(F.count(F.lit(1)).alias("n"), F.count_distinct("doc_id").alias("d")).first()
-    shards = max(1, -(-(sizes["n"] * 8 + sizes["d"] * window * 8) // SHARD_BYTES))
-    shard = F.pmod(F.xxhash64("doc_id"), F.lit(shards)).cast("int")
 
-    def cut(batches):
+    def hash_windows(batches):
+        for batch in batches:
+            for doc, first, latest, region in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2).to_pylist(), _raw(batch.column(3))):
+                h = word_hashes(region.split(b" "))
+                one, two = run_hashes(h, window, 1), run_hashes(h, window, 2)
+                n = len(one)
+                fill = lambda x: pa.array(np.full(n, x, dtype=np.int64))
+                yield pa.RecordBatch.from_arrays([_longs(one), _longs(two), fill(doc), fill(latest), fill(first), pa.array(np.arange(n, dtype=np.int32))], ["h1", "h2", "doc_id", "latest", "first", "offset"])
+
+    def in_batches(run):
+        """Joins the small batches that ``run`` yields."""
+
+        def joined(batches):
+            held, rows = [], 0
+            for batch in run(batches):
+                held.append(batch)
+                rows += batch.num_rows
+                if rows >= 20_000:
+                    yield from pa.Table.from_batches(held).combine_chunks().to_batches()
+                    held, rows = [], 0
+            if held:
+                yield from pa.Table.from_batches(held).combine_chunks().to_batches()
+
+        return joined
+
+    windows = regions.df.select("doc_id", "first", "latest", "region").mapInArrow(in_batches(hash_windows), "h1 long, h2 long, doc_id long, latest long, first long, offset int")
+    recur = windows.groupBy("h1", "h2").agg(F.min(F.struct("doc_id", "first", "offset")).alias("w"), F.max("latest").alias("latest")).where("w.doc_id < latest")
+    confirmed = materialize(recur.groupBy("w.doc_id", "w.first").agg(F.collect_list("w.offset").alias("offsets")), "confirmed")
+    sizes = confirmed.df.agg(F.sum(F.size("offsets")).alias("n"), F.count(F.lit(1)).alias("d")).first()
+    shards = max(1, -(-((sizes["n"] or 0) + sizes["d"] * window) * 8 // SHARD_BYTES))
+    shard = F.pmod(F.xxhash64("anchor"), F.lit(shards)).cast("int")
+
+    def cut_passages(batches):
         for batch in batches:
-            docs_, out = [], []
-            for doc, text, places in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2).to_pylist()):
-                words = text.split(" ")
-                at = np.unique(np.array(places, dtype=np.int64))
+            docs_, shards_, out = [], [], []
+            for doc, own, region, offsets in zip(*(batch.column(i).to_pylist() for i in range(4))):
+                words = region.split(" ")
+                at = np.unique(np.array(offsets, dtype=np.int64))
                 for run in np.split(at, np.flatnonzero(np.diff(at) > 1) + 1):
                     docs_.append(doc)
+                    shards_.append(own)
                     out.append(" ".join(words[run[0] : run[-1] + window]))
-            yield pa.RecordBatch.from_arrays([pa.array(docs_, pa.int64()), pa.array(out, pa.string())], ["doc_id", "text"])
-
-    at = confirmed.df.groupBy("doc_id").agg(F.collect_list("place").alias("places"))
-    passages = suspects.df.select("doc_id", "words").join(at, "doc_id").mapInArrow(cut, "doc_id long, text string").withColumn("shard", shard)
+            yield pa.RecordBatch.from_arrays([pa.array(docs_, pa.int64()), pa.array(shards_, pa.int32()), pa.array(out, pa.string())], ["doc_id", "shard", "text"])
 
-    routes = confirmed.df.select("anchor", "doc_id", shard.alias("shard")).groupBy("anchor", "shard").agg(F.min("doc_id").alias("source"))
-    streamed = materialize(
-        flagged.df.select("doc_id", "anchor").join(routes, "anchor").where("doc_id > source").select("doc_id", "shard").distinct(), "streamed"
-    )
-    loads = streamed.df.groupBy("shard").agg(F.ceil(F.count(F.lit(1)) / STREAM_DOCS).cast("int").alias("copies"))
+    sharded = regions.df.withColumn("shard", shard)
+    passages = sharded.join(confirmed.df, ["doc_id", "first"]).select("doc_id", "shard", "region", "offsets").mapInArrow(cut_passages, "doc_id long, shard int, text string")
+    loads = sharded.groupBy("shard").agg(F.ceil(F.count(F.lit(1)) / STREAM_REGIONS).cast("int").alias("copies"))
     phrases = passages.join(loads, "shard").withColumn("copy", F.explode(F.sequence(F.lit(0), F.col("copies") - 1)))
-    targets = (
-        streamed.df.join(loads, "shard")
-        .withColumn("copy", F.pmod(F.xxhash64("doc_id"), "copies").cast("int"))
-        .join(suspects.df.select("doc_id", F.col("words").alias("text")), "doc_id")
-    )
+    targets = sharded.join(loads, "shard").withColumn("copy", F.pmod(F.xxhash64("doc_id", "first"), "copies").cast("int")).withColumnRenamed("region", "text")
     columns = ["shard", "copy", "kind", "doc_id", "text"]
     lanes = phrases.withColumn("kind", F.lit(0)).select(columns).unionByName(targets.withColumn("kind", F.lit(1)).select(columns))
 
     def stream(batches):
         lane, automaton, ready = None, None, False
         for batch in batches:
-            found, starts, ends = [], [], []
+            keys, sources, later, own = [], [], [], []
             for s, c, kind, doc, text in zip(*(batch.column(i).to_pylist() for i in range(5))):
                 if (s, c) != lane:
                     lane, automaton, ready = (s, c), Automaton(window), False
@@ -277,36 +310,43 @@ def repeated_spans(docs: DataFrame, window: int = 50, id_col: str = "doc_id", te
                 if not ready:
                     automaton.compile()
                     ready = True
-                if spans := automaton.find(doc, text):
-                    found.append(doc)
-                    starts.append(np.array([a for a, _ in spans]))
-                    ends.append(np.array([b for _, b in spans]))
-            yield pa.RecordBatch.from_arrays([pa.array(found, pa.int64()), _lists(starts), _lists(ends)], ["doc_id", "starts", "ends"])
+                if found := automaton.find(text):
+                    keys.append(xxhash.xxh3_128_digest(text.encode()))
+                    sources.append(doc)
+                    later.append(np.array(merged([(a, b) for a, b, _ in found]), dtype=np.int64).ravel())
+                    own.append(np.array(merged([(a, b) for a, b, source in found if source < doc]), dtype=np.int64).ravel())
+            yield pa.RecordBatch.from_arrays([pa.array(keys, pa.binary()), pa.array(sources, pa.int64()), _lists(later), _lists(own)], ["region", "source", "later", "own"])
 
     lanes = lanes.repartition("shard", "copy").sortWithinPartitions("shard", "copy", "kind", "doc_id")
-    hits = lanes.mapInArrow(stream, "doc_id long, starts array<long>, ends array<long>")
-    spans = hits.groupBy("doc_id").agg(F.flatten(F.collect_list("starts")).alias("starts"), F.flatten(F.collect_list("ends")).alias("ends"))
-    spans = materialize(spans, "spans")
+    hits = materialize(lanes.mapInArrow(stream, "region binary, source long, later array<long>, own array<long>"), "hits")
+    # In a region's earliest document only what stands earlier still is covered, in all others all that recurs.
+    keyed = suspects.df.mapInArrow(in_batches(cut_regions(False)), f"{places}, region binary")
+    edges = F.when(F.col("doc_id") == F.col("source"), F.col("own")).otherwise(F.col("later"))
+    spans = keyed.join(hits.df, "region").select("doc_id", F.transform(edges, lambda x: x + F.col("first")).alias("edges")).where("size(edges) > 0")
+    spans = materialize(spans.groupBy("doc_id").agg(F.flatten(F.collect_list("edges")).alias("edges")), "spans")
     whole = (
         scanned.df.select("doc_id", "n_words", "whole_sha256", "key").join(originals.df, "key")
         .select("doc_id", "n_words", "whole_sha256", (F.col("doc_id") > F.col("original")).alias("copy"))
-    )
-    for used in (flagged, confirmed, streamed):
+    )
+    for used in (flagged, regions, confirmed, hits):
         used.drop()
-    return whole, spans.df
+    return whole, spans.df, suspects.df
+
+
+def _pairs(edges: list[int]) -> list[tuple[int, int]]:
+    return merged(list(zip(edges[::2], edges[1::2])))
 
 
 def remove_repeats(docs: DataFrame, window: int = 50, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``(doc_id, n_words, n_removed, kept_sha256)``: what is left of each text without the words ``repeated_spans`` covers."""
-    whole, spans = repeated_spans(docs, window, id_col, text_col)
-    texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
+    whole, spans, suspects = repeated_spans(docs, window, id_col, text_col)
 
     def keep(batches):
         for batch in batches:
             removed, shas = [], []
-            for raw, starts, ends in zip(_raw(batch.column(1)), batch.column(2).to_pylist(), batch.column(3).to_pylist()):
-                words, left, at, gone = split_words(raw), [], 0, 0
-                for a, b in merged(list(zip(starts, ends))):
+            for raw, edges in zip(_raw(batch.column(1)), batch.column(2).to_pylist()):
+                words, left, at, gone = raw.split(b" "), [], 0, 0
+                for a, b in _pairs(edges):
                     left += words[at:a]
                     at, gone = b, gone + b - a
                 left += words[at:]
@@ -314,7 +354,7 @@ def remove_repeats(docs: DataFrame, window: int = 50, id_col: str = "doc_id", te
                 shas.append(hashlib.sha256(b" ".join(left)).hexdigest())
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(removed, pa.int64()), pa.array(shas, pa.string())], ["doc_id", "gone", "sha"])
 
-    cut = texts.join(spans, "doc_id").mapInArrow(keep, "doc_id long, gone long, sha string")
+    cut = suspects.select("doc_id", "words").join(spans, "doc_id").mapInArrow(keep, "doc_id long, gone long, sha string")
     whole_copy = F.col("copy") & (F.col("n_words") >= window)
     return whole.join(cut, "doc_id", "left").select(
         "doc_id",
@@ -330,18 +370,18 @@ def without_repeats(docs: DataFrame, window: int = 50, id_col: str = "doc_id", t
     All columns stay, ``n_chars`` (if there) follows the text; a document whose every word is covered keeps its row with
     an empty text. Rows with a null id or text pass unchanged.
     """
-    whole, spans = repeated_spans(docs, window, id_col, text_col)
+    whole, spans, _ = repeated_spans(docs, window, id_col, text_col)
     copies = whole.where(F.col("copy") & (F.col("n_words") >= window)).select("doc_id", F.lit(True).alias("_all"))
-    marks = copies.join(spans, "doc_id", "full").select(F.col("doc_id").alias("_doc"), "_all", "starts", "ends")
+    marks = copies.join(spans, "doc_id", "full").select(F.col("doc_id").alias("_doc"), "_all", "edges")
     return _rewrite(docs, marks, id_col, text_col)
 
 
 def _rewrite(docs: DataFrame, marks: DataFrame, id_col: str, text_col: str) -> DataFrame:
     @F.pandas_udf("string")
-    def cut(text: pd.Series, whole: pd.Series, starts: pd.Series, ends: pd.Series) -> pd.Series:
+    def cut(text: pd.Series, whole: pd.Series, edges: pd.Series) -> pd.Series:
         out = []
-        for t, gone, a, b in zip(text, whole, starts, ends):
-            if t is None or (gone is not True and a is None):
+        for t, gone, e in zip(text, whole, edges):
+            if t is None or (gone is not True and e is None):
                 out.append(t)
                 continue
             if gone is True:
@@ -350,15 +390,15 @@ def _rewrite(docs: DataFrame, marks: DataFrame, id_col: str, text_col: str) -> D
             raw = t.encode()
             places = [m.span() for m in _WORD.finditer(raw)]
             left, at = [], 0
-            for s, e in merged(list(zip(a, b))):
-                left.append(raw[at : places[s][0]])
-                at = places[e][0] if e < len(places) else len(raw)
+            for a, b in _pairs(e):
+                left.append(raw[at : places[a][0]])
+                at = places[b][0] if b < len(places) else len(raw)
             left.append(raw[at:])
             out.append(b"".join(left).decode())
         return pd.Series(out, dtype=object)
 
     joined = docs.join(marks, docs[id_col] == marks["_doc"], "left")
-    out = joined.withColumn(text_col, cut(text_col, "_all", "starts", "ends"))
+    out = joined.withColumn(text_col, cut(text_col, "_all", "edges"))
     if "n_chars" in docs.columns:
         counted = F.length(text_col).cast(docs.schema["n_chars"].dataType)
         out = out.withColumn("n_chars", F.when(F.col("_doc").isNotNull(), counted).otherwise(F.col("n_chars")))
