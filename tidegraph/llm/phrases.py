@@ -3,9 +3,8 @@
 Recurring passages are confirmed first: every window of words is represented by the rarest-hashed short gram in it (its
 anchor), and the words under the windows of one anchor are its region. Of regions whose anchor recurs in another text,
 equal ones become one, the windows in them are hashed whole, and those seen in two texts make up the passages, each kept
-where it first occurs. Passages are cut into tiles and compiled into Aho-Corasick automata sharded by anchor, and the
-regions stream through the automaton of their shard. A hit is extended word by word, so what is removed has been compared
-as text, not by hash.
+where it first occurs. Their windows are compiled, as sequences of words, into Aho-Corasick automata sharded by anchor, and
+the regions stream through the automaton of their shard. So what is removed has been compared word by word, not by hash.
 """
 
 from __future__ import annotations
@@ -23,8 +22,8 @@ from pyspark.sql import DataFrame, functions as F
 from tidegraph.runtime import materialize, ship
 
 GRAM = 12
-#: Bytes of passages compiled into one automaton, and regions that stream through one copy of it.
-SHARD_BYTES = 1_500_000
+#: Windows of passages compiled into one automaton, and regions that stream through one copy of it.
+SHARD_WINDOWS = 20_000
 STREAM_REGIONS = 20_000
 
 _WORD = re.compile(rb"[^\x20\x09-\x0D]+")
@@ -97,61 +96,37 @@ def _lists(parts: list[np.ndarray]) -> pa.Array:
     return pa.ListArray.from_arrays(pa.array(ends, pa.int32()), _longs(flat))
 
 
-def _tiles(words: list[str], tile: int):
-    """(offset, words) of whole tiles from the start on; each window of twice the tile's length holds one."""
-    for at in range(0, len(words) - tile + 1, tile):
-        yield at, words[at : at + tile]
-
-
 class Automaton:
-    """Tiles of passages compiled for one shard; ``find`` gives the stretches of a text that its passages hold."""
+    """The windows of a shard's passages, compiled over word numbers; ``find`` gives the stretches of a text that they hold."""
 
     def __init__(self, window: int):
-        self.window, self.tile = window, window // 2
-        self.trie = ahocorasick.Automaton()
-        self.passages: list[tuple[int, list[str]]] = []
+        self.window = window
+        self.trie = ahocorasick.Automaton(ahocorasick.STORE_INTS, ahocorasick.KEY_SEQUENCE)
+        self.numbers: dict[str, int] = {}
+        self.sources: list[int] = []
 
     def add(self, source: int, text: str) -> None:
-        words = text.split(" ")
-        at = len(self.passages)
-        self.passages.append((source, words))
-        for offset, tile in _tiles(words, self.tile):
-            key = f" {' '.join(tile)} "
+        """Every window of a passage (words joined by one space); of a window that is there already the smallest source stays."""
+        numbers = self.numbers
+        ids = tuple([numbers.setdefault(w, len(numbers) + 1) for w in text.split(" ")])
+        self.sources.append(source)
+        for at in range(len(ids) - self.window + 1):
+            key = ids[at : at + self.window]
             held = self.trie.get(key, None)
-            if held is None:
-                self.trie.add_word(key, [(at, offset)])
-            else:
-                held.append((at, offset))
+            if held is None or self.sources[held] > source:
+                self.trie.add_word(key, len(self.sources) - 1)
 
     def compile(self) -> None:
         if len(self.trie):
             self.trie.make_automaton()
 
     def find(self, text: str) -> list[tuple[int, int, int]]:
-        """(first word, end, source) of each stretch of ``text`` (words joined by one space), a window or longer, that a passage holds."""
+        """(first word, end, source) of each window of ``text`` that is in the automaton; words it does not know match nothing."""
         if not len(self.trie):
             return []
-        words, starts, found, reach = text.split(" "), None, [], {}
-        for end, held in self.trie.iter(f" {text} "):
-            if starts is None:
-                lengths = np.fromiter(map(len, words), dtype=np.int64, count=len(words)) + 1
-                starts = np.cumsum(lengths)  # in the padded text, where the space after each word stands
-            last = int(np.searchsorted(starts, end))
-            first = last - self.tile + 1
-            for passage, offset in held:
-                source, own = self.passages[passage]
-                shift = first - offset
-                if reach.get((passage, shift), -1) > first:
-                    continue
-                a, b = first, last + 1
-                while a > 0 and a - shift > 0 and words[a - 1] == own[a - 1 - shift]:
-                    a -= 1
-                while b < len(words) and b - shift < len(own) and words[b] == own[b - shift]:
-                    b += 1
-                reach[passage, shift] = b
-                if b - a >= self.window:
-                    found.append((a, b, source))
-        return found
+        known = self.numbers.get
+        ids = tuple([known(w, 0) for w in text.split(" ")])
+        return [(last + 1 - self.window, last + 1, self.sources[k]) for last, k in self.trie.iter(ids)]
 
 
 def merged(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
@@ -219,20 +194,19 @@ def repeated_spans(docs: DataFrame, window: int = 50, id_col: str = "doc_id", te
     def cut_regions(with_text: bool):
         def run(batches):
             for batch in batches:
-                docs_, firsts, anchor, keys, out = [], [], [], [], []
-                for doc, text, runs in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2).to_pylist()):
-                    words = text.split(" ")
+                docs_, firsts, anchor, out = [], [], [], []
+                for doc, raw, runs in zip(batch.column(0).to_pylist(), _raw(batch.column(1)), batch.column(2).to_pylist()):
+                    gaps = np.flatnonzero(np.frombuffer(raw, np.uint8) == 32)
+                    starts, ends = np.r_[0, gaps + 1], np.r_[gaps, len(raw)]
                     for r in runs:
-                        region = " ".join(words[r["first"] : r["next"] + window - 1])
+                        region = raw[starts[r["first"]] : ends[r["next"] + window - 2]]
                         docs_.append(doc)
                         firsts.append(r["first"])
                         anchor.append(r["anchor"])
-                        if with_text:
-                            out.append(region)
-                        else:
-                            keys.append(xxhash.xxh3_128_digest(region.encode()))
+                        out.append(region if with_text else xxhash.xxh3_128_digest(region))
                 columns = [pa.array(docs_, pa.int64()), pa.array(firsts, pa.int64()), pa.array(anchor, pa.int64())]
-                yield pa.RecordBatch.from_arrays([*columns, pa.array(out, pa.string()) if with_text else pa.array(keys, pa.binary())], ["doc_id", "first", "anchor", "region"])
+                last = pa.array(out, pa.binary())
+                yield pa.RecordBatch.from_arrays([*columns, last.cast(pa.string()) if with_text else last], ["doc_id", "first", "anchor", "region"])
 
         return run
 
@@ -246,35 +220,25 @@ def repeated_spans(docs: DataFrame, window: int = 50, id_col: str = "doc_id", te
     )
 
     def hash_windows(batches):
-        for batch in batches:
-            for doc, first, latest, region in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2).to_pylist(), _raw(batch.column(3))):
-                h = word_hashes(region.split(b" "))
-                one, two = run_hashes(h, window, 1), run_hashes(h, window, 2)
-                n = len(one)
-                fill = lambda x: pa.array(np.full(n, x, dtype=np.int64))
-                yield pa.RecordBatch.from_arrays([_longs(one), _longs(two), fill(doc), fill(latest), fill(first), pa.array(np.arange(n, dtype=np.int32))], ["h1", "h2", "doc_id", "latest", "first", "offset"])
-
-    def in_batches(run):
-        """Joins the small batches that ``run`` yields."""
-
-        def joined(batches):
-            held, rows = [], 0
-            for batch in run(batches):
-                held.append(batch)
-                rows += batch.num_rows
-                if rows >= 20_000:
-                    yield from pa.Table.from_batches(held).combine_chunks().to_batches()
-                    held, rows = [], 0
-            if held:
-                yield from pa.Table.from_batches(held).combine_chunks().to_batches()
-
-        return joined
-
-    windows = regions.df.select("doc_id", "first", "latest", "region").mapInArrow(in_batches(hash_windows), "h1 long, h2 long, doc_id long, latest long, first long, offset int")
+        for whole in batches:
+            for at in range(0, whole.num_rows, 2_000):
+                batch = whole.slice(at, 2_000)
+                lists = [x.split(b" ") for x in _raw(batch.column(3))]
+                sizes = np.array([len(x) for x in lists], dtype=np.int64)
+                h = word_hashes([w for x in lists for w in x])
+                n = sizes - window + 1
+                starts = np.cumsum(sizes) - sizes
+                offset = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
+                place = np.repeat(starts, n) + offset  # windows over the seam of two regions are left out
+                one, two = run_hashes(h, window, 1)[place], run_hashes(h, window, 2)[place]
+                doc, first, latest = (pa.array(np.repeat(batch.column(i).to_numpy(), n)) for i in range(3))
+                yield pa.RecordBatch.from_arrays([_longs(one), _longs(two), doc, latest, first, pa.array(offset.astype(np.int32))], ["h1", "h2", "doc_id", "latest", "first", "offset"])
+
+    windows = regions.df.select("doc_id", "first", "latest", "region").mapInArrow(hash_windows, "h1 long, h2 long, doc_id long, latest long, first long, offset int")
     recur = windows.groupBy("h1", "h2").agg(F.min(F.struct("doc_id", "first", "offset")).alias("w"), F.max("latest").alias("latest")).where("w.doc_id < latest")
     confirmed = materialize(recur.groupBy("w.doc_id", "w.first").agg(F.collect_list("w.offset").alias("offsets")), "confirmed")
-    sizes = confirmed.df.agg(F.sum(F.size("offsets")).alias("n"), F.count(F.lit(1)).alias("d")).first()
-    shards = max(1, -(-((sizes["n"] or 0) + sizes["d"] * window) * 8 // SHARD_BYTES))
+    total = confirmed.df.agg(F.sum(F.size("offsets"))).first()[0] or 0
+    shards = max(1, -(-total // SHARD_WINDOWS))
     shard = F.pmod(F.xxhash64("anchor"), F.lit(shards)).cast("int")
 
     def cut_passages(batches):
@@ -320,7 +284,7 @@ def repeated_spans(docs: DataFrame, window: int = 50, id_col: str = "doc_id", te
     lanes = lanes.repartition("shard", "copy").sortWithinPartitions("shard", "copy", "kind", "doc_id")
     hits = materialize(lanes.mapInArrow(stream, "region binary, source long, later array<long>, own array<long>"), "hits")
     # In a region's earliest document only what stands earlier still is covered, in all others all that recurs.
-    keyed = suspects.df.mapInArrow(in_batches(cut_regions(False)), f"{places}, region binary")
+    keyed = suspects.df.mapInArrow(cut_regions(False), f"{places}, region binary")
     edges = F.when(F.col("doc_id") == F.col("source"), F.col("own")).otherwise(F.col("later"))
     spans = keyed.join(hits.df, "region").select("doc_id", F.transform(edges, lambda x: x + F.col("first")).alias("edges")).where("size(edges) > 0")
     spans = materialize(spans.groupBy("doc_id").agg(F.flatten(F.collect_list("edges")).alias("edges")), "spans")
