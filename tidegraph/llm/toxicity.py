@@ -20,6 +20,8 @@ from tidegraph.llm.labels import fit_logistic, held_out, training_rows
 from tidegraph.runtime import materialize, ship
 
 _WORD = re.compile(r"[^\W\d_]+")
+#: Letters of the stems that stand in for words the lexicon does not have.
+STEM = 5
 
 #: Bounds of the fit: labelled documents used, and words kept in the lexicon.
 MAX_TRAINING_DOCS = 20_000
@@ -32,11 +34,14 @@ def words(text: str) -> list[str]:
 
 @dataclass
 class Model:
+    """``lexicon`` scores words; ``stems`` score words it does not have by their first letters."""
+
     lexicon: dict[str, float]
+    stems: dict[str, float]
     drift: float
     rate: float  # of the extreme-value distribution, by which scores are scaled
     scale: float  # its K
-    weights: list[float] = field(default_factory=lambda: [0.0, 1.0, 0.0, 0.0])
+    weights: list[float] = field(default_factory=lambda: [0.0, 1.0, 0.0, 0.0])  # intercept, best, together, share
     level: float = 0.01
 
 
@@ -75,36 +80,60 @@ def maximal_segments(scores: list[float], places: list[int], drift: float) -> li
 
 def segments_of(text: str, model: Model) -> tuple[int, list[tuple[int, int, float]]]:
     """(number of words, maximal segments by word position)."""
-    found, lexicon = words(text), model.lexicon
-    places = [i for i, w in enumerate(found) if w in lexicon]
-    return len(found), maximal_segments([lexicon[found[i]] for i in places], places, model.drift) if places else []
+    found, lexicon, stems = words(text), model.lexicon, model.stems
+    places = [i for i, w in enumerate(found) if w in lexicon or w[:STEM] in stems]
+    scores = [lexicon[w] if w in lexicon else stems[w[:STEM]] for w in map(found.__getitem__, places)]
+    return len(found), maximal_segments(scores, places, model.drift) if places else []
 
 
 def evidence(n: int, segments: list[tuple[int, int, float]], model: Model) -> tuple[float, float, float, int]:
-    """What a text shows: calibrated score of the best segment, log of significant segments, their share of words, their number."""
+    """What a text shows: the calibrated score of its best segment, that of its best segments together, their share of words, and
+    the number of segments that are significant by themselves.
+
+    Scaled scores less the log of the search space are extreme-value distributed for the best segment; for the r best the
+    sum gains log r!, and the r of the largest sum counts. So many weak passages weigh as much as a strong one.
+    """
     if not segments:
-        return -5.0, 0.0, 0.0, 0
+        return -5.0, -5.0, 0.0, 0
     base = math.log(model.scale * max(n, 1))
     beyond = -math.log(-math.log1p(-model.level))
-    scaled = [model.rate * s - base for _, _, s in segments]
-    good = [k for k, x in enumerate(scaled) if x > beyond]
-    covered = sum(segments[k][1] - segments[k][0] + 1 for k in good)
-    return min(max(max(scaled), -5.0), 15.0), math.log1p(len(good)), covered / max(n, 1), len(good)
-
-
-def _lexicon(counts: list[tuple[str, int, int]], n_toxic: int, n_clean: int, prior_words: float, least_z: float) -> dict[str, float]:
-    """Log-odds of the words that lean significantly, by the variance of the prior-smoothed estimate."""
+    scaled = sorted((model.rate * s - base for _, _, s in segments), reverse=True)
+    good = sum(x > beyond for x in scaled)
+    total, run = scaled[0], 0.0
+    for r, x in enumerate(scaled[:200], 1):
+        if x <= -math.log(r):
+            break
+        run += x + math.log(r)
+        total = max(total, run)
+    covered = sum(b - a + 1 for a, b, s in segments if model.rate * s - base > beyond)
+    return min(max(scaled[0], -5.0), 5.0), min(max(total, -5.0), 40.0), covered / max(n, 1), good
+
+
+def features(found: list[str]) -> dict[str, int]:
+    """Counts of a text's words, and of the stems of longer ones, which end in a tilde."""
+    own: dict[str, int] = {}
+    for w in found:
+        own[w] = own.get(w, 0) + 1
+        if len(w) > STEM:
+            stem = w[:STEM] + "~"
+            own[stem] = own.get(stem, 0) + 1
+    return own
+
+
+def _lexicon(counts: list[tuple[str, int, int]], n_toxic: int, n_clean: int, prior_words: float, least_z: float, least_lean: float) -> tuple[dict[str, float], dict[str, float]]:
+    """Log-odds of the words and stems that lean clearly, by the variance of the prior-smoothed estimate; clean leans only of words."""
     out = {}
     total = n_toxic + n_clean
     for word, toxic, clean in counts:
         prior = prior_words * (toxic + clean) / total
-        odds = lambda y, n: math.log((y + prior) / (n + prior_words - y - prior))
+        odds = lambda y, n: math.log((y + prior) / max(n + prior_words - y - prior, 1.0))
         lean = odds(toxic, n_toxic) - odds(clean, n_clean)
         z = lean / math.sqrt(1 / (toxic + prior) + 1 / (clean + prior))
-        if abs(z) >= least_z:
+        if (z >= least_z and lean >= least_lean) or (z <= -least_z and lean <= -least_lean and word[-1] != "~"):
             out[word] = (lean, z)
     best = sorted(out, key=lambda w: (-abs(out[w][1]), w))[:MAX_LEXICON]
-    return {w: max(out[w][0], -3.0) for w in best}
+    lexicon = {w: max(out[w][0], -3.0) for w in best if w[-1] != "~"}
+    return lexicon, {w[:-1]: out[w][0] for w in best if w[-1] == "~"}
 
 
 def _rate(lexicon: dict[str, float], clean: dict[str, int], n_clean: int, drift: float) -> tuple[float, float]:
@@ -123,7 +152,7 @@ def _rate(lexicon: dict[str, float], clean: dict[str, int], n_clean: int, drift:
 
 
 def fit(
-    docs: DataFrame, labels: DataFrame, label: str = "toxic", parts: int = 5, kept_out: int = 0, limit: int = MAX_TRAINING_DOCS, prior_words: float = 500.0, least_docs: int = 3, least_z: float = 3.0, drift: float = 0.5
+    docs: DataFrame, labels: DataFrame, label: str = "toxic", parts: int = 5, kept_out: int = 0, limit: int = MAX_TRAINING_DOCS, prior_words: float = 50_000.0, least_docs: int = 3, least_z: float = 2.5, least_lean: float = 2.0, drift: float = 2.0
 ) -> Model:
     """Fit on at most ``limit`` labelled documents outside the held-out fold: word counts on four fifths, calibration on the rest.
 
@@ -137,10 +166,7 @@ def fit(
         sums: dict[str, list[int]] = {}
         for batch in batches:
             for text, toxic in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
-                own: dict[str, int] = {}
-                for w in words(text):
-                    own[w] = own.get(w, 0) + 1
-                for w, n in own.items():
+                for w, n in features(words(text)).items():
                     row = sums.setdefault(w, [0, 0, 0])
                     row[1 if toxic else 2] += n
                     row[0] += 1
@@ -148,20 +174,21 @@ def fit(
 
     counted = rows.df.where("fold > 0").select("text", "label").mapInArrow(tally, "word string, docs long, toxic long, clean long").groupBy("word").agg(*[F.sum(c).alias(c) for c in ("docs", "toxic", "clean")])
     counted = materialize(counted, "words")
-    sums = counted.df.agg(F.sum("toxic").alias("t"), F.sum("clean").alias("c")).first()
+    sums = counted.df.where(~F.col("word").endswith("~")).agg(F.sum("toxic").alias("t"), F.sum("clean").alias("c")).first()
     share = rows.df.agg(F.avg("label").alias("p")).first()["p"]
     if not sums["t"] or not sums["c"]:
         p = min(max(0.5 if share is None else share, 1e-3), 1 - 1e-3)
-        return Model({}, drift, 1.0, 0.1, [math.log(p / (1 - p)), 0.0, 0.0, 0.0])
+        return Model({}, {}, drift, 1.0, 0.1, [math.log(p / (1 - p)), 0.0, 0.0, 0.0])
     leaning = counted.df.where(F.col("docs") >= least_docs).orderBy(F.abs(F.col("toxic") / sums["t"] - F.col("clean") / sums["c"]).desc(), "word").limit(4 * MAX_LEXICON)
     counts = [(r["word"], r["toxic"], r["clean"]) for r in leaning.collect()]  # at most four lexicons
-    lexicon = _lexicon(counts, sums["t"], sums["c"], prior_words, least_z)
-    rate, scale = _rate(lexicon, {w: c for w, _, c in counts}, sums["c"], drift)
-    model = Model(lexicon, drift, rate, scale)
+    lexicon, stems = _lexicon(counts, sums["t"], sums["c"], prior_words, least_z, least_lean)
+    clean = {w: c for w, _, c in counts}
+    rate, scale = _rate({**lexicon, **{f"{w}~": v for w, v in stems.items()}}, clean, sums["c"], drift)
+    model = Model(lexicon, stems, drift, rate, scale)
     shown = rows.df.where("fold = 0")
     shown = shown.select("label", *_evidence_columns(shown, model)).collect()  # at most a fifth of the limit
     if len({r["label"] for r in shown}) == 2:
-        x = np.array([[r["best"], r["many"], r["share"]] for r in shown])
+        x = np.array([[r["best"], r["together"], r["share"]] for r in shown])
         model.weights = [float(w) for w in fit_logistic(x, np.array([r["label"] for r in shown], dtype=np.float64))]
     rows.drop()
     counted.drop()
@@ -171,14 +198,14 @@ def fit(
 def _evidence_columns(df: DataFrame, model: Model):
     held = df.sparkSession.sparkContext.broadcast(model)
 
-    @F.pandas_udf("best double, many double, share double")
+    @F.pandas_udf("best double, together double, share double")
     def run(text):
         import pandas as pd
 
-        return pd.DataFrame([evidence(*segments_of(t or "", held.value), held.value)[:3] for t in text], columns=["best", "many", "share"])
+        return pd.DataFrame([evidence(*segments_of(t or "", held.value), held.value)[:3] for t in text], columns=["best", "together", "share"])
 
     shown = run("text")
-    return [shown["best"].alias("best"), shown["many"].alias("many"), shown["share"].alias("share")]
+    return [shown["best"].alias("best"), shown["together"].alias("together"), shown["share"].alias("share")]
 
 
 def score(docs: DataFrame, model: Model, parts: int = 5, kept_out: int = 0) -> DataFrame:
@@ -198,8 +225,8 @@ def score(docs: DataFrame, model: Model, parts: int = 5, kept_out: int = 0) -> D
             out: list[tuple] = []
             for text in batch.column(1).to_pylist():
                 n, found = segments_of(text or "", m)
-                best, many, share, good = evidence(n, found, m)
-                z = m.weights[0] + m.weights[1] * best + m.weights[2] * many + m.weights[3] * share
+                best, together, share, good = evidence(n, found, m)
+                z = m.weights[0] + m.weights[1] * best + m.weights[2] * together + m.weights[3] * share
                 p = 1 / (1 + math.exp(-min(max(z, -30), 30)))
                 limit = base + math.log(m.scale * max(n, 1))
                 out.append((p, int(p >= 0.5), n, good, [{"first": a, "last": b, "score": s} for a, b, s in found if m.rate * s > limit]))
