@@ -103,12 +103,12 @@ def async_run(graph: PropertyGraph, source=None, kind: str = "sssp", parts: int
         return pd.DataFrame({"id": list(found), "value": list(found.values())}, dtype="int64")
 
     began = time.time()
-    wanted = edges.select("cell", F.col("src").alias("id")).distinct()
+    wanted = materialize(edges.select(F.col("cell").alias("home"), F.col("src").alias("id")).distinct(), "wanted").df
     frontier = state.base.df.where("value is not null")
     for k in range(1, max_rounds + 1):
         t = time.time()
-        dealt = wanted.join(frontier, "id").select("cell", "id", "value")
-        own = edges.groupBy("cell").cogroup(dealt.groupBy("cell")).applyInPandas(settle, "id long, value long")
+        dealt = wanted.join(frontier, "id").select("home", "id", "value")
+        own = edges.groupBy("cell").cogroup(dealt.groupBy("home")).applyInPandas(settle, "id long, value long")
         least = own.groupBy("id").agg(F.min("value").alias("new"))
         delta, updates = counted(state.current().join(least, "id").where("value is null or new < value").select("id", F.col("new").alias("value")), "delta")
         if updates:

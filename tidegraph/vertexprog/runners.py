@@ -115,8 +115,10 @@ def run_program(
 
 
 def _cached(df: DataFrame):
+    """``df`` kept in memory under a plan of its own, so that plans do not grow by the round; a lost part is computed again."""
     kept = df.persist(StorageLevel.MEMORY_AND_DISK)
-    return kept, kept
+    rows = kept._jdf.queryExecution().toRdd()
+    return DataFrame(kept.sparkSession._jsparkSession.internalCreateDataFrame(rows, kept._jdf.schema(), False), kept.sparkSession), kept
 
 
 def _combiner(program: VertexProgram):
