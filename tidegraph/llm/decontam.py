@@ -58,16 +58,12 @@ def _windows(rows: DataFrame, id_col: str, text: Column, width: int, exact_size:
     return rows.where(F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias(id_col), F.posexplode(made).alias("place", "w")).select(id_col, "place", "w.*")
 
 
-def _pattern(slots: Column) -> Column:
-    """For each slot the first slot that holds the same value."""
-    return F.transform(slots, lambda v: F.array_position(slots, v))
-
-
 def matches(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, least: float = 0.5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``(doc_id, item_id, n_windows, n_matched, n_exact, coverage)`` of documents that hold a benchmark item.
 
-    ``n_matched`` counts the item's windows found in the document with consistent slots, ``n_exact`` those whose slot
-    values are equal too; a pair is reported at a ``coverage`` of the item's windows of ``least`` or more. An item shorter
+    ``n_matched`` counts the item's windows found in the document. Where the item is laid upon the text, each of its slot
+    values must stand for one value of the text and the other way round; where that fails, only windows with the item's
+    own values count. ``n_exact`` counts windows with the item's own values; a pair is reported at a ``coverage`` of the item's windows of ``least`` or more. An item shorter
     than a window is one window, and matches where its words stand. Null and empty texts and items match nothing; repeated
     rows count once.
     """
@@ -82,12 +78,17 @@ def matches(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, least:
         none = F.array().cast("array<string>")
         filled = lambda c: F.coalesce(c, none)
         met = (
-            _windows(docs, id_col, F.col(text_col), width).select(F.col(id_col).alias("doc_id"), "key", "raw", "slots").join(wanted, "key")
-            .where((F.col("raw") == F.col("item_raw")) | (_pattern(filled(F.col("slots"))) == _pattern(filled(F.col("item_slots")))))
-            .select("doc_id", "item_id", "item_place", "total", (F.col("raw") == F.col("item_raw")).cast("int").alias("exact"))
+            _windows(docs, id_col, F.col(text_col), width).select(F.col(id_col).alias("doc_id"), "place", "key", "raw", "slots").join(wanted, "key")
+            .select("doc_id", "item_id", "item_place", "total", (F.col("place") - F.col("item_place")).alias("shift"), (F.col("raw") == F.col("item_raw")).cast("int").alias("exact"),
+                    F.arrays_zip(filled(F.col("item_slots")).alias("i"), filled(F.col("slots")).alias("d")).alias("pairs"))
         )
         out = met if out is None else out.unionByName(met)
-    once = out.groupBy("doc_id", "item_id", "item_place").agg(F.max("total").alias("total"), F.max("exact").alias("exact"))
+    # One group for each place a text and an item are laid upon each other: at most the item's windows.
+    laid = out.groupBy("doc_id", "item_id", "shift").agg(F.max("total").alias("total"), F.collect_set(F.struct("item_place", "exact")).alias("windows"), F.array_distinct(F.flatten(F.collect_set("pairs"))).alias("pairs"))
+    values = lambda side: F.size(F.array_distinct(F.transform("pairs", lambda x: x[side])))
+    laid = laid.withColumn("consistent", (values("i") == F.size("pairs")) & (values("d") == F.size("pairs")))
+    counted = laid.select("doc_id", "item_id", "total", "consistent", F.explode("windows").alias("w")).where("consistent or w.exact = 1")
+    once = counted.groupBy("doc_id", "item_id", "w.item_place").agg(F.max("total").alias("total"), F.max("w.exact").alias("exact"))
     found = once.groupBy("doc_id", "item_id").agg(F.max("total").cast("long").alias("n_windows"), F.count(F.lit(1)).alias("n_matched"), F.sum("exact").alias("n_exact"))
     return found.withColumn("coverage", F.col("n_matched") / F.col("n_windows")).where(F.col("coverage") >= least)
 

@@ -88,8 +88,10 @@ def scheduled(
     ``weights``: target weight by source; without it a source's weight is its document count to the power ``power``. In
     every prefix of slots in which all sources still have blocks, each source is within one block of its weight's share.
     A null source counts as the source named by the empty text. Documents of a source are numbered in an order given by a
-    hash of their id; repeated ids keep all their rows, in any order. An empty table gives an empty result.
+    hash of their id; repeated ids keep all their rows, in any order. Input columns named like the added ones are replaced. An
+    empty table gives an empty result.
     """
+    docs = docs.drop("block", "slot", "row_in_block")
     source = F.coalesce(F.col(source_col), F.lit(""))
     order = F.xxhash64(F.col(id_col))
     totals = docs.groupBy(source.alias("_s")).agg(F.count(F.lit(1)).alias("_n"))

@@ -149,7 +149,8 @@ def repeated_spans(docs: DataFrame, window: int = 50, id_col: str = "doc_id", te
     by one space.
 
     A word is covered if it stands in a window of ``window`` words that also starts in a document with a smaller id.
-    Null and empty texts have no words; texts shorter than a window are never covered. Ids should be unique.
+    Null and empty texts have no words; texts shorter than a window are never covered. Ids should be unique; of rows
+    that share an id each is cut by the spans of the id, and the query form gives each a row.
     """
     spark = docs.sparkSession
     ship(spark)
@@ -199,6 +200,8 @@ def repeated_spans(docs: DataFrame, window: int = 50, id_col: str = "doc_id", te
                     gaps = np.flatnonzero(np.frombuffer(raw, np.uint8) == 32)
                     starts, ends = np.r_[0, gaps + 1], np.r_[gaps, len(raw)]
                     for r in runs:
+                        if r["next"] + window - 2 >= len(ends):
+                            continue  # of another text under the same id
                         region = raw[starts[r["first"]] : ends[r["next"] + window - 2]]
                         docs_.append(doc)
                         firsts.append(r["first"])
@@ -318,7 +321,7 @@ def remove_repeats(docs: DataFrame, window: int = 50, id_col: str = "doc_id", te
                 shas.append(hashlib.sha256(b" ".join(left)).hexdigest())
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(removed, pa.int64()), pa.array(shas, pa.string())], ["doc_id", "gone", "sha"])
 
-    cut = suspects.select("doc_id", "words").join(spans, "doc_id").mapInArrow(keep, "doc_id long, gone long, sha string")
+    cut = suspects.select("doc_id", "words").join(spans, "doc_id").mapInArrow(keep, "doc_id long, gone long, sha string").dropDuplicates(["doc_id"])
     whole_copy = F.col("copy") & (F.col("n_words") >= window)
     return whole.join(cut, "doc_id", "left").select(
         "doc_id",
@@ -335,8 +338,8 @@ def without_repeats(docs: DataFrame, window: int = 50, id_col: str = "doc_id", t
     an empty text. Rows with a null id or text pass unchanged.
     """
     whole, spans, _ = repeated_spans(docs, window, id_col, text_col)
-    copies = whole.where(F.col("copy") & (F.col("n_words") >= window)).select("doc_id", F.lit(True).alias("_all"))
-    marks = copies.join(spans, "doc_id", "full").select(F.col("doc_id").alias("_doc"), "_all", "edges")
+    copies = whole.where(F.col("copy") & (F.col("n_words") >= window)).select("doc_id", F.lit(True).alias("all")).distinct()
+    marks = copies.join(spans, "doc_id", "full").select(F.col("doc_id").alias("_repeat_doc"), F.struct("all", "edges").alias("_repeat_mark"))
     return _rewrite(docs, marks, id_col, text_col)
 
 
@@ -355,15 +358,18 @@ def _rewrite(docs: DataFrame, marks: DataFrame, id_col: str, text_col: str) -> D
             places = [m.span() for m in _WORD.finditer(raw)]
             left, at = [], 0
             for a, b in _pairs(e):
+                if a >= len(places):
+                    break
                 left.append(raw[at : places[a][0]])
                 at = places[b][0] if b < len(places) else len(raw)
             left.append(raw[at:])
             out.append(b"".join(left).decode())
         return pd.Series(out, dtype=object)
 
-    joined = docs.join(marks, docs[id_col] == marks["_doc"], "left")
-    out = joined.withColumn(text_col, cut(text_col, "_all", "edges"))
+    joined = docs.join(marks, docs[id_col] == marks["_repeat_doc"], "left")
+    mark = F.col("_repeat_mark")
+    out = joined.withColumn(text_col, cut(text_col, mark["all"], mark["edges"]))
     if "n_chars" in docs.columns:
         counted = F.length(text_col).cast(docs.schema["n_chars"].dataType)
-        out = out.withColumn("n_chars", F.when(F.col("_doc").isNotNull(), counted).otherwise(F.col("n_chars")))
+        out = out.withColumn("n_chars", F.when(F.col("_repeat_doc").isNotNull(), counted).otherwise(F.col("n_chars")))
     return out.select(*docs.columns)

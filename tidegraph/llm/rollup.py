@@ -138,9 +138,10 @@ class RollupStore:
 
     def commit(self, batch: str, changes: DataFrame, tokenizers: tuple[str, ...] = TOKENIZERS, folder: str = VOCABULARIES) -> bool:
         """Count and add a batch; False, and no work, if it was committed before."""
+        target = self._folder(batch)
         if batch in self.committed():
             return False
-        deltas(changes, tokenizers, folder).coalesce(1).write.mode("overwrite").parquet(self._folder(batch))
+        deltas(changes, tokenizers, folder).coalesce(1).write.mode("overwrite").parquet(target)
         return True
 
     def totals(self) -> DataFrame:

@@ -129,7 +129,7 @@ def decode(media: bytes) -> tuple[int, np.ndarray]:
     raise ValueError(f"format {tag} isn't known")
 
 
-def decode_column(df: DataFrame, media_col: str, out_col: str = "pcm") -> DataFrame:
+def decode_column(df: DataFrame, media_col: str = "media", out_col: str = "pcm") -> DataFrame:
     """Adds ``out_col``: the media's samples at twice their rate as a 16-bit PCM WAV file; null where the media is null or no known WAV."""
     ship(df.sparkSession)
 
