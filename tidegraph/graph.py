@@ -7,6 +7,12 @@ from dataclasses import dataclass, replace
 from pyspark.sql import Column, DataFrame, functions as F
 
 
+def between(edges: DataFrame, ids: DataFrame) -> DataFrame:
+    """The edges of which both ends are in ``ids(id)``."""
+    kept = edges.join(ids.withColumnRenamed("id", "src"), "src", "left_semi").join(ids.withColumnRenamed("id", "dst"), "dst", "left_semi")
+    return kept.select(*edges.columns)
+
+
 @dataclass
 class PropertyGraph:
     """``vertices(id, ...)`` with unique ids and ``edges(src, dst, ...)``; undirected graphs hold both orientations.
@@ -57,8 +63,7 @@ class PropertyGraph:
             return replace(self, edges=edges)
         vertices = self.vertices.where(vertex)
         ids = vertices.select("id")
-        edges = edges.join(ids.withColumnRenamed("id", "src"), "src", "left_semi").join(ids.withColumnRenamed("id", "dst"), "dst", "left_semi")
-        return replace(self, vertices=vertices, edges=edges, dst_in_vertices=True)
+        return replace(self, vertices=vertices, edges=between(edges, ids), dst_in_vertices=True)
 
     def narrow(self, *edge_columns: str) -> PropertyGraph:
         """Ids and ends only (and ``edge_columns``), so that iterations carry no attributes."""

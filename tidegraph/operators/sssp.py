@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, functions as F, types as T
 
-from tidegraph.graph import PropertyGraph
+from tidegraph.graph import PropertyGraph, between
 from tidegraph.plans.iterate import BROADCAST_ROWS, RunReport, SWITCH_AT, VertexState, fixpoint, sized
 from tidegraph.plans.layout import keyed
 
@@ -92,8 +92,7 @@ def khop(graph: PropertyGraph, source, hops: int, direction: str = "out") -> Pro
     near, _ = sssp(walk, source, max_depth=hops)
     ids = near.where("dist is not null").select("id")
     vertices = graph.vertices.join(ids, "id", "left_semi")
-    edges = graph.edges.join(ids.withColumnRenamed("id", "src"), "src", "left_semi").join(ids.withColumnRenamed("id", "dst"), "dst", "left_semi")
-    return PropertyGraph(vertices, edges, graph.directed, True)
+    return PropertyGraph(vertices, between(graph.edges, ids), graph.directed, True)
 
 
 def khop_recursive_sql(graph: PropertyGraph, source: int, hops: int) -> DataFrame:

@@ -61,7 +61,7 @@ def run_program(
     spark = graph.vertices.sparkSession
     ship(spark)
     if input == "barrier":
-        return _run_barrier(graph, program, weight, parts or 4, max_supersteps)
+        return _run_barrier(graph, program, weight, parts or min(4, spark.sparkContext.defaultParallelism), max_supersteps)
     kind = dict(graph.vertices.dtypes)["id"]
     n = parts or int(spark.conf.get("spark.sql.shuffle.partitions"))
     report = RunReport()
@@ -253,7 +253,7 @@ def _run_barrier(graph, program, weight, parts, max_supersteps) -> tuple[DataFra
 
 
 def register_udtfs(spark) -> None:
-    """``vertex_step(TABLE(...) PARTITION BY part ORDER BY id, kind)``: one shortest-path superstep as a table function in SQL."""
+    """``vertex_step(TABLE(...) PARTITION BY part ORDER BY (id, kind))``: one shortest-path superstep as a table function in SQL."""
     from pyspark.sql.functions import udtf
 
     @udtf(returnType="kind string, id long, value double")

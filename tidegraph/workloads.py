@@ -392,13 +392,13 @@ def _meta_columns() -> list[str]:
     return [n for n, *_ in R.attribute_plan()]
 
 
-_META_ROUNDED = ", ".join(f"round({n}, 6) AS {n}" if n.startswith("attr_f") else n for n in _meta_columns())
+_META_ROUNDED = ", ".join(f"round({n}, 3) AS {n}" if n.startswith("attr_f") else n for n in _meta_columns())
 
 
 @query(f"SELECT id, {_META_ROUNDED} FROM ({R.metadata_sql('(SELECT c_custkey AS id FROM customer)')})")
 def w_metadata(spark, d):
     made = R.with_metadata(G.handoff(spark, d).vertices.select("id"))
-    return made.select("id", *[F.round(n, 6).alias(n) if n.startswith("attr_f") else F.col(n) for n in _meta_columns()])
+    return made.select("id", *[F.round(n, 3).alias(n) if n.startswith("attr_f") else F.col(n) for n in _meta_columns()])
 
 
 @query(f"WITH {O.W9} SELECT count(*) AS edges, count(DISTINCT src) AS sources FROM w9")
@@ -555,6 +555,42 @@ def w_gather_apply(spark, d):
     return gather_apply(g, g.vertices.select("id", F.col("id").alias("value")), VertexFunction(lambda v, w: v, "min", improves))
 
 
+@query(f"WITH RECURSIVE {O.G2S}, {O.levels('g2s', _G2S_FROM)} SELECT 'merge' AS join, count(dist) AS reached, sum(dist)::BIGINT AS total FROM d UNION ALL SELECT 'shuffle_hash', count(dist), sum(dist)::BIGINT FROM d UNION ALL SELECT 'broadcast', count(dist), sum(dist)::BIGINT FROM d")
+def w_superstep_join_choice(spark, d):
+    """The superstep engine with its fixed merge join, and with the choices it does not make."""
+    g = G.co_purchase(spark, d)
+    source, out = _least_source(g), None
+    for join in ("merge", "shuffle_hash", "broadcast"):
+        row = bsp_run(g, source, join=join)[0].agg(F.count("value").alias("reached"), F.sum("value").alias("total")).select(F.lit(join).alias("join"), "reached", "total")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+@query()
+def w_scaleout(spark, d):
+    """Seconds of table-function runs over one part and over four."""
+    g = _g1(spark, d)
+    n, rows = g.vertices.count(), []
+    for parts in (1, 4):
+        for name, program in (("pagerank", Ranking(n, 3)), ("sssp", ShortestPath(0))):
+            t = time.time()
+            run_program(g, program, "union", parts=parts)
+            rows.append((name, parts, time.time() - t))
+    return spark.createDataFrame(rows, "program string, parts long, seconds double")
+
+
+@query(f"WITH {O.G2S}, o AS (SELECT dst AS id, count(*) AS i FROM g2s GROUP BY dst), s AS (SELECT src AS id, count(*) AS o FROM g2s GROUP BY src) SELECT sum(i * o)::BIGINT AS wedges, sum(o * o)::BIGINT AS ids_sent FROM o JOIN s USING (id)")
+def w_predicted_wedges(spark, d):
+    """Rows of a one-hop join and ids of its message form, from degrees alone."""
+    return M.predicted_wedges(G.co_purchase(spark, d))
+
+
+@query()
+def w_embedding_components(spark, d):
+    """Components of the vectors that are near each other."""
+    return L.connected_components_star(G.embedding_neighbours(spark, d))
+
+
 @query()
 def w_cf(spark, d):
     """Error of collaborative filtering as a vertex program and by least squares, against the mean."""
