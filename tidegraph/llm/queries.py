@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from tidegraph.llm import decontam, htmltext, licenses, mixing, phrases, quality, rollup, simhash, telephony, toxicity
+from tidegraph.llm import decontam, htmltext, licenses, mixing, phrases, quality, rollup, simhash, sql, telephony, toxicity
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -62,4 +62,8 @@ def op10_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES = {f.__name__: f for f in (op1_toxicity, op2_repeated_phrases, op3_token_rollup, op4_decontamination, op5_telephony, op6_mixing, op7_simhash, op8_html_text, op9_licenses, op10_quality)}
 
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {
+    "op2_repeated_phrases": sql.repeated_phrases(),
+    "op4_decontamination": sql.decontamination(),
+    "op9_licenses": sql.license_scan(),
+}
