@@ -50,6 +50,44 @@ def test_bucketed_copies_join_without_exchange(spark):
             spark.sql(f"DROP TABLE {t}")
 
 
+def test_one_pass_aggregates_and_settings(spark):
+    from tidegraph.plans import physical
+
+    before = spark.conf.get("spark.sql.execution.replaceHashWithSortAgg")
+    with physical.settings(spark, spark__sql__autoBroadcastJoinThreshold="-1", spark__sql__adaptive__enabled="false"), physical.one_pass_aggregates(spark):
+        e = spark.range(1000).select((F.col("id") % 7).alias("dst"), "id")
+        joined = e.join(spark.range(7).withColumnRenamed("id", "dst").hint("merge"), "dst").groupBy("dst").agg(F.min("id"))
+        text = plan(joined)
+        assert "SortAggregate" in text and "HashAggregate" not in text
+    assert spark.conf.get("spark.sql.execution.replaceHashWithSortAgg") == before
+
+
+def test_stateful_and_joined_streams(spark):
+    from tidegraph.streaming.edges import deduplicated, running_degrees, with_vertices
+
+    folder = f"{scratch_root(spark)}/{uuid.uuid4().hex}"
+    spark.createDataFrame([(0, 1), (0, 2), (1, 2), (0, 1)], "src long, dst long").repartition(2).write.parquet(f"{folder}/in")
+    stream = lambda: spark.readStream.schema("src long, dst long").option("maxFilesPerTrigger", 1).parquet(f"{folder}/in")
+    names = spark.createDataFrame([(0, "zero"), (1, "one")], "id long, name string")
+    got = []
+    for k, (df, mode) in enumerate(((running_degrees(stream()), "update"), (with_vertices(stream(), names), "append"))):
+        name = f"q{uuid.uuid4().hex[:6]}"
+        query = df.writeStream.trigger(availableNow=True).option("checkpointLocation", f"{folder}/c{k}").outputMode(mode).format("memory").queryName(name).start()
+        query.awaitTermination()
+        got.append(spark.table(name).collect())
+    assert max(r.degree for r in got[0] if r.id == 0) == 3 and len(got[1]) == 4 and {r.name for r in got[1]} == {"zero", "one"}
+    assert deduplicated(stream().withColumn("ts", F.current_timestamp()).withWatermark("ts", "1 hour"), ["src", "dst"]).isStreaming
+
+
+def test_user_functions(spark):
+    from tidegraph.vertexprog import udf
+
+    v = spark.createDataFrame([(0, 1.0), (1, 3.0)], "id long, value double")
+    e = spark.createDataFrame([(0, 2, 2.0), (1, 2, 1.0), (1, 0, 5.0)], "src long, dst long, w double")
+    out = udf.gather(v, e, udf.message_udf(lambda a, w: a * w), udf.combine_udaf(lambda m: float(m.max())))
+    assert values(out) == {2: 3.0, 0: 15.0}
+
+
 def test_rules(spark):
     g = PropertyGraph(spark.range(3), spark.createDataFrame([(0, 1)], "src long, dst long"), True, True)
     step = Step(VertexFunction(lambda v, w: v + w, "min", improves))

@@ -2,11 +2,14 @@
 
 from __future__ import annotations
 
+from contextlib import nullcontext
+
 from pyspark.sql import DataFrame, functions as F, types as T
 
 from tidegraph.graph import PropertyGraph, between
 from tidegraph.plans.iterate import BROADCAST_ROWS, RunReport, SWITCH_AT, VertexState, fixpoint, sized
 from tidegraph.plans.layout import keyed
+from tidegraph.plans.physical import bloom_filters
 
 #: Frontier ids up to which the edge scan gets a list to push down.
 IN_LIST = 1_000
@@ -30,7 +33,7 @@ def sssp(
 
     Hops are BIGINT; ``weight`` sums a column as exact decimals. ``mode``: 'incremental' joins only vertices that changed,
     'full' all reached ones. ``apply``: how updates are taken over (see VertexState). ``sideways``: how the edge scan is
-    narrowed ('none', 'semi', 'inlist'). ``hint``: a join strategy. ``with_parent`` adds the neighbour a shortest path
+    narrowed ('none', 'semi', 'inlist', 'bloom'). ``hint``: a join strategy. ``with_parent`` adds the neighbour a shortest path
     comes from, the smallest of ties. ``max_depth`` bounds the rounds. A source that is no vertex reaches nothing.
     """
     kind = _EXACT if weight else _HOPS
@@ -46,11 +49,13 @@ def sssp(
         known = mode != "full" and 0 < rows <= BROADCAST_ROWS
         scan = narrowed(edges, start, rows, sideways) if known else edges
         side = start.select(F.col("id").alias("src"), F.col("value").alias("d"))
-        side = side.hint(hint) if hint else sized(side, rows) if known else side
+        side = side.hint(hint) if hint else sized(side, rows) if known and sideways != "bloom" else side
         least = scan.join(side, "src").groupBy(F.col("dst").alias("id")).agg(F.min((F.col("d") + F.col("w")).cast(kind)).alias("new"))
         return current.join(least, "id").where("value is null or new < value").select("id", F.col("new").alias("value"))
 
-    report = fixpoint(state, frontier, step, max_depth or 10_000)
+    filters = bloom_filters(graph.vertices.sparkSession) if sideways == "bloom" else nullcontext()
+    with filters:
+        report = fixpoint(state, frontier, step, max_depth or 10_000)
     result = state.current().select("id", F.col("value").alias("dist"))
     if with_parent:
         near = result.select(F.col("id").alias("src"), F.col("dist").alias("d"))

@@ -82,3 +82,26 @@ def run_available(stream: DataFrame, process, checkpoint: str) -> None:
     """Feeds all that is available to ``process(batch, number)``, then stops."""
     query = stream.writeStream.trigger(availableNow=True).option("checkpointLocation", checkpoint).foreachBatch(process).start()
     query.awaitTermination()
+
+
+def deduplicated(events: DataFrame, keys: list[str]) -> DataFrame:
+    """The first of events with equal keys within the watermark."""
+    return events.dropDuplicatesWithinWatermark(keys)
+
+
+def with_vertices(edges: DataFrame, vertices: DataFrame, end: str = "src") -> DataFrame:
+    """Streamed edges with the attributes of a static vertex table at one end."""
+    return edges.join(vertices.withColumnRenamed("id", end), end)
+
+
+def running_degrees(edges: DataFrame) -> DataFrame:
+    """``(id, degree)``: the out-degree so far of every vertex that a micro-batch touches, from state kept by vertex."""
+    import pandas as pd
+    from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
+
+    def count(key, frames, state: GroupState):
+        n = (state.get[0] if state.exists else 0) + sum(len(f) for f in frames)
+        state.update((n,))
+        yield pd.DataFrame({"id": [key[0]], "degree": [n]})
+
+    return edges.select(F.col("src").alias("id"), "dst").groupBy("id").applyInPandasWithState(count, "id long, degree long", "n long", "update", GroupStateTimeout.NoTimeout)

@@ -81,6 +81,7 @@ def run_program(
     messages, message_rows = None, 0
     report.phases["load"] = time.time() - began
     limit = max_supersteps or program.max_supersteps
+    batch_rows = spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")
     spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(batch_vertices))
     combine_sql = _combiner(program)
     began = time.time()
@@ -104,7 +105,7 @@ def run_program(
             report.converged = True
             break
     report.phases["analysis"] = time.time() - began
-    spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", batch_rows)
     began = time.time()
     result = materialize(vertices.select("id", "state"), "result").df
     report.phases["store"] = time.time() - began

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import time
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession, functions as F
@@ -14,10 +15,11 @@ from tidegraph.graph import PropertyGraph
 from tidegraph.operators import labels as L, motifs as M
 from tidegraph.operators.pagerank import pagerank
 from tidegraph.operators.sssp import bfs, khop, khop_recursive_sql, multi_source, sssp, sssp_local_rounds
-from tidegraph.plans import layout
+from tidegraph.plans import layout, physical
 from tidegraph.plans.logical import VertexFunction, gather_apply, improves
 from tidegraph.runtime import materialize, scratch_root
 from tidegraph.sources import derived as G
+from tidegraph.vertexprog import udf
 from tidegraph.vertexprog.api import Components, Ranking, ShortestPath
 from tidegraph.vertexprog.cf import collaborative_filtering
 from tidegraph.vertexprog.runners import run_program
@@ -537,12 +539,36 @@ for _name, _options in {
     "cost": {"apply": "cost"},
     "sideways_semi": {"sideways": "semi"},
     "sideways_inlist": {"sideways": "inlist", "cached": False},
+    "sideways_bloom": {"sideways": "bloom", "cached": False},
     "hint_merge": {"hint": "merge"},
     "hint_hash": {"hint": "shuffle_hash"},
 }.items():
     query(_HOPS2S, f"w_ablation_sssp_{_name}")(_ablation(**_options))
 
 
+@query(ORACLES["w_triangles"])
+def w_triangles_cost_based(spark, d):
+    """Triangles as one SQL statement over an analysed, bucketed copy of the edges, in the join order the statistics give."""
+    name = f"slice_{uuid.uuid4().hex[:8]}"
+    tables = layout.write_bucketed(G.co_purchase(spark, d), name, 4, by=("src",))
+    physical.analyse(spark, tables["src"])
+    e = tables["src"]
+    with physical.cost_based(spark):
+        n = spark.sql(f"SELECT count(*) AS triangles FROM {e} a JOIN {e} b ON b.src = a.dst JOIN {e} c ON c.src = a.src AND c.dst = b.dst WHERE a.src < a.dst AND b.src < b.dst").first()[0]
+    for t in tables.values():
+        spark.sql(f"DROP TABLE {t}")
+    return spark.createDataFrame([(n,)], "triangles long")
+
+
+@query(f"WITH {O.G1D} SELECT dst AS id, round(sum(src * 0.5::DOUBLE), 6) AS value FROM g1d GROUP BY dst")
+def w_user_functions(spark, d):
+    """One round with a user's message expression and combiner as vectorised functions."""
+    g = _g1(spark, d)
+    values = g.vertices.select("id", F.col("id").cast("double").alias("value"))
+    out = udf.gather(values, g.edges.withColumn("w", F.lit(0.5)), udf.message_udf(lambda v, w: v * w), udf.combine_udaf(lambda m: float(m.sum())))
+    return out.select("id", F.round("value", 6).alias("value"))
+
+
 @query(ORACLES["w_pagerank_10"])
 def w_ablation_pagerank_kept_join(spark, d):
     return _rounded(pagerank(_g1(spark, d), eliminate_join=False))
