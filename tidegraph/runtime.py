@@ -12,6 +12,9 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame, SparkSession
 
 
+_BATCH = "spark.sql.execution.arrow.maxRecordsPerBatch"
+
+
 def session(app: str = "tidegraph", cores: str | int = "*", shuffle_partitions: int = 8, **conf) -> SparkSession:
     """A local session for tests and the bench; on a cluster pass the session that is already there to the operators."""
     builder = (
@@ -64,9 +67,18 @@ def materialize(df: DataFrame, label: str = "t") -> Scratch:
     return Scratch(spark, path, spark.read.schema(df.schema).parquet(path))
 
 
+#: Rows that a Python worker gets at once unless the session says otherwise; bounds its memory with long texts.
+BATCH_ROWS = 2_000
+
+
 def ship(spark: SparkSession) -> None:
-    """Send this package to the Python workers once per application, so that their functions import it anywhere."""
+    """Send this package to the Python workers once per application, so that their functions import it anywhere.
+
+    Also bounds the rows of an Arrow batch where the session has left Spark's default.
+    """
     context = spark.sparkContext
+    if spark.conf.get(_BATCH) == "10000":
+        spark.conf.set(_BATCH, str(BATCH_ROWS))
     if getattr(context, "_tidegraph_shipped", False):
         return
     package = os.path.dirname(os.path.abspath(__file__))
