@@ -181,7 +181,8 @@ def repeated_spans(docs: DataFrame, window: int = 50, id_col: str = "doc_id", te
         "doc_id", F.col("a.anchors").alias("anchor"), F.col("a.firsts").alias("first"), F.col("a.nexts").alias("next")
     )
     recurring = placed.groupBy("anchor").agg(F.min("doc_id").alias("earliest"), F.max("doc_id").alias("latest")).where("earliest < latest")
-    flagged = materialize(placed.join(recurring.select("anchor"), "anchor"), "flagged")
+    recurring = materialize(recurring.select("anchor"), "recurring")  # a plain side, so that the join can split a hot anchor
+    flagged = materialize(placed.join(recurring.df, "anchor"), "flagged")
     per_doc = flagged.df.groupBy("doc_id").agg(F.collect_list(F.struct("anchor", "first", "next")).alias("runs"))
 
     def normalise(batches):
@@ -295,7 +296,7 @@ def repeated_spans(docs: DataFrame, window: int = 50, id_col: str = "doc_id", te
         scanned.df.select("doc_id", "n_words", "whole_sha256", "key").join(originals.df, "key")
         .select("doc_id", "n_words", "whole_sha256", (F.col("doc_id") > F.col("original")).alias("copy"))
     )
-    for used in (flagged, regions, confirmed, hits):
+    for used in (recurring, flagged, regions, confirmed, hits):
         used.drop()
     return whole, spans.df, suspects.df
 

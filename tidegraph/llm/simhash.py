@@ -114,7 +114,7 @@ class _Forest:
 
 
 def _spanning(key: int, ids: np.ndarray, fp: np.ndarray, sketch: np.ndarray | None, distance: int, agree: int) -> list[tuple[int, int]]:
-    """Links that span what one signature connects. fp: (fingerprints, members) unsigned; sketch: (members, bytes) or None.
+    """Links from the smallest id of each group that one signature connects to the group's others. fp: (fingerprints, members) unsigned; sketch: (members, bytes) or None.
 
     A pair belongs to the signature whose wild bit is the only one its segment differs in; equal segments belong to the
     segment's first bit. So no pair is compared twice for one segment.
@@ -123,7 +123,10 @@ def _spanning(key: int, ids: np.ndarray, fp: np.ndarray, sketch: np.ndarray | No
     first, width = next((a, w) for a, w in segments(distance) if a <= bit < a + w)
     own = np.uint64(((1 << width) - 1) << first)
     x = fp[which]
-    out, forest = [], _Forest(len(ids))
+    order = np.argsort(ids, kind="stable")
+    ids, x = ids[order], x[order]
+    sketch = None if sketch is None else sketch[order]
+    forest = _Forest(len(ids))
     for i in range(len(ids) - 1):
         diff = x[i + 1 :] ^ x[i]
         inside = diff & own
@@ -134,16 +137,16 @@ def _spanning(key: int, ids: np.ndarray, fp: np.ndarray, sketch: np.ndarray | No
         if sketch is not None and fits.any():
             fits &= (sketch[i + 1 :] == sketch[i]).sum(1) >= agree
         for j in np.flatnonzero(fits):
-            if ids[i] != ids[i + 1 + j] and forest.join(i, i + 1 + int(j)):
-                out.append((int(ids[i]), int(ids[i + 1 + j])))
-    return out
+            forest.join(i, i + 1 + int(j))
+    tops = [forest.root(i) for i in range(len(ids))]
+    return [(int(ids[t]), int(ids[i])) for i, t in enumerate(tops) if ids[t] != ids[i]]
 
 
 def near_links(nodes: DataFrame, distance: int = 3, fps: tuple[str, ...] = ("fp",), sketch: str | None = None, agree: int = 0) -> DataFrame:
     """``nodes(id, <fps>, <sketch>)`` -> links ``(a, b)`` that connect all nodes within ``distance`` bits in any fingerprint.
 
-    The links span: two nodes that are near are always connected through links between near nodes, but of a dense group
-    only a forest is returned, never all its pairs. ``sketch`` names a binary column of which at least ``agree`` bytes
+    The links span: two nodes are connected by them if and only if they are by near pairs. Each signature gives links from
+    the smallest of its members, so that those of a dense group fall together, and never all its pairs. ``sketch`` names a binary column of which at least ``agree`` bytes
     must be equal too. Signatures held by over ``BLOCK`` nodes are dealt out in blocks, and every pair of blocks is
     compared in a task of its own.
     """

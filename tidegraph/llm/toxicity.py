@@ -152,7 +152,7 @@ def _rate(lexicon: dict[str, float], clean: dict[str, int], n_clean: int, drift:
 
 
 def fit(
-    docs: DataFrame, labels: DataFrame, label: str = "toxic", parts: int = 5, kept_out: int = 0, limit: int = MAX_TRAINING_DOCS, prior_words: float = 50_000.0, least_docs: int = 3, least_z: float = 2.5, least_lean: float = 2.0, drift: float = 2.0
+    docs: DataFrame, labels: DataFrame, label: str = "toxic", parts: int = 5, kept_out: int = 0, limit: int = MAX_TRAINING_DOCS, prior_share: float = 0.05, least_docs: int = 3, least_z: float = 2.5, least_lean: float = 2.0, drift: float = 2.0
 ) -> Model:
     """Fit on at most ``limit`` labelled documents outside the held-out fold: word counts on four fifths, calibration on the rest.
 
@@ -181,7 +181,7 @@ def fit(
         return Model({}, {}, drift, 1.0, 0.1, [math.log(p / (1 - p)), 0.0, 0.0, 0.0])
     leaning = counted.df.where(F.col("docs") >= least_docs).orderBy(F.abs(F.col("toxic") / sums["t"] - F.col("clean") / sums["c"]).desc(), "word").limit(4 * MAX_LEXICON)
     counts = [(r["word"], r["toxic"], r["clean"]) for r in leaning.collect()]  # at most four lexicons
-    lexicon, stems = _lexicon(counts, sums["t"], sums["c"], prior_words, least_z, least_lean)
+    lexicon, stems = _lexicon(counts, sums["t"], sums["c"], prior_share * (sums["t"] + sums["c"]), least_z, least_lean)
     clean = {w: c for w, _, c in counts}
     rate, scale = _rate({**lexicon, **{f"{w}~": v for w, v in stems.items()}}, clean, sums["c"], drift)
     model = Model(lexicon, stems, drift, rate, scale)
