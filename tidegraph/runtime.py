@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-import contextlib
+import io
 import os
 import tempfile
 import uuid
@@ -82,14 +82,17 @@ def ship(spark: SparkSession) -> None:
     if getattr(context, "_tidegraph_shipped", False):
         return
     package = os.path.dirname(os.path.abspath(__file__))
-    folder = tempfile.mkdtemp(prefix="tidegraph-code-")
-    target = os.path.join(folder, "tidegraph_code.zip")
-    with zipfile.ZipFile(target, "w") as archive:
+    packed = io.BytesIO()
+    with zipfile.ZipFile(packed, "w") as archive:
         for top, _, names in os.walk(package):
             for name in names:
                 if name.endswith(".py"):
                     full = os.path.join(top, name)
                     archive.write(full, os.path.relpath(full, os.path.dirname(package)))
-    with contextlib.suppress(Exception):
-        context.addPyFile(target)
+    target = f"{scratch_root(spark)}/code/tidegraph_{uuid.uuid4().hex}.zip"
+    path = context._jvm.org.apache.hadoop.fs.Path(target)
+    stream = path.getFileSystem(context._jsc.hadoopConfiguration()).create(path)
+    stream.write(packed.getvalue())
+    stream.close()
+    context.addPyFile(target)
     context._tidegraph_shipped = True
