@@ -12,6 +12,8 @@ from tidegraph.runtime import Scratch, materialize
 
 #: Up to so many updates in a round patch the vertex relation; more replace it.
 SWITCH_AT = 5_000
+#: Patches that readers merge; more become one.
+MAX_PATCHES = 3
 #: Rows up to which a frontier or overlay of a counted size is sent to every executor.
 BROADCAST_ROWS = 200_000
 
@@ -43,8 +45,8 @@ def sized(df: DataFrame, rows: int) -> DataFrame:
 class VertexState:
     """``(id, value)`` under updates. ``how``: replace, patch, auto (by SWITCH_AT) or cost (by what either would write and read).
 
-    Files cannot be updated in place, so a patch is an overlay that readers merge with the base; an overlay beyond the
-    limit is folded into a new base.
+    Files cannot be updated in place, so a patch is an overlay that readers merge with the base; a few patches become one,
+    and an overlay beyond the limit is folded into a new base.
     """
 
     def __init__(self, base: DataFrame, how: str = "auto", switch_at: int = SWITCH_AT):
@@ -57,14 +59,20 @@ class VertexState:
     def overlay_rows(self) -> int:
         return sum(n for _, n in self.overlay)
 
+    def _newest(self) -> DataFrame:
+        """The overlay's latest value of each id."""
+        if len(self.overlay) == 1:
+            return self.overlay[0][0].df
+        rows = self.overlay[0][0].df.withColumn("at", F.lit(0))
+        for k, (delta, _) in enumerate(self.overlay[1:], 1):
+            rows = rows.unionByName(delta.df.withColumn("at", F.lit(k)))
+        return rows.groupBy("id").agg(F.max_by("value", "at").alias("value"))
+
     def current(self) -> DataFrame:
         if not self.overlay:
             return self.base.df
-        newest = self.overlay[0][0].df.withColumn("at", F.lit(0))
-        for k, (delta, _) in enumerate(self.overlay[1:], 1):
-            newest = newest.unionByName(delta.df.withColumn("at", F.lit(k)))
-        newest = newest.groupBy("id").agg(F.max_by("value", "at").alias("new"))
-        return self.base.df.join(sized(newest, self.overlay_rows), "id", "left").select("id", F.coalesce("new", "value").alias("value"))
+        newest = sized(self._newest().withColumnRenamed("value", "new"), self.overlay_rows)
+        return self.base.df.join(newest, "id", "left").select("id", F.coalesce("new", "value").alias("value"))
 
     def _patch(self, updates: int) -> bool:
         if self.how == "cost":
@@ -77,6 +85,8 @@ class VertexState:
         """Take over ``delta(id, value)``; returns what was done."""
         self.overlay.append((delta, updates))
         if self._patch(updates):
+            if len(self.overlay) > MAX_PATCHES:
+                self.overlay = [(materialize(self._newest(), "overlay"), self.overlay_rows)]
             return "patch"
         folded = materialize(self.current(), "state")
         self.base.drop()
