@@ -409,6 +409,31 @@ def test_near_duplicates_match_brute_force(spark):
     assert {r.doc_id: r.group_id for r in simhash.near_duplicate_groups(docs).collect()} == {i: root(i) for i in range(len(texts))}
 
 
+def test_inserted_and_dropped_blocks_are_near_duplicates(spark):
+    """Appended, truncated and scattered-edit pairs near 0.8: none that brute force has is missed, none is added."""
+    texts = []
+    for i in range(40):
+        w = words_of(200, 900 + i, 4000)
+        scattered = list(w)
+        for j in random.Random(i).sample(range(200), 4):
+            scattered[j] = "edited"
+        texts += [" ".join(v) for v in (w, w + words_of(36 + i // 2, 2000 + i, 4000), w[: 172 - i // 2], scattered)]
+    sets = [set(zip(*(t.split()[k:] for k in range(5)))) for t in texts]
+    up = list(range(len(texts)))
+
+    def root(x):
+        while up[x] != x:
+            x = up[x]
+        return x
+
+    near = [(a, b) for a, b in itertools.combinations(range(len(texts)), 2) if 5 * len(sets[a] & sets[b]) >= 4 * len(sets[a] | sets[b])]
+    assert min(collections.Counter((b - a, a % 4) for a, b in near)[k] for k in ((1, 0), (2, 0), (3, 0))) > 20
+    for a, b in near:
+        x, y = root(a), root(b)
+        up[max(x, y)] = min(x, y)
+    assert {r.doc_id: r.group_id for r in simhash.near_duplicate_groups(docs_of(spark, texts)).collect()} == {i: root(i) for i in range(len(texts))}
+
+
 def test_simhash_on_awkward_tables(spark, awkward, empty):
     got = sorted((r.doc_id, r.component_id) for r in simhash.near_components(awkward).collect())
     assert got == [(0, 0), (1, 0), (2, 0), (3, 3), (4, 4), (5, 4), (5, 4)]

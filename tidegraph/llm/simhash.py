@@ -8,6 +8,7 @@ bits with that bit wild, the variants meet in an equality join, and full fingerp
 from __future__ import annotations
 
 import hashlib
+import math
 
 import numpy as np
 import pyarrow as pa
@@ -234,19 +235,21 @@ def near_duplicate_groups(
 ) -> DataFrame:
     """``(doc_id, group_id)`` of every document with text: groups linked at Jaccard ``similarity`` or more of word shingles.
 
-    Candidates come from SimHash fingerprints over words weighted by the root of their counts, one for each seed, within
-    ``distance`` bits; a sketch of the shingles removes chance meetings; then every pair of a candidate group is held
-    against ``similarity`` on its whole shingle sets. Texts that are equal word for word are one node. group_id is the
+    SimHash fingerprints over words weighted by the root of their counts, one for each seed, give candidates within
+    ``distance`` bits, cheaply and for most groups; a sketch of the shingles removes chance meetings. A prefix-filter pass
+    then finds every pair between the groups so far, so the result is that of comparing all pairs. Each candidate group is
+    held against ``similarity`` on its whole shingle sets. Texts that are equal word for word are one node. group_id is the
     group's smallest id. Texts without words stay alone (they are no copies of anything), as do null ids with no row.
     """
     spark = docs.sparkSession
     ship(spark)
     names = [f"fp{k}" for k in range(len(seeds))]
-    schema = "id long, key binary, words long, sketch binary, " + ", ".join(f"{x} long" for x in names)
+    parities = [f"parity{k}" for k in range(PARITY_BITS // 64)]
+    schema = "id long, key binary, words long, sketch binary, " + ", ".join(f"{x} long" for x in [*names, *parities])
 
     def scan(batches):
         for batch in batches:
-            keys, counts, sketches, prints = [], [], [], []
+            keys, counts, sketches, prints, marks = [], [], [], [], []
             for raw in _binary(batch.column(1)):
                 words = raw.lower().split()
                 keys.append(hashlib.md5(b" ".join(words)).digest())
@@ -254,30 +257,124 @@ def near_duplicate_groups(
                 if not words:
                     sketches.append(bytes(SKETCH_BYTES))
                     prints.append([0] * len(seeds))
+                    marks.append(bytes(PARITY_BITS // 8))
                     continue
                 tally: dict[bytes, int] = {}
                 for w in words:
                     tally[w] = tally.get(w, 0) + 1
                 weights = np.sqrt(np.fromiter(tally.values(), dtype=np.float64))
                 prints.append([fingerprint(list(tally), s, weights) for s in seeds])
-                sketches.append(_sketch(shingle_hashes(words, width)))
+                hashes = shingle_hashes(words, width)
+                sketches.append(_sketch(hashes))
+                marks.append(_parity(hashes))
             columns = [batch.column(0), pa.array(keys, pa.binary()), pa.array(counts, pa.int64()), pa.array(sketches, pa.binary())]
-            yield pa.RecordBatch.from_arrays([*columns, *[_signed([p[k] for p in prints]) for k in range(len(seeds))]], ["id", "key", "words", "sketch", *names])
+            columns += [_signed([p[k] for p in prints]) for k in range(len(seeds))]
+            table = np.frombuffer(b"".join(marks), dtype=np.int64).reshape(len(keys), -1)
+            columns += [pa.array(np.ascontiguousarray(table[:, k])) for k in range(len(parities))]
+            yield pa.RecordBatch.from_arrays(columns, ["id", "key", "words", "sketch", *names, *parities])
 
     texts = docs.where(F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
     scanned = materialize(texts.mapInArrow(scan, schema), "scanned")
     worded = scanned.df.where("words > 0")
-    classes = materialize(worded.groupBy("key").agg(F.min("id").alias("id"), *[F.first(c).alias(c) for c in ("sketch", *names)]), "classes")
+    classes = materialize(worded.groupBy("key").agg(F.min("id").alias("id"), *[F.first(c).alias(c) for c in ("sketch", *names, *parities)]), "classes")
     candidates = materialize(
         star_components(near_links(classes.df, distance, tuple(names), "sketch", agree=SKETCH_BYTES * 3 // 8)), "candidates"
     )
     verified = star_components(_verified_links(texts, candidates, width, similarity))
-    grouped = classes.df.join(verified, "id", "left").select("key", F.coalesce("component", "id").alias("group_id"))
+    nodes = materialize(classes.df.join(verified, "id", "left").select("key", "id", F.coalesce("component", "id").alias("found"), *parities), "nodes")
+    met = materialize(star_components(_prefix_links(texts, nodes.df, width, similarity, parities)), "met")
+    links = _verified_links(texts, met, width, similarity).unionByName(nodes.df.where("id <> found").select(F.col("found").alias("a"), F.col("id").alias("b")))
+    whole = star_components(links)
+    grouped = nodes.df.join(whole, "id", "left").select("key", F.coalesce("component", "id").alias("group_id"))
     return (
         scanned.df.join(grouped, "key", "left").select(F.col("id").alias("doc_id"), F.coalesce("group_id", "id").alias("group_id"))
     )
 
 
+#: Bits of a text's parity map; each shingle flips one, so two maps differ in no more bits than their sets differ in shingles.
+PARITY_BITS = 512
+#: Documents whose shingles are counted to put frequent ones last, and the most of them that are remembered.
+ORDER_DOCS, ORDER_SHINGLES = 20_000, 200_000
+
+
+def _parity(hashes: np.ndarray) -> bytes:
+    flips = np.bincount((hashes & np.uint64(PARITY_BITS - 1)).astype(np.int64), minlength=PARITY_BITS)
+    return np.packbits((flips & 1).astype(np.uint8)).tobytes()
+
+
+def prefix_length(size: int, similarity: float) -> int:
+    """Two sets of which one has ``size`` members share one of its first so many, in any common order, if they reach ``similarity``."""
+    return size - math.ceil(similarity * size - 1e-9) + 1
+
+
+def _frequent(texts: DataFrame, nodes: DataFrame, width: int) -> np.ndarray:
+    """Hashes of shingles that recur in a sample of the texts, sorted by hash with how often: (2, n). Any order is exact; this one keeps groups small."""
+    step = max(1, nodes.count() // ORDER_DOCS)
+    sample = texts.join(nodes.where(F.pmod(F.xxhash64("id"), F.lit(step)) == 0).select("id"), "id").select("text")
+
+    def run(batches):
+        for batch in batches:
+            sets = [shingle_hashes(w, width) for x in _binary(batch.column(0)) if (w := x.lower().split())]
+            flat = np.concatenate(sets) if sets else np.zeros(0, dtype=np.uint64)
+            yield pa.RecordBatch.from_arrays([pa.array(flat.view(np.int64))], ["token"])
+
+    counts = sample.mapInArrow(run, "token long").groupBy("token").agg(F.count(F.lit(1)).alias("n")).where("n > 2")
+    rows = counts.orderBy(F.desc("n"), "token").limit(ORDER_SHINGLES).toArrow()
+    token = rows["token"].to_numpy().view(np.uint64)
+    order = np.argsort(token)
+    return np.stack([token[order], rows["n"].to_numpy().astype(np.uint64)[order]])
+
+
+def _prefix_links(texts: DataFrame, nodes: DataFrame, width: int, similarity: float, parities: list[str]) -> DataFrame:
+    """Pairs ``(a, b)`` of different ``found`` groups, all of those at ``similarity`` or more among them.
+
+    Sets that similar share a shingle of both prefixes. Sizes, the places of the first shared shingle and the parity maps
+    bound the overlap and drop most others; none of these bounds can drop a true pair.
+    """
+    spark = texts.sparkSession
+    frequent = spark.sparkContext.broadcast(_frequent(texts, nodes, width))
+
+    def tokens(batches):
+        known, times = frequent.value
+        for batch in batches:
+            ids, founds = batch.column(0).to_numpy(), batch.column(1).to_numpy()
+            prefixes, sizes = [], []
+            for raw in _binary(batch.column(2)):
+                own = shingle_hashes(raw.lower().split(), width)
+                sizes.append(len(own))
+                if len(known):
+                    at = np.minimum(np.searchsorted(known, own), len(known) - 1)
+                    own = own[np.argsort(np.where(known[at] == own, times[at], 0), kind="stable")]
+                prefixes.append(own[: prefix_length(len(own), similarity)])
+            held = [len(x) for x in prefixes]
+            flat = np.concatenate(prefixes) if prefixes else np.zeros(0, dtype=np.uint64)
+            places = np.concatenate([np.arange(n, dtype=np.int32) for n in held]) if held else np.zeros(0, dtype=np.int32)
+            columns = [flat.view(np.int64), np.repeat(ids, held), np.repeat(founds, held), np.repeat(np.array(sizes, dtype=np.int32), held), places]
+            yield pa.RecordBatch.from_arrays([pa.array(c) for c in columns], ["token", "id", "found", "size", "place"])
+
+    rows = materialize(texts.join(nodes.select("id", "found"), "id").select("id", "found", "text").mapInArrow(tokens, "token long, id long, found long, size int, place int"), "prefixes")
+    held = rows.df.groupBy("token").agg(F.count(F.lit(1)).alias("n"), F.min("found").alias("one"), F.max("found").alias("two")).where("one < two").select("token", "n")
+    count = F.ceil(F.col("n") / BLOCK).cast("int")
+    members = materialize(rows.df.join(held, "token").withColumn("count", count).join(nodes.select("id", *parities), "id"), "members")
+    rows.drop()
+    left = members.df.withColumn("own", F.pmod(F.xxhash64("id"), F.col("count")).cast("int")).alias("x")
+    right = members.df.withColumn("own", F.explode(F.sequence(F.lit(0), F.col("count") - 1))).alias("y")
+    x, y = (lambda c: F.col(f"x.{c}")), (lambda c: F.col(f"y.{c}"))
+    total = x("size") + y("size")
+    apart = F.lit(0)
+    for p in parities:
+        apart = apart + F.bit_count(x(p).bitwiseXOR(y(p)))
+    reach = F.least(x("size") - x("place"), y("size") - y("place"))
+    near = (
+        (x("id") < y("id")) & (x("found") != y("found"))
+        & (F.least(x("size"), y("size")) >= similarity * F.greatest(x("size"), y("size")) - 1e-9)
+        & (reach >= total * (similarity / (1 + similarity)) - 1e-6)
+        & (apart <= total * ((1 - similarity) / (1 + similarity)) + 1e-6)
+    )
+    joined = left.join(right, (x("token") == y("token")) & (x("own") == y("own")) & near)
+    return joined.select(x("id").alias("a"), y("id").alias("b")).distinct()
+
+
 def _verified_links(texts: DataFrame, candidates: Scratch, width: int, similarity: float) -> DataFrame:
     """Links at ``similarity`` or more inside each candidate group, spanning; groups over BLOCK go in pairs of blocks."""
 
