@@ -164,3 +164,27 @@ def test_level_sizes_of_the_slice(spark, sf):
     _, report = sssp(g, source)
     assert [r["updates"] for r in report.rounds] == [4, 3, 5, 15, 37, 30, 10, 0]
     assert M.triangle_count(g).first()[0] == 414 and M.strong_overlap(g, 4).count() == 107 and M.weak_ties(g, 20).count() == 20
+
+
+def test_embedding_components_match_brute_force(spark, sf):
+    """Every pair at the threshold counts, also across blocks."""
+    import numpy as np
+
+    rows = spark.read.parquet(f"{sf}/embeddings.parquet").select("vec_id", "embedding").collect()
+    v = np.array([r.embedding for r in rows], dtype=np.float64)
+    v /= np.linalg.norm(v, axis=1)[:, None]
+    for least in (0.3, 0.4):
+        near = v @ v.T >= least
+        want, seen = {}, set()
+        for i in sorted(range(len(rows)), key=lambda k: rows[k].vec_id):
+            waiting = [] if i in seen else [i]
+            seen.update(waiting)
+            while waiting:
+                j = waiting.pop()
+                want[rows[j].vec_id] = rows[i].vec_id
+                fresh = set(np.flatnonzero(near[j]).tolist()) - seen
+                seen |= fresh
+                waiting += fresh
+        g = G.embedding_neighbours(spark, sf, least, block=64)
+        got = {r.id: r.component for r in L.connected_components_star(g).collect()}
+        assert {i: got.get(i, i) for i in want} == want

@@ -104,15 +104,47 @@ def geography(spark: SparkSession, sf_dir: str) -> PropertyGraph:
     return PropertyGraph.of_edges(edges)
 
 
-def embedding_neighbours(spark: SparkSession, sf_dir: str, least: float = 0.3, bits: int = 8, tables: int = 12, seed: int = 11) -> PropertyGraph:
-    """Vectors of cosine similarity ``least`` or more that meet in a table of random-hyperplane signatures."""
-    import numpy as np
-
-    planes = np.random.default_rng(seed).normal(size=(tables, bits, 64))
-    vectors = table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("id"), F.col("embedding").cast("array<double>").alias("v"))
-    dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
-    codes = [F.concat(F.lit(f"{t}:"), *[F.when(dot(F.col("v"), F.array(*[F.lit(float(x)) for x in planes[t, b]])) > 0, "1").otherwise("0") for b in range(bits)]) for t in range(tables)]
-    keyed = vectors.select("id", "v", F.explode(F.array(*codes)).alias("k"))
-    met = keyed.alias("a").join(keyed.alias("b"), "k").where("a.id < b.id").select(F.col("a.id").alias("src"), F.col("b.id").alias("dst"), F.col("a.v").alias("x"), F.col("b.v").alias("y")).dropDuplicates(["src", "dst"])
-    near = met.where(dot(F.col("x"), F.col("y")) >= least * F.sqrt(dot(F.col("x"), F.col("x")) * dot(F.col("y"), F.col("y"))))
-    return PropertyGraph(vectors.select("id"), near.select("src", "dst"), False, True).symmetrised()
+#: Vectors of a block; every pair of blocks is compared in a task of its own.
+VECTOR_BLOCK = 2_048
+
+
+def embedding_neighbours(spark: SparkSession, sf_dir: str, least: float = 0.3, block: int = VECTOR_BLOCK) -> PropertyGraph:
+    """Vectors connected by cosine similarities of ``least`` or more: the edges span each component, and are not all its pairs.
+
+    Every pair of blocks is compared, as no index reaches all pairs at a similarity this low; the work grows with the
+    square of the vectors. A pair of blocks gives at most as many edges as it has vectors.
+    """
+    vectors = table(spark, sf_dir, "embeddings").select(F.col("vec_id").cast("long").alias("id"), F.col("embedding").cast("array<double>").alias("v"))
+    count = max(1, -(-vectors.count() // block))
+    dealt = (
+        vectors.withColumn("own", F.pmod(F.xxhash64("id"), F.lit(count)).cast("int"))
+        .withColumn("other", F.explode(F.sequence(F.lit(0), F.lit(count - 1))))
+        .select("id", "v", F.least("own", "other").alias("one"), F.greatest("own", "other").alias("two"))
+    )
+    near = dealt.groupBy("one", "two").applyInArrow(_spanning_pairs(least), "src long, dst long")
+    return PropertyGraph(vectors.select("id"), near, False, True).symmetrised()
+
+
+def _spanning_pairs(least: float):
+    def compare(rows):
+        import numpy as np
+        import pyarrow as pa
+
+        ids = rows["id"].to_numpy()
+        vectors = np.array(rows["v"].to_pylist(), dtype=np.float64)
+        size = np.sqrt((vectors * vectors).sum(1))
+        unseen, src, dst = np.ones(len(ids), dtype=bool), [], []
+        for start in range(len(ids)):
+            if not unseen[start]:
+                continue
+            unseen[start], waiting = False, [start]
+            while waiting:
+                i = waiting.pop()
+                found = np.flatnonzero(unseen & (vectors @ vectors[i] >= least * size * size[i]))
+                unseen[found] = False
+                waiting += found.tolist()
+                src += [ids[i]] * len(found)
+                dst += ids[found].tolist()
+        return pa.table({"src": pa.array(src, pa.int64()), "dst": pa.array(dst, pa.int64())})
+
+    return compare
