@@ -458,6 +458,16 @@ def test_page_text():
     assert htmltext.main_text(None) == htmltext.main_text("") == htmltext.main_text("<p></p>") == htmltext.main_text("<nav>x</nav>") == ""
 
 
+def test_page_text_of_several_regions():
+    """Text in a div beside a teaser card, and in sibling articles; the card is no content."""
+    blocks = [" ".join(words_of(40, 70 + i)) for i in range(6)]
+    body = "".join(f"<p>{x}</p>" for x in blocks[:3])
+    card = "<article><h2><a href=1>More</a></h2><p><a href=2>Read it</a></p></article>"
+    assert htmltext.main_text(f"<body>{card}<div>{body}</div>{card}</body>") == "\n".join(blocks[:3])
+    two = f"<body><article>{body}</article><article><h2>Part two</h2>" + "".join(f"<p>{x}</p>" for x in blocks[4:]) + "</article></body>"
+    assert htmltext.main_text(two) == "\n".join([*blocks[:3], "Part two", *blocks[4:]])
+
+
 def test_pages_of_the_table(spark, tables):
     import html
 

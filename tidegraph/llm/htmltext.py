@@ -125,32 +125,46 @@ def smoothed(ratios: np.ndarray, radius: int = 2) -> np.ndarray:
     return np.convolve(np.pad(ratios, radius, mode="edge"), kernel / kernel.sum(), mode="valid")
 
 
+def _regions(lines: list[tuple[str, int, int]]) -> list[list[int]]:
+    """Line numbers of each candidate: the lines of an article or main element, and each run of lines outside of all."""
+    out: list[list[int]] = []
+    held: dict[int, list[int]] = {}
+    before = None
+    for i, (_, _, holder) in enumerate(lines):
+        if holder >= 0 and holder in held:
+            held[holder].append(i)
+        elif holder < 0 and before == holder:
+            out[-1].append(i)
+        else:
+            out.append([i])
+            if holder >= 0:
+                held[holder] = out[-1]
+        before = holder
+    return out
+
+
 def content_lines(lines: list[tuple[str, int, int]]) -> list[str]:
-    """The lines of the page's content region.
+    """The lines of the page's content regions, in the order of the page.
 
-    Lines outside furniture get their text-to-tag ratio; smoothed ratios above the threshold (their standard deviation, or
-    half their mean if that is less) are content. The article or main element that holds most content text is the region,
-    and all its lines belong to it, short ones too; without such an element the region runs from the first to the last
+    Lines outside furniture get their text-to-tag ratio, smoothed within their candidate region; ratios above the page's
+    threshold (their standard deviation, or half their mean if that is less) are content. Every region with content is
+    kept: of an article or main element all lines, short ones too, of text outside the lines from the first to the last
     content line.
     """
     if not lines:
         return []
     ratios = np.array([len(t) / max(1, k) for t, k, _ in lines], dtype=np.float64)
-    smooth = smoothed(ratios)
+    regions = _regions(lines)
+    smooth = np.empty_like(ratios)
+    for own in regions:
+        smooth[own] = smoothed(ratios[own])
     content = smooth >= min(smooth.std(), smooth.mean() / 2)
-    weight: dict[int, int] = {}
-    for (text, _, holder), good in zip(lines, content):
-        if good and holder >= 0:
-            weight[holder] = weight.get(holder, 0) + len(text)
-    if not weight:
-        for text, _, holder in lines:
-            if holder >= 0:
-                weight[holder] = weight.get(holder, 0) + len(text)
-    if weight:
-        best = max(weight, key=lambda h: (weight[h], -h))
-        return [t for t, _, h in lines if h == best]
-    at = np.flatnonzero(content)
-    return [t for t, _, _ in lines[at[0] : at[-1] + 1]] if len(at) else []
+    kept: list[int] = []
+    for own in regions:
+        good = np.flatnonzero(content[own])
+        if len(good):
+            kept += own if lines[own[0]][2] >= 0 else own[good[0] : good[-1] + 1]
+    return [lines[i][0] for i in sorted(kept)]
 
 
 def main_text(html: str | None) -> str:
