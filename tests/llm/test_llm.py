@@ -368,7 +368,7 @@ def test_links_over_dense_groups(spark, distance, monkeypatch):
             x ^= 1 << b
         prints[i] = x
     nodes = spark.createDataFrame([(i, x - (1 << 64) if x >> 63 else x) for i, x in prints.items()], "id long, fp long")
-    links = [(r.a, r.b) for r in simhash.near_links(nodes, distance).collect()]
+    links = [(r.a, r.b) for r in simhash.near_links(nodes, distance).df.collect()]
     assert len(links) < 20 * len(prints)
     up = {i: i for i in prints}
 
@@ -434,6 +434,16 @@ def test_inserted_and_dropped_blocks_are_near_duplicates(spark):
     assert {r.doc_id: r.group_id for r in simhash.near_duplicate_groups(docs_of(spark, texts)).collect()} == {i: root(i) for i in range(len(texts))}
 
 
+def test_near_copies_of_the_documents_are_all_found(spark, tables):
+    """All documents against all: every pair at 0.8 or more is in one group, those of ids that 20 divides among them."""
+    rows = {r.doc_id: (r.text or "").encode().lower().split() for r in tables["documents"].collect()}
+    sets = {i: set(simhash.shingles(w, 5)) for i, w in rows.items() if w}
+    group = {r.doc_id: r.group_id for r in simhash.near_duplicate_groups(tables["documents"]).collect()}
+    alike = lambda x, y: 5 * min(len(x), len(y)) >= 4 * max(len(x), len(y)) and 5 * len(x & y) >= 4 * len(x | y)
+    pairs = [(i, j) for i, j in itertools.combinations(sorted(sets), 2) if alike(sets[i], sets[j])]
+    assert any(i % 20 == 0 or j % 20 == 0 for i, j in pairs) and all(group[i] == group[j] for i, j in pairs)
+
+
 def test_simhash_on_awkward_tables(spark, awkward, empty):
     got = sorted((r.doc_id, r.component_id) for r in simhash.near_components(awkward).collect())
     assert got == [(0, 0), (1, 0), (2, 0), (3, 3), (4, 4), (5, 4), (5, 4)]

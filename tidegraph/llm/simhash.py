@@ -38,18 +38,16 @@ def shingles(words: list[bytes], width: int) -> list[bytes]:
     return [b" ".join(x) for x in zip(*(words[i:] for i in range(width)))]
 
 
-def fingerprint(features: list[bytes], seed: int = 42, weights: np.ndarray | None = None) -> int:
-    """Bit i is 1 if more than half of the (weighted) XXH64 hashes have it; no features give 0."""
+def fingerprint(features: list[bytes], seed: int = 42) -> int:
+    """Bit i is 1 if more than half of the XXH64 hashes have it; no features give 0."""
     if not features:
         return 0
     digest = xxhash.xxh64_digest
-    total = np.zeros(64, dtype=np.int64 if weights is None else np.float64)
+    total = np.zeros(64, dtype=np.int64)
     for at in range(0, len(features), 1 << 15):
         part = features[at : at + (1 << 15)]
-        bits = np.unpackbits(np.frombuffer(b"".join([digest(x, seed) for x in part]), dtype=np.uint8).reshape(-1, 8), axis=1)
-        total += bits.sum(0, dtype=np.int64) if weights is None else weights[at : at + (1 << 15)] @ bits
-    half = len(features) if weights is None else weights.sum()
-    return int.from_bytes(np.packbits(total * 2 > half).tobytes(), "big")
+        total += np.unpackbits(np.frombuffer(b"".join([digest(x, seed) for x in part]), dtype=np.uint8).reshape(-1, 8), axis=1).sum(0, dtype=np.int64)
+    return int.from_bytes(np.packbits(total * 2 > len(features)).tobytes(), "big")
 
 
 def _binary(column: pa.ChunkedArray | pa.Array) -> list[bytes]:
@@ -75,23 +73,16 @@ def shingle_fingerprints(docs: DataFrame, width: int = 3, seed: int = 42, id_col
     return docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")).mapInArrow(run, "id long, fp long")
 
 
-def _variants(nodes: DataFrame, fps: list[str], distance: int) -> DataFrame:
-    """64 rows for each node and fingerprint: the segment of each bit with that bit wild, and the bit's number as a tag."""
+def _variants(nodes: DataFrame, distance: int) -> DataFrame:
+    """64 rows for each node: the segment of each bit of its fingerprint with that bit wild, and the bit's number as a tag."""
     owner = [(a, w) for a, w in segments(distance) for _ in range(w)]
     signed = lambda x: x - (1 << 64) if x >> 63 else x
     masks = F.array(*[F.lit(signed((((1 << w) - 1) << a) & ~(1 << bit))) for bit, (a, w) in enumerate(owner)])
     firsts = F.array(*[F.lit(a) for a, _ in owner])
-    parts = []
-    for k, name in enumerate(fps):
-        rows = nodes.select("id", F.col(name).alias("fp"), F.explode(F.sequence(F.lit(0), F.lit(63))).alias("bit"))
-        kept = F.col("fp").bitwiseAND(F.element_at(masks, F.col("bit") + 1))
-        packed = F.call_function("shiftrightunsigned", kept, F.element_at(firsts, F.col("bit") + 1))
-        tag = F.shiftleft((F.col("bit") + 64 * k).cast("long"), 33)
-        parts.append(rows.select(packed.bitwiseOR(tag).alias("key"), "id"))
-    out = parts[0]
-    for x in parts[1:]:
-        out = out.unionByName(x)
-    return out
+    rows = nodes.select("id", "fp", F.explode(F.sequence(F.lit(0), F.lit(63))).alias("bit"))
+    kept = F.col("fp").bitwiseAND(F.element_at(masks, F.col("bit") + 1))
+    packed = F.call_function("shiftrightunsigned", kept, F.element_at(firsts, F.col("bit") + 1))
+    return rows.select(packed.bitwiseOR(F.shiftleft(F.col("bit").cast("long"), 33)).alias("key"), "id")
 
 
 class _Forest:
@@ -114,19 +105,19 @@ class _Forest:
         return True
 
 
-def _spanning(key: int, ids: np.ndarray, fp: np.ndarray, sketch: np.ndarray | None, distance: int, agree: int) -> list[tuple[int, int]]:
-    """Links from the smallest id of each group that one signature connects to the group's others. fp: (fingerprints, members) unsigned; sketch: (members, bytes) or None.
+def _spanning(key: int, ids: np.ndarray, fp: np.ndarray, sizes: np.ndarray | None, marks: np.ndarray | None, distance: int, similarity: float) -> list[tuple[int, int]]:
+    """Links from the smallest id of each group that one signature connects to the group's others. fp: (members,) unsigned; sizes and marks: of the members' feature sets, or None.
 
     A pair belongs to the signature whose wild bit is the only one its segment differs in; equal segments belong to the
     segment's first bit. So no pair is compared twice for one segment.
     """
-    which, bit = divmod(key >> 33, 64)
+    bit = key >> 33
     first, width = next((a, w) for a, w in segments(distance) if a <= bit < a + w)
     own = np.uint64(((1 << width) - 1) << first)
-    x = fp[which]
     order = np.argsort(ids, kind="stable")
-    ids, x = ids[order], x[order]
-    sketch = None if sketch is None else sketch[order]
+    ids, x = ids[order], fp[order]
+    if marks is not None:
+        sizes, marks = sizes[order], marks[order]
     forest = _Forest(len(ids))
     for i in range(len(ids) - 1):
         diff = x[i + 1 :] ^ x[i]
@@ -135,34 +126,50 @@ def _spanning(key: int, ids: np.ndarray, fp: np.ndarray, sketch: np.ndarray | No
         if bit == first:
             fits |= inside == 0
         fits &= np.bitwise_count(diff) <= distance
-        if sketch is not None and fits.any():
-            fits &= (sketch[i + 1 :] == sketch[i]).sum(1) >= agree
-        for j in np.flatnonzero(fits):
-            forest.join(i, i + 1 + int(j))
+        near = np.flatnonzero(fits) + i + 1
+        if marks is not None and len(near):
+            near = near[_may_reach(sizes[i], sizes[near], marks[i], marks[near], similarity)]
+        for j in near:
+            forest.join(i, int(j))
     tops = [forest.root(i) for i in range(len(ids))]
     return [(int(ids[t]), int(ids[i])) for i, t in enumerate(tops) if ids[t] != ids[i]]
 
 
-def near_links(nodes: DataFrame, distance: int = 3, fps: tuple[str, ...] = ("fp",), sketch: str | None = None, agree: int = 0) -> DataFrame:
-    """``nodes(id, <fps>, <sketch>)`` -> links ``(a, b)`` that connect all nodes within ``distance`` bits in any fingerprint.
+def _may_reach(size: int, sizes: np.ndarray, mark: np.ndarray, marks: np.ndarray, similarity: float) -> np.ndarray:
+    """False only for sets that cannot reach ``similarity``: their sizes, or the shingles in which their parity maps differ, forbid it."""
+    apart = np.bitwise_count(marks ^ mark).sum(1)
+    return (np.minimum(sizes, size) >= similarity * np.maximum(sizes, size) - 1e-9) & (apart <= (sizes + size) * ((1 - similarity) / (1 + similarity)) + 1e-6)
+
+
+#: Rows of two longs that are sent to every executor; a larger side is shuffled.
+BROADCAST_ROWS = 1_000_000
+
+
+def _counted(table: Scratch) -> DataFrame:
+    """The table, to be broadcast if its counted rows are few."""
+    return F.broadcast(table.df) if table.df.count() <= BROADCAST_ROWS else table.df
+
+
+def near_links(nodes: DataFrame, distance: int = 3, similarity: float | None = None) -> Scratch:
+    """``nodes(id, fp)`` -> links ``(a, b)`` that connect all nodes within ``distance`` bits, as a written table.
 
     The links span: two nodes are connected by them if and only if they are by near pairs. Each signature gives links from
-    the smallest of its members, so that those of a dense group fall together, and never all its pairs. ``sketch`` names a binary column of which at least ``agree`` bytes
-    must be equal too. Signatures held by over ``BLOCK`` nodes are dealt out in blocks, and every pair of blocks is
+    the smallest of its members, so that those of a dense group fall together, and never all its pairs. With
+    ``similarity`` the nodes also have ``size`` and ``parity`` of a feature set, and pairs whose sets cannot be that
+    similar don't link. Signatures held by over ``BLOCK`` nodes are dealt out in blocks, and every pair of blocks is
     compared in a task of its own.
     """
     ship(nodes.sparkSession)
-    fps = list(fps)
-    keys = _variants(nodes, fps, distance)
-    held = keys.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
-    columns = ["id", *fps, *([sketch] if sketch else [])]
-    members = materialize(keys.join(held, "key").join(nodes.select(*columns), "id"), "signatures")
-    width = len(fps)
-
-    def arrays(ids, values, marks):
-        fp = np.stack([np.asarray(v, dtype=np.int64).view(np.uint64) for v in values])
-        sk = None if marks is None else np.frombuffer(b"".join(marks), dtype=np.uint8).reshape(len(ids), -1)
-        return np.asarray(ids, dtype=np.int64), fp, sk
+    keys = _variants(nodes, distance)
+    held = materialize(keys.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1"), "held")
+    columns = ["id", "fp", *(["size", "parity"] if similarity else [])]
+    members = materialize(keys.join(_counted(held), "key").join(nodes.select(*columns), "id"), "signatures")
+    held.drop()
+
+    def spanning(key, ids, fp, sizes, marks):
+        if marks is not None:
+            sizes, marks = np.asarray(sizes, dtype=np.int64), np.frombuffer(b"".join(marks), dtype=np.uint64).reshape(len(ids), -1)
+        return _spanning(key, ids, fp.view(np.uint64), sizes, marks, distance, similarity or 0.0)
 
     def small(batches):
         for batch in batches:
@@ -170,29 +177,36 @@ def near_links(nodes: DataFrame, distance: int = 3, fps: tuple[str, ...] = ("fp"
             lists = batch.column(1)
             flat, ends = lists.flatten(), lists.offsets.to_numpy()
             ends = ends - ends[0]
-            ids, fp, sk = arrays(flat.field(0).to_numpy(), [flat.field(1 + k).to_numpy() for k in range(width)], flat.field(1 + width).to_pylist() if sketch else None) if len(flat) else ([], None, None)
-            for key, a, b in zip(batch.column(0).to_pylist(), ends, ends[1:]):
-                found.update(dict.fromkeys(_spanning(key, ids[a:b], fp[:, a:b], None if sk is None else sk[a:b], distance, agree)))
+            if len(flat):
+                ids, fp = flat.field(0).to_numpy(), flat.field(1).to_numpy()
+                sizes, marks = (flat.field(2).to_numpy(), flat.field(3).to_pylist()) if similarity else (None, None)
+                for key, a, b in zip(batch.column(0).to_pylist(), ends, ends[1:]):
+                    found.update(dict.fromkeys(spanning(key, ids[a:b], fp[a:b], None if sizes is None else sizes[a:b], None if marks is None else marks[a:b])))
             yield pa.RecordBatch.from_arrays([pa.array([x for x, _ in found], pa.int64()), pa.array([y for _, y in found], pa.int64())], ["a", "b"])
 
     def blocks(table: pa.Table) -> pa.Table:
-        ids, fp, sk = arrays(table["id"].to_numpy(), [table[c].to_numpy() for c in fps], table[sketch].to_pylist() if sketch else None)
-        found = _spanning(table["key"][0].as_py(), ids, fp, sk, distance, agree)
+        sizes, marks = (table["size"].to_numpy(), table["parity"].to_pylist()) if similarity else (None, None)
+        found = spanning(table["key"][0].as_py(), table["id"].to_numpy(), table["fp"].to_numpy(), sizes, marks)
         return pa.table({"a": pa.array([x for x, _ in found], pa.int64()), "b": pa.array([y for _, y in found], pa.int64())})
 
     grouped = (
         members.df.where(F.col("n") <= BLOCK).groupBy("key").agg(F.collect_list(F.struct(*columns)).alias("m")).where("size(m) > 1")
     )
-    count = F.ceil(F.col("n") / BLOCK).cast("int")
-    dealt = (
-        members.df.where(F.col("n") > BLOCK)
-        .withColumn("own", F.pmod(F.xxhash64("id"), count).cast("int"))
+    hot = _in_blocks(members.df.where(F.col("n") > BLOCK), "n").groupBy("key", "one", "two").applyInArrow(blocks, "a long, b long")
+    links = materialize(grouped.mapInArrow(small, "a long, b long").unionByName(hot).distinct(), "near")
+    members.drop()
+    return links
+
+
+def _in_blocks(rows: DataFrame, size: str) -> DataFrame:
+    """Rows of groups of ``size`` members, each copied to every pair of blocks ``(one, two)`` that its own block is part of."""
+    count = F.ceil(F.col(size) / BLOCK).cast("int")
+    return (
+        rows.withColumn("own", F.pmod(F.xxhash64("id"), count).cast("int"))
         .withColumn("other", F.explode(F.sequence(F.lit(0), count - 1)))
         .withColumn("one", F.least("own", "other"))
         .withColumn("two", F.greatest("own", "other"))
     )
-    hot = dealt.groupBy("key", "one", "two").applyInArrow(blocks, "a long, b long")
-    return grouped.mapInArrow(small, "a long, b long").unionByName(hot).distinct()
 
 
 def near_components(docs: DataFrame, width: int = 3, distance: int = 3, seed: int = 42, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -203,101 +217,64 @@ def near_components(docs: DataFrame, width: int = 3, distance: int = 3, seed: in
     """
     prints = materialize(shingle_fingerprints(docs.where(F.col(id_col).isNotNull()), width, seed, id_col, text_col), "prints")
     nodes = materialize(prints.df.groupBy("fp").agg(F.min("id").alias("id")), "nodes")
-    found = star_components(near_links(nodes.df, distance))
+    links = near_links(nodes.df, distance)
+    found = star_components(links.df)
+    links.drop()
     classes = nodes.df.join(found, "id", "left").select("fp", F.coalesce("component", "id").alias("component_id"))
     return prints.df.join(classes, "fp").select(
         F.col("id").alias("doc_id"), F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id"
     )
 
 
-#: Bytes of the sketch of a text's shingles: that of a pair at similarity 0.8 agrees in about 0.8 of them.
-SKETCH_BYTES = 16
-
-
-def _sketch(hashes: np.ndarray) -> bytes:
-    """The low byte of the least hash in each of SKETCH_BYTES permutations."""
-    out = bytearray()
-    for k in range(SKETCH_BYTES):
-        odd = np.uint64((0x9E3779B97F4A7C15 * (2 * k + 1)) & 0xFFFFFFFFFFFFFFFF | 1)
-        mixed = (hashes ^ (hashes >> np.uint64(29))) * odd
-        out.append(int((mixed ^ (mixed >> np.uint64(32))).min()) & 255)
-    return bytes(out)
-
-
-def shingle_hashes(words: list[bytes], width: int) -> np.ndarray:
-    """Sorted distinct XXH64 hashes of a text's shingles."""
-    digest = xxhash.xxh64_digest
-    return np.unique(np.frombuffer(b"".join([digest(x, 0) for x in shingles(words, width)]), dtype=">u8").astype(np.uint64))
-
-
-def near_duplicate_groups(
-    docs: DataFrame, width: int = 5, similarity: float = 0.8, distance: int = 5, seeds: tuple[int, ...] = (1, 2, 3), id_col: str = "doc_id", text_col: str = "text"
-) -> DataFrame:
-    """``(doc_id, group_id)`` of every document with text: groups linked at Jaccard ``similarity`` or more of word shingles.
-
-    SimHash fingerprints over words weighted by the root of their counts, one for each seed, give candidates within
-    ``distance`` bits, cheaply and for most groups; a sketch of the shingles removes chance meetings. A prefix-filter pass
-    then finds every pair between the groups so far, so the result is that of comparing all pairs. Each candidate group is
-    held against ``similarity`` on its whole shingle sets. Texts that are equal word for word are one node. group_id is the
-    group's smallest id. Texts without words stay alone (they are no copies of anything), as do null ids with no row.
-    """
-    spark = docs.sparkSession
-    ship(spark)
-    names = [f"fp{k}" for k in range(len(seeds))]
-    parities = [f"parity{k}" for k in range(PARITY_BITS // 64)]
-    schema = "id long, key binary, words long, sketch binary, " + ", ".join(f"{x} long" for x in [*names, *parities])
-
-    def scan(batches):
-        for batch in batches:
-            keys, counts, sketches, prints, marks = [], [], [], [], []
-            for raw in _binary(batch.column(1)):
-                words = raw.lower().split()
-                keys.append(hashlib.md5(b" ".join(words)).digest())
-                counts.append(len(words))
-                if not words:
-                    sketches.append(bytes(SKETCH_BYTES))
-                    prints.append([0] * len(seeds))
-                    marks.append(bytes(PARITY_BITS // 8))
-                    continue
-                tally: dict[bytes, int] = {}
-                for w in words:
-                    tally[w] = tally.get(w, 0) + 1
-                weights = np.sqrt(np.fromiter(tally.values(), dtype=np.float64))
-                prints.append([fingerprint(list(tally), s, weights) for s in seeds])
-                hashes = shingle_hashes(words, width)
-                sketches.append(_sketch(hashes))
-                marks.append(_parity(hashes))
-            columns = [batch.column(0), pa.array(keys, pa.binary()), pa.array(counts, pa.int64()), pa.array(sketches, pa.binary())]
-            columns += [_signed([p[k] for p in prints]) for k in range(len(seeds))]
-            table = np.frombuffer(b"".join(marks), dtype=np.int64).reshape(len(keys), -1)
-            columns += [pa.array(np.ascontiguousarray(table[:, k])) for k in range(len(parities))]
-            yield pa.RecordBatch.from_arrays(columns, ["id", "key", "words", "sketch", *names, *parities])
-
-    texts = docs.where(F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
-    scanned = materialize(texts.mapInArrow(scan, schema), "scanned")
-    worded = scanned.df.where("words > 0")
-    classes = materialize(worded.groupBy("key").agg(F.min("id").alias("id"), *[F.first(c).alias(c) for c in ("sketch", *names, *parities)]), "classes")
-    candidates = materialize(
-        star_components(near_links(classes.df, distance, tuple(names), "sketch", agree=SKETCH_BYTES * 3 // 8)), "candidates"
-    )
-    verified = star_components(_verified_links(texts, candidates, width, similarity))
-    nodes = materialize(classes.df.join(verified, "id", "left").select("key", "id", F.coalesce("component", "id").alias("found"), *parities), "nodes")
-    met = materialize(star_components(_prefix_links(texts, nodes.df, width, similarity, parities)), "met")
-    links = _verified_links(texts, met, width, similarity).unionByName(nodes.df.where("id <> found").select(F.col("found").alias("a"), F.col("id").alias("b")))
-    whole = star_components(links)
-    grouped = nodes.df.join(whole, "id", "left").select("key", F.coalesce("component", "id").alias("group_id"))
-    return (
-        scanned.df.join(grouped, "key", "left").select(F.col("id").alias("doc_id"), F.coalesce("group_id", "id").alias("group_id"))
-    )
-
-
 #: Bits of a text's parity map; each shingle flips one, so two maps differ in no more bits than their sets differ in shingles.
 PARITY_BITS = 512
 #: Documents whose shingles are counted to put frequent ones last, and the most of them that are remembered.
 ORDER_DOCS, ORDER_SHINGLES = 20_000, 200_000
-
-
-def _parity(hashes: np.ndarray) -> bytes:
+#: Hashes of words that a task remembers.
+KNOWN_WORDS = 1_000_000
+_ODD = np.uint64(0x9E3779B97F4A7C15)
+
+
+class WordSets:
+    """Turns lower-cased texts into hashes of their words and shingles; a word's hash is computed once in a task."""
+
+    def __init__(self, width: int):
+        self.width = width
+        self.known: dict[bytes, int] = {}
+
+    def words(self, raw: bytes) -> np.ndarray:
+        """XXH64 of each word of a text, in order."""
+        found = raw.lower().split()
+        if len(self.known) > KNOWN_WORDS:
+            self.known.clear()
+        for w in set(found).difference(self.known):
+            self.known[w] = xxhash.xxh64_intdigest(w)
+        return np.fromiter(map(self.known.__getitem__, found), dtype=np.uint64, count=len(found))
+
+    def shingles(self, words: np.ndarray) -> np.ndarray:
+        """Sorted distinct 64-bit hashes of the runs of ``width`` words; of fewer words of the whole sequence, of none nothing."""
+        wide = min(self.width, len(words))
+        if not wide:
+            return words
+        n = len(words) - wide + 1
+        total = words[:n].copy()
+        for k in range(1, wide):
+            total = total * _ODD + words[k : k + n]
+        total = (total ^ (total >> np.uint64(31))) * _ODD
+        return np.unique(total ^ (total >> np.uint64(29)))
+
+
+def word_fingerprint(words: np.ndarray) -> int:
+    """SimHash of a text's distinct words, each weighted by the root of its count."""
+    own, counts = np.unique(words, return_counts=True)
+    weights, total = np.sqrt(counts), np.zeros(64)
+    for at in range(0, len(own), 1 << 15):
+        bits = np.unpackbits(own[at : at + (1 << 15)].astype(">u8").view(np.uint8).reshape(-1, 8), axis=1)
+        total += weights[at : at + (1 << 15)] @ bits
+    return int.from_bytes(np.packbits(total * 2 > weights.sum()).tobytes(), "big")
+
+
+def parity_map(hashes: np.ndarray) -> bytes:
     flips = np.bincount((hashes & np.uint64(PARITY_BITS - 1)).astype(np.int64), minlength=PARITY_BITS)
     return np.packbits((flips & 1).astype(np.uint8)).tobytes()
 
@@ -307,15 +284,80 @@ def prefix_length(size: int, similarity: float) -> int:
     return size - math.ceil(similarity * size - 1e-9) + 1
 
 
-def _frequent(texts: DataFrame, nodes: DataFrame, width: int) -> np.ndarray:
-    """Hashes of shingles that recur in a sample of the texts, sorted by hash with how often: (2, n). Any order is exact; this one keeps groups small."""
-    step = max(1, nodes.count() // ORDER_DOCS)
-    sample = texts.join(nodes.where(F.pmod(F.xxhash64("id"), F.lit(step)) == 0).select("id"), "id").select("text")
+def near_duplicate_groups(docs: DataFrame, width: int = 5, similarity: float = 0.8, distance: int = 3, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """``(doc_id, group_id)`` of every document with an id: groups linked at Jaccard ``similarity`` or more of word shingles.
+
+    SimHash fingerprints of the words give candidates within ``distance`` bits by deletion-variant signatures, cheaply and
+    for most members of large groups. An exact prefix-filter join finds all other pairs, namely those across the groups so
+    far, so the result is that of comparing all pairs. Candidates of both kinds are then held against ``similarity`` on
+    their whole shingle sets. Texts that are equal word for word are one node. group_id is the group's smallest id. Texts
+    without words stay alone (they are no copies of anything); rows with a null id are not in the result.
+    """
+    ship(docs.sparkSession)
+    texts = docs.where(F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
+    scanned = materialize(_scan(texts, width, similarity), "scanned")
+    worded = scanned.df.where("size > 0")
+    held = ("size", "parity", "fp", "prefix")
+    classes = materialize(worded.groupBy("key").agg(F.min("id").alias("id"), *[F.first(c).alias(c) for c in held]), "classes")
+    members = materialize(scanned.df.select("id", "key"), "members")
+    scanned.drop()
+    near = near_links(classes.df, distance, similarity)
+    candidates = materialize(star_components(near.df), "candidates")
+    near.drop()
+    met = _prefix_links(classes.df, candidates, similarity)
+    together = met.df.unionByName(candidates.df.where("id <> component").select(F.col("component").alias("a"), F.col("id").alias("b")))
+    groups = materialize(star_components(together), "groups")
+    met.drop()
+    candidates.drop()
+    links = materialize(_verified_links(texts, groups, width, similarity), "verified")
+    groups.drop()
+    whole = star_components(links.df)
+    links.drop()
+    grouped = classes.df.select("key", "id").join(whole, "id", "left").select("key", F.coalesce("component", "id").alias("group_id"))
+    return members.df.join(grouped, "key", "left").select(F.col("id").alias("doc_id"), F.coalesce("group_id", "id").alias("group_id"))
+
+
+def _scan(texts: DataFrame, width: int, similarity: float) -> DataFrame:
+    """``(id, key, size, parity, fp, prefix)`` of each text: its class, and size, parity map, fingerprint and prefix of its shingles, rare ones first."""
+    frequent = texts.sparkSession.sparkContext.broadcast(_frequent(texts, width))
+
+    def run(batches):
+        known, times = frequent.value
+        sets = WordSets(width)
+        for batch in batches:
+            keys, sizes, marks, prints, prefixes = [], [], [], [], []
+            for raw in _binary(batch.column(1)):
+                words = sets.words(raw)
+                own = sets.shingles(words)
+                keys.append(hashlib.md5(words.tobytes()).digest())
+                sizes.append(len(own))
+                marks.append(parity_map(own))
+                prints.append(word_fingerprint(words) if len(own) else 0)
+                if len(known) and len(own):
+                    at = np.minimum(np.searchsorted(known, own), len(known) - 1)
+                    own = own[np.argsort(np.where(known[at] == own, times[at], 0), kind="stable")]
+                prefixes.append(own[: prefix_length(len(own), similarity)].view(np.int64))
+            ends = np.cumsum([0, *map(len, prefixes)]).astype(np.int32)
+            flat = np.concatenate(prefixes) if prefixes else np.zeros(0, dtype=np.int64)
+            columns = [batch.column(0), pa.array(keys, pa.binary()), pa.array(sizes, pa.int32()), pa.array(marks, pa.binary()), _signed(prints), pa.ListArray.from_arrays(pa.array(ends), pa.array(flat))]
+            yield pa.RecordBatch.from_arrays(columns, ["id", "key", "size", "parity", "fp", "prefix"])
+
+    return texts.mapInArrow(run, "id long, key binary, size int, parity binary, fp long, prefix array<long>")
+
+
+def _frequent(texts: DataFrame, width: int) -> np.ndarray:
+    """Hashes of shingles that recur in a sample of the texts, sorted by hash with how often: (2, n).
+
+    The prefix filter is exact for any order of the shingles; this one keeps the groups of the join small.
+    """
+    step = max(1, texts.count() // ORDER_DOCS)
+    sample = texts.where(F.pmod(F.xxhash64("id"), F.lit(step)) == 0).select("text")
 
     def run(batches):
+        sets = WordSets(width)
         for batch in batches:
-            sets = [shingle_hashes(w, width) for x in _binary(batch.column(0)) if (w := x.lower().split())]
-            flat = np.concatenate(sets) if sets else np.zeros(0, dtype=np.uint64)
+            own = [sets.shingles(sets.words(x)) for x in _binary(batch.column(0))]
+            flat = np.concatenate(own) if own else np.zeros(0, dtype=np.uint64)
             yield pa.RecordBatch.from_arrays([pa.array(flat.view(np.int64))], ["token"])
 
     counts = sample.mapInArrow(run, "token long").groupBy("token").agg(F.count(F.lit(1)).alias("n")).where("n > 2")
@@ -325,45 +367,28 @@ def _frequent(texts: DataFrame, nodes: DataFrame, width: int) -> np.ndarray:
     return np.stack([token[order], rows["n"].to_numpy().astype(np.uint64)[order]])
 
 
-def _prefix_links(texts: DataFrame, nodes: DataFrame, width: int, similarity: float, parities: list[str]) -> DataFrame:
-    """Pairs ``(a, b)`` of different ``found`` groups, all of those at ``similarity`` or more among them.
+def _prefix_links(classes: DataFrame, candidates: Scratch, similarity: float) -> Scratch:
+    """Pairs ``(a, b)`` of different candidate groups, all of those at ``similarity`` or more among them, as a written table.
 
     Sets that similar share a shingle of both prefixes. Sizes, the places of the first shared shingle and the parity maps
     bound the overlap and drop most others; none of these bounds can drop a true pair.
     """
-    spark = texts.sparkSession
-    frequent = spark.sparkContext.broadcast(_frequent(texts, nodes, width))
-
-    def tokens(batches):
-        known, times = frequent.value
-        for batch in batches:
-            ids, founds = batch.column(0).to_numpy(), batch.column(1).to_numpy()
-            prefixes, sizes = [], []
-            for raw in _binary(batch.column(2)):
-                own = shingle_hashes(raw.lower().split(), width)
-                sizes.append(len(own))
-                if len(known):
-                    at = np.minimum(np.searchsorted(known, own), len(known) - 1)
-                    own = own[np.argsort(np.where(known[at] == own, times[at], 0), kind="stable")]
-                prefixes.append(own[: prefix_length(len(own), similarity)])
-            held = [len(x) for x in prefixes]
-            flat = np.concatenate(prefixes) if prefixes else np.zeros(0, dtype=np.uint64)
-            places = np.concatenate([np.arange(n, dtype=np.int32) for n in held]) if held else np.zeros(0, dtype=np.int32)
-            columns = [flat.view(np.int64), np.repeat(ids, held), np.repeat(founds, held), np.repeat(np.array(sizes, dtype=np.int32), held), places]
-            yield pa.RecordBatch.from_arrays([pa.array(c) for c in columns], ["token", "id", "found", "size", "place"])
-
-    rows = materialize(texts.join(nodes.select("id", "found"), "id").select("id", "found", "text").mapInArrow(tokens, "token long, id long, found long, size int, place int"), "prefixes")
-    held = rows.df.groupBy("token").agg(F.count(F.lit(1)).alias("n"), F.min("found").alias("one"), F.max("found").alias("two")).where("one < two").select("token", "n")
+    tokens = classes.select("id", "size", F.posexplode("prefix").alias("place", "token"))
+    shared = materialize(tokens.groupBy("token").agg(F.count(F.lit(1)).alias("n")).where("n > 1"), "shared")
+    found = classes.select("id", "parity").join(candidates.df, "id", "left").select("id", "parity", F.coalesce("component", "id").alias("found"))
+    rows = materialize(tokens.join(_counted(shared), "token").join(found, "id"), "prefixes")
+    shared.drop()
+    between = materialize(rows.df.groupBy("token").agg(F.min("found").alias("least"), F.max("found").alias("most")).where("least < most").select("token"), "between")
     count = F.ceil(F.col("n") / BLOCK).cast("int")
-    members = materialize(rows.df.join(held, "token").withColumn("count", count).join(nodes.select("id", *parities), "id"), "members")
-    rows.drop()
-    left = members.df.withColumn("own", F.pmod(F.xxhash64("id"), F.col("count")).cast("int")).alias("x")
-    right = members.df.withColumn("own", F.explode(F.sequence(F.lit(0), F.col("count") - 1))).alias("y")
+    spread = rows.df.join(_counted(between), "token").withColumn("count", count)
+    left = spread.withColumn("own", F.pmod(F.xxhash64("id"), F.col("count")).cast("int")).alias("x")
+    right = spread.withColumn("own", F.explode(F.sequence(F.lit(0), F.col("count") - 1))).alias("y")
     x, y = (lambda c: F.col(f"x.{c}")), (lambda c: F.col(f"y.{c}"))
     total = x("size") + y("size")
+    part = lambda c, k: F.conv(F.hex(F.substring(c, 8 * k + 1, 8)), 16, -10).cast("long")
     apart = F.lit(0)
-    for p in parities:
-        apart = apart + F.bit_count(x(p).bitwiseXOR(y(p)))
+    for k in range(PARITY_BITS // 64):
+        apart = apart + F.bit_count(part(x("parity"), k).bitwiseXOR(part(y("parity"), k)))
     reach = F.least(x("size") - x("place"), y("size") - y("place"))
     near = (
         (x("id") < y("id")) & (x("found") != y("found"))
@@ -372,16 +397,20 @@ def _prefix_links(texts: DataFrame, nodes: DataFrame, width: int, similarity: fl
         & (apart <= total * ((1 - similarity) / (1 + similarity)) + 1e-6)
     )
     joined = left.join(right, (x("token") == y("token")) & (x("own") == y("own")) & near)
-    return joined.select(x("id").alias("a"), y("id").alias("b")).distinct()
+    pairs = materialize(joined.select(x("id").alias("a"), y("id").alias("b")).distinct(), "met")
+    rows.drop()
+    between.drop()
+    return pairs
 
 
-def _verified_links(texts: DataFrame, candidates: Scratch, width: int, similarity: float) -> DataFrame:
+def _verified_links(texts: DataFrame, groups: Scratch, width: int, similarity: float) -> DataFrame:
     """Links at ``similarity`` or more inside each candidate group, spanning; groups over BLOCK go in pairs of blocks."""
 
     def hashed(batches):
+        sets = WordSets(width)
         for batch in batches:
-            sets = [shingle_hashes(x.lower().split(), width).tobytes() for x in _binary(batch.column(2))]
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(sets, pa.binary())], ["id", "component", "shingles"])
+            own = [sets.shingles(sets.words(x)).tobytes() for x in _binary(batch.column(2))]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(own, pa.binary())], ["id", "component", "shingles"])
 
     def compare(table: pa.Table) -> pa.Table:
         ids = table["id"].to_pylist()
@@ -400,16 +429,6 @@ def _verified_links(texts: DataFrame, candidates: Scratch, width: int, similarit
                     b.append(ids[j])
         return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
 
-    sizes = candidates.df.groupBy("component").agg(F.count(F.lit(1)).alias("n"))
-    count = F.ceil(F.col("n") / BLOCK).cast("int")
-    sets = texts.join(candidates.df, "id").select("id", "component", "text").mapInArrow(hashed, "id long, component long, shingles binary")
-    return (
-        sets.join(sizes, "component")
-        .withColumn("own", F.pmod(F.xxhash64("id"), count).cast("int"))
-        .withColumn("other", F.explode(F.sequence(F.lit(0), count - 1)))
-        .withColumn("one", F.least("own", "other"))
-        .withColumn("two", F.greatest("own", "other"))
-        .groupBy("component", "one", "two")
-        .applyInArrow(compare, "a long, b long")
-        .distinct()
-    )
+    sizes = groups.df.groupBy("component").agg(F.count(F.lit(1)).alias("n"))
+    sets = texts.join(_counted(groups), "id").select("id", "component", "text").mapInArrow(hashed, "id long, component long, shingles binary")
+    return _in_blocks(sets.join(sizes, "component"), "n").groupBy("component", "one", "two").applyInArrow(compare, "a long, b long").distinct()
