@@ -1,92 +1,72 @@
 """Mixing sources to target weights by proportionate-fair scheduling of blocks.
 
-Each source's documents form blocks. The blocks of a source of weight w are released and due at fixed slots (block i is
-released at floor(i / w) and due at ceil((i + 1) / w)), and the earliest deadline among released blocks takes each slot.
-With weights in units of 1/Q the schedule repeats every Q slots, so one cycle is laid out once and every block finds its
-slot by arithmetic; the schedule of any number of blocks needs no loop over them.
+Each source's documents form blocks. Block i of a source of weight w is released at slot floor(i / w) and due at slot
+ceil((i + 1) / w), and the earliest deadline among the released blocks takes each slot. All of this is integer arithmetic
+on the exact weights, so that a source is never a whole block away from its share, however long the schedule is.
 """
 
 from __future__ import annotations
 
 import heapq
+import math
 from collections.abc import Mapping
+from fractions import Fraction
 
+import numpy as np
 from pyspark.sql import DataFrame, Window as W, functions as F
 
 from tidegraph.runtime import materialize
 
-#: Slots of a cycle; weights are rounded to this many parts (or eight for each source, if that is more).
-CYCLE = 720
 #: Documents of one numbering group of a source; bounds what is sorted together.
 GROUP_ROWS = 4096
+#: Slots of a schedule at most, unless another number is given; blocks get larger with the corpus, so that the driver's work stays bounded.
+SLOTS = 1_000_000
+#: Blocks of a source whose slots go in one row of the broadcast schedule.
+CHUNK = 256
 
 
-def shares(weights: Mapping[str, float], cycle: int = CYCLE) -> dict[str, int]:
-    """Whole shares of a cycle, by largest remainder, at least one each; they sum to the cycle's length."""
-    cycle = max(cycle, 8 * len(weights))
-    total = sum(weights.values())
-    exact = {s: max(1.0, cycle * w / total) for s, w in weights.items()}
-    scale = cycle / sum(exact.values())
-    out = {s: max(1, int(x * scale)) for s, x in exact.items()}
-    order = sorted(exact, key=lambda s: (out[s] - exact[s] * scale, s))
-    at = 0
-    while (left := cycle - sum(out.values())) != 0:
-        s = order[at % len(order)] if left > 0 else max(out, key=lambda x: (out[x], x))
-        out[s] += 1 if left > 0 else -1
-        at += 1
-    return out
-
-
-def cycle_slots(parts: Mapping[str, int]) -> dict[str, list[int]]:
-    """The slots each source takes in one cycle: earliest deadline first among released blocks."""
-    length = sum(parts.values())
-    waiting = sorted((0, s, 0) for s in parts)
-    heapq.heapify(waiting)
-    ready: list[tuple[int, int, str, int]] = []
-    slots: dict[str, list[int]] = {s: [] for s in parts}
-    for slot in range(length):
-        while waiting and waiting[0][0] <= slot:
-            release, s, i = heapq.heappop(waiting)
-            heapq.heappush(ready, (-(-(i + 1) * length // parts[s]), release, s, i))
-        _, _, s, i = heapq.heappop(ready)
-        slots[s].append(slot)
-        if i + 1 < parts[s]:
-            heapq.heappush(waiting, ((i + 1) * length // parts[s], s, i + 1))
-    return slots
-
-
-def plan(blocks: Mapping[str, int], weights: Mapping[str, float], cycle: int = CYCLE) -> dict[str, list[tuple[int, int, list[int]]]]:
-    """For each source its phases ``(first block, first slot, slots of a cycle)``.
+def plan(blocks: Mapping[str, int], weights: Mapping[str, float]) -> dict[str, np.ndarray]:
+    """The slots of each source's blocks, in their order.
 
     A phase ends when a source has no block left; the others then share by their weights among themselves, so no block is
-    dropped or repeated. ``weights`` are positive; sources without one or with none count as 1.
+    dropped or repeated. In each phase every source is less than one block away from its weight's share at every slot.
+    ``weights`` are positive and count as the exact fractions that they are; sources without one or with none count as 1.
     """
-    done = dict.fromkeys(blocks, 0)
-    active = {s for s in blocks if blocks[s] > 0}
+    exact = {s: Fraction(weights.get(s) or 1) for s in blocks}
+    unit = math.lcm(*(w.denominator for w in exact.values()))
+    share = {s: int(w * unit) for s, w in exact.items()}
+    left = {s: n for s, n in blocks.items() if n > 0}
+    whole = sum(share[s] for s in left)
+    taken: dict[str, list[int]] = {s: [] for s in blocks}
     start = 0
-    out: dict[str, list[tuple[int, int, list[int]]]] = {s: [] for s in blocks}
-    while active:
-        slots = cycle_slots(shares({s: (weights.get(s) or 1.0) for s in active}, cycle))
-        length = sum(map(len, slots.values()))
-        for s in active:
-            out[s].append((done[s], start, slots[s]))
-        last = {s: (blocks[s] - done[s] - 1) // len(slots[s]) * length + slots[s][(blocks[s] - done[s] - 1) % len(slots[s])] for s in active}
-        end = min(last.values()) + 1
-        for s in active:
-            whole, rest = divmod(end, length)
-            done[s] += whole * len(slots[s]) + sum(x < rest for x in slots[s])
-        active = {s for s in active if done[s] < blocks[s]}
-        start += end
-    return out
+    while left:
+        waiting = [(0, s, 0) for s in sorted(left)]
+        ready: list[tuple[int, str, int]] = []
+        slot, done = 0, None
+        while done is None:
+            while waiting and waiting[0][0] <= slot:
+                _, s, i = heapq.heappop(waiting)
+                heapq.heappush(ready, (-(-(i + 1) * whole // share[s]), s, i))
+            _, s, i = heapq.heappop(ready)
+            taken[s].append(start + slot)
+            heapq.heappush(waiting, ((i + 1) * whole // share[s], s, i + 1))
+            slot += 1
+            left[s] -= 1
+            done = s if not left[s] else None
+        del left[done]
+        whole -= share[done]
+        start += slot
+    return {s: np.array(x, dtype=np.int64) for s, x in taken.items()}
 
 
 def scheduled(
-    docs: DataFrame, weights: Mapping[str, float] | None = None, block_rows: int = 64, power: float = 0.5, cycle: int = CYCLE, id_col: str = "doc_id", source_col: str = "source"
+    docs: DataFrame, weights: Mapping[str, float] | None = None, block_rows: int = 64, power: float = 0.5, slots: int = SLOTS, id_col: str = "doc_id", source_col: str = "source"
 ) -> DataFrame:
     """``docs`` with ``block, slot, row_in_block``: the mixed order is by (slot, row_in_block).
 
     ``weights``: target weight by source; without it a source's weight is its document count to the power ``power``. In
-    every prefix of slots in which all sources still have blocks, each source is within one block of its weight's share.
+    every prefix of slots in which all sources still have blocks, each source is less than one block away from its share.
+    A block has ``block_rows`` rows, or as many more as keep the schedule within ``slots`` slots and one for each source.
     A null source counts as the source named by the empty text. Documents of a source are numbered in an order given by a
     hash of their id; repeated ids keep all their rows, in any order. Input columns named like the added ones are replaced. An
     empty table gives an empty result.
@@ -98,18 +78,14 @@ def scheduled(
     counts = {r["_s"]: r["_n"] for r in totals.collect()}  # one row for each source
     if weights is None:
         weights = {s: n**power for s, n in counts.items()}
-    phases = plan({s: -(-n // block_rows) for s, n in counts.items()}, weights, cycle)
+    block_rows = max(block_rows, -(-sum(counts.values()) // slots))
+    taken = plan({s: -(-n // block_rows) for s, n in counts.items()}, weights)
     spark = docs.sparkSession
-    schema = "_s string, _groups int, _first array<long>, _start array<long>, _slots array<array<int>>, _cycle array<long>"
-    lengths: dict[int, int] = {}
-    for own in phases.values():
-        for _, start, slots in own:
-            lengths[start] = lengths.get(start, 0) + len(slots)
-    rows = [(s, -(-counts[s] // GROUP_ROWS), [p[0] for p in own], [p[1] for p in own], [p[2] for p in own], [lengths[p[1]] for p in own]) for s, own in phases.items()]
-    table = spark.createDataFrame(rows, schema)
-    sources = F.broadcast(table) if sum(sum(map(len, r[4])) for r in rows) < 1_000_000 else table
+    groups = F.broadcast(spark.createDataFrame([(s, -(-n // GROUP_ROWS)) for s, n in counts.items()], "_s string, _groups int"))
+    chunks = [(s, k, x[at : at + CHUNK].tolist()) for s, x in taken.items() for k, at in enumerate(range(0, len(x), CHUNK))]
+    schedule = F.broadcast(spark.createDataFrame(chunks, "_s string, _chunk long, _slots array<long>"))  # ``slots`` longs at most
 
-    dealt = docs.withColumn("_s", source).join(sources.select("_s", "_groups"), "_s").withColumn("_g", F.pmod(order, F.col("_groups")).cast("int"))
+    dealt = docs.withColumn("_s", source).join(groups, "_s").withColumn("_g", F.pmod(order, F.col("_groups")).cast("int"))
     sizes = materialize(dealt.groupBy("_s", "_g").agg(F.count(F.lit(1)).alias("_n")), "groups")
     before = sizes.df.withColumn("_before", F.sum("_n").over(W.partitionBy("_s").orderBy("_g").rowsBetween(W.unboundedPreceding, -1)))
     numbered = (
@@ -118,13 +94,10 @@ def scheduled(
         .withColumn("_row", F.col("_before") + F.col("_rank") - 1)
         .withColumn("block", F.floor(F.col("_row") / block_rows))
         .withColumn("row_in_block", F.col("_row") % block_rows)
+        .withColumn("_chunk", F.floor(F.col("block") / CHUNK))
     )
-    at = numbered.join(sources.drop("_groups"), "_s").withColumn("_p", F.size(F.filter("_first", lambda x: x <= F.col("block"))))
-    pick = lambda name: F.element_at(name, F.col("_p"))
-    i = F.col("block") - pick("_first")
-    q = F.size(pick("_slots"))
-    slot = pick("_start") + F.floor(i / q) * pick("_cycle") + F.element_at(pick("_slots"), (i % q + 1).cast("int"))
-    return at.withColumn("slot", slot.cast("long")).select(*docs.columns, "block", "slot", "row_in_block")
+    placed = numbered.join(schedule, ["_s", "_chunk"]).withColumn("slot", F.element_at("_slots", (F.col("block") % CHUNK + 1).cast("int")))
+    return placed.select(*docs.columns, "block", "slot", "row_in_block")
 
 
 def in_mixed_order(mixed: DataFrame) -> DataFrame:

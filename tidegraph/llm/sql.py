@@ -26,21 +26,25 @@ SELECT d.doc_id, len(d.w)::BIGINT AS n_words, coalesce(k.n_removed, 0) AS n_remo
 
 
 def license_scan(threshold: float = 0.8) -> str:
-    """Every place of the phrases, and every line against every template."""
+    """Every place of the phrases, and every block against every template: a block starts at each place of a template's word."""
     low = f"translate(coalesce(text, ''), '{_UPPER}', '{_LOWER}')"
-    templates = ", ".join(f"('{label}', [{_quoted(licenses._template_words(t))}])" for label, texts in licenses.TEMPLATES.items() for t in texts)
-    words = lambda x: f"list_filter(string_split_regex({x}, '{_BETWEEN}'), lambda w: w <> '')"
+    texts = [licenses.template_words(t) for _, own in sorted(licenses.TEMPLATES.items()) for t in own]
+    labels = [label for label, own in sorted(licenses.TEMPLATES.items()) for _ in own]
+    templates = ", ".join(f"({k}, '{label}', {len(set(t))}, {licenses.least_of(t, threshold)}, {licenses.span_of(t, threshold)}, [{_quoted(sorted(set(t)))}])" for k, (label, t) in enumerate(zip(labels, texts)))
+    words = f"list_filter(string_split_regex({low}, '{_BETWEEN}'), lambda w: w <> '')"
     places = lambda p: "list_filter(range(1, len(w) + 1), lambda i: " + " AND ".join(f"w[i + {k}] = '{x}'" for k, x in enumerate(p)) + ")"
     named = ", ".join(f"{places(p)} AS at_{k}" for k, p in licenses.PHRASES.items())
     every = "list_concat(" * (len(licenses.PHRASES) - 1) + ", ".join([f"at_{k}" for k in licenses.PHRASES][:2]) + ")" + "".join(f", at_{k})" for k in list(licenses.PHRASES)[2:])
     base = "list_filter([" + ", ".join(f"CASE WHEN len(at_{k}) > 0 THEN '{k}' END" for k in sorted(licenses.PHRASES)) + "], lambda x: x IS NOT NULL)"
-    return rf"""WITH d AS (SELECT doc_id, {low} AS t FROM documents), w AS (SELECT doc_id, t, {words('t')} AS w FROM d),
+    return rf"""WITH w AS (SELECT doc_id, {words} AS w FROM documents),
 p AS (SELECT doc_id, len(w)::BIGINT AS n_words, {named} FROM w),
 b AS (SELECT doc_id, n_words, {every} AS places, {base} AS base FROM p),
-n(label, tw) AS (VALUES {templates}),
-l AS (SELECT doc_id, unnest(string_split(t, chr(10))) AS line FROM d), lw AS (SELECT doc_id, list_distinct({words('line')}) AS lw FROM l),
-o AS (SELECT lw.doc_id, n.label, max(len(list_intersect(lw.lw, n.tw)) / len(n.tw)) AS c FROM lw JOIN n ON len(list_intersect(lw.lw, n.tw)) >= {threshold} * len(n.tw) - 1e-9 GROUP BY ALL),
-g AS (SELECT doc_id, list(label) AS found, max(c) AS best FROM o GROUP BY doc_id)
+n(k, label, size, least, span, tw) AS (VALUES {templates}), t AS (SELECT k, label, size, least, span, unnest(tw) AS x FROM n),
+u AS (SELECT doc_id, unnest(w) AS x, unnest(range(len(w))) AS at FROM w),
+h AS (SELECT u.doc_id, u.at, u.x, t.k, t.label, t.size, t.least, t.span FROM u JOIN t ON u.x = t.x),
+m AS (SELECT doc_id, k FROM h GROUP BY doc_id, k, least HAVING count(DISTINCT x) >= least), r AS (SELECT h.* FROM h JOIN m USING (doc_id, k)),
+o AS (SELECT y.doc_id, y.k, y.label, y.at, y.size, y.least, count(DISTINCT z.x) AS c FROM r y JOIN r z ON y.doc_id = z.doc_id AND y.k = z.k AND z.at BETWEEN y.at AND y.at + y.span - 1 GROUP BY ALL),
+g AS (SELECT doc_id, list(DISTINCT label) AS found, max(c / size) AS best FROM o WHERE c >= least GROUP BY doc_id)
 SELECT b.doc_id, b.n_words, len(b.places)::BIGINT AS n_base, list_min(b.places) - 1 AS first_word, list_max(b.places) - 1 AS last_word, array_to_string(b.base, ',') AS base_labels,
   array_to_string(list_sort(list_distinct(list_concat(b.base, coalesce(g.found, [])))), ',') AS labels, CASE WHEN len(b.places) > 0 THEN 1.0 ELSE coalesce(g.best, 0.0) END::DOUBLE AS score
 FROM b LEFT JOIN g USING (doc_id)"""
