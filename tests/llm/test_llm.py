@@ -215,6 +215,18 @@ def test_leaks_are_found_and_reparameterised_ones_too(spark):
     assert {(r.doc_id, r.item_id) for r in decontam.matches(short, bench).collect()} == {(0, 8)}
 
 
+def test_values_outside_all_lists_are_slots(spark):
+    """Names by their capitals, number words, glued units; two values may fall together, one may not fall apart."""
+    item = "After the long winter Alberto of Toronto sold 12 crates at 5km from home and later Alberto gave 5 of them to three neighbours near the river Elbe"
+    asked = "After the long winter Priya of Madrid sold 6 crates at 6ft from home and later Priya gave 6 of them to nine neighbours near the river Tagus"
+    apart = asked.replace("later Priya", "later Ingrid")
+    lower, filler = item.lower(), " ".join(words_of(30, 4))
+    texts = [f"{filler}. {x} {filler}" for x in (item, asked, apart, lower)] + [filler]
+    got = {r.doc_id: r for r in decontam.matches(docs_of(spark, texts), spark.createDataFrame([(1, item), (1, "another text of the same number that stands nowhere at all"), (2, None)], "item_id long, text string"), least=0.9).collect()}
+    assert sorted(got) == [0, 1, 3] and [got[i].coverage for i in (0, 1, 3)] == [1.0, 1.0, 1.0]
+    assert got[0].n_exact == got[3].n_exact == got[0].n_windows and got[1].n_exact < got[1].n_windows
+
+
 def test_leaks_match_brute_force(spark, tables):
     width = decontam.WINDOW
     split = lambda t: [w for w in re.split(r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+", re.sub(r"(?<=[0-9])[.,](?=[0-9])", "", (t or "").lower())) if w]
@@ -510,6 +522,24 @@ def test_pages_awkward(spark):
     assert htmltext.extract_pages(df.limit(0)).count() == 0
 
 
+def test_pages_with_forms_several_articles_or_none():
+    long = lambda k: f"Paragraph {k} goes on for long enough to stand out from menus, with a dozen more words behind it, so that it counts."
+    shown = lambda body: htmltext.main_text(f"<html><body>{body}</body></html>").split("\n")
+    nav = "<ul><li><a href=x>One</a></li><li><a href=y>Two</a></li><li><a href=z>Three</a></li></ul>"
+    assert shown(f"<div>{nav}</div><div><p>{long(1)}</p><p>Short.</p><p>{long(2)}</p></div><div>{nav}</div>") == [long(1), "Short.", long(2)]
+    assert shown(f"<article><p>{long(1)}</p></article><article><p>{long(2)}</p><p>Tail.</p></article>") == [long(1), long(2), "Tail."]
+    assert shown(f"<form action=/><div>{nav}</div><article><p>{long(1)}</p></article></form>") == [long(1)]
+    assert shown(f"<form><p>{long(1)}</p><p>{long(2)}</p></form>") == [long(1), long(2)]
+    assert shown(f"<article><p>{long(1)}</p><form><p>Your mail address, please</p><input><button>Send</button></form></article>") == [long(1)]
+    assert shown(f"<article><p>{long(1)}</p><p><script>{'<b>' * 9}</script>Next one here</p></article>") == [long(1), "Next one here"]
+
+
+def test_deep_and_long_pages_end():
+    deep = "<div><span>" * 3_000 + "core " * 200 + "</i></b>" * 20_000
+    assert htmltext.main_text(f"<article>{deep}</article>").split()[:2] == ["core", "core"]
+    assert htmltext.main_text("<p>a b c d e f g h</p>" * 20_000).count("\n") == 19_999
+
+
 # 9. licenses
 def brute_scan(text):
     words = [w for w in re.split(r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+", re.sub(r"[A-Z]", lambda m: m[0].lower(), text or "")) if w]
@@ -569,6 +599,16 @@ def test_quality_separates_and_awkward(spark, tables, awkward, empty):
     assert quality.fit(empty, marks).rules == []
 
 
+@pytest.mark.parametrize("operation, label, least", [(toxicity, "toxic", 0.97), (quality, "quality", 0.97)])
+def test_held_out_accuracy(spark, operation, label, least):
+    """On the labelled rows that the fit never saw, over the largest table at hand."""
+    docs, labels = (spark.read.parquet(f"/root/testdata/sf0.1/{t}.parquet") for t in ("documents", "labels"))
+    scored = operation.score(docs, operation.fit(docs, labels)).where("held_out").join(labels, "doc_id")
+    right = scored.agg(F.avg((F.col("predicted") == F.col(label)).cast("double")).alias("right"), F.count(F.lit(1)).alias("n")).first()
+    print(label, right)
+    assert right.n > 500 and right.right >= least
+
+
 # The pipeline
 def test_pipeline_runs_its_stages(spark, sf, tables):
     import corpus_pipeline

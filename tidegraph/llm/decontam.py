@@ -1,8 +1,9 @@
 """Benchmark decontamination by template canonicalisation, in Spark expressions alone.
 
 Texts become words with numbers, units and names replaced by typed placeholders, so a question asked again with other
-values keeps its template. Windows of template words are hash-joined with those of the benchmark, and a match counts only
-if its slots are consistent: places that hold one value in the item hold one value in the document, and only those.
+values keeps its template. Names are told by their capital letter inside a sentence, units by standing after a number or
+in a list, numbers by digits or number words. Windows of template words are hash-joined with those of the benchmark, and a
+match counts only if its slots are consistent: places that hold one value in the item hold one value in the document.
 """
 
 from __future__ import annotations
@@ -11,86 +12,116 @@ from pyspark.sql import Column, DataFrame, functions as F
 
 #: Words of a window. Items with fewer words are matched as a whole.
 WINDOW = 8
-#: Units of measure and currency words that become a placeholder. Fixed values.
+#: Units of measure and currency words that become a placeholder wherever they stand; any word of up to four letters glued to a number is a unit too. Fixed values.
 UNITS = ("mm", "cm", "km", "kg", "mg", "lb", "lbs", "oz", "ml", "mph", "kmh", "usd", "eur", "gbp", "dollars", "dollar", "euros", "euro", "pounds", "pound", "cents", "miles", "mile", "meters", "metres", "meter", "metre", "feet", "inches", "hours", "hour", "minutes", "minute", "seconds", "days", "weeks", "months", "years", "percent", "litres", "liters", "grams", "kilograms", "kilometers")
-#: Given names that become a placeholder. Fixed values.
+#: Number words. Fixed values.
+NUMBERS = ("zero", "two", "three", "four", "five", "six", "seven", "eight", "nine", "ten", "eleven", "twelve", "thirteen", "fourteen", "fifteen", "sixteen", "seventeen", "eighteen", "nineteen", "twenty", "thirty", "forty", "fifty", "sixty", "seventy", "eighty", "ninety", "hundred", "thousand", "million", "billion", "dozen")
+#: Given names that are names in any case and place; all others are told by their form. Fixed values.
 NAMES = ("alice", "bob", "carol", "david", "emma", "frank", "grace", "henry", "jack", "james", "jane", "john", "julia", "kate", "laura", "lisa", "mark", "mary", "michael", "mike", "natalia", "paul", "peter", "robert", "sam", "sarah", "susan", "tom", "weng", "betty")
 #: Benchmark windows that are sent to every executor; with more the join is shuffled.
 BROADCAST_WINDOWS = 500_000
 _BETWEEN = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
+#: Stands before words that a capital letter inside a sentence, or a number glued to them, tells to be names or units. Private code points, which are no letters.
+NAME_MARK, UNIT_MARK = "\ue000", "\ue001"
 
 
-def template_words(text: Column) -> Column:
-    """Lower-cased words, numbers marked as such. Thousands separators and decimals stay inside their number."""
-    plain = F.lower(F.coalesce(text, F.lit("")))
-    joined = F.when(plain.rlike("[0-9][.,][0-9]"), F.regexp_replace(plain, r"(?<=[0-9])[.,](?=[0-9])", "")).otherwise(plain)
-    return F.filter(F.split(joined, _BETWEEN), lambda w: w != "")
+def marked_words(text: Column) -> Column:
+    """Lower-cased words, those with a capital letter inside a sentence and units glued to a number behind a mark.
 
+    Thousands separators and decimals stay inside their number; marks that the text itself has are dropped.
+    """
+    t = F.coalesce(text, F.lit(""))
+    t = F.when(t.rlike(f"[{NAME_MARK}{UNIT_MARK}]"), F.translate(t, NAME_MARK + UNIT_MARK, "")).otherwise(t)
+    named = F.regexp_replace(t, r"(?<=[\p{L}0-9,;)] )(?=[A-Z][a-z])", NAME_MARK)
+    low = F.lower(named)
+    plain = F.when(low.rlike("[0-9][.,]?[0-9a-z]"), F.regexp_replace(F.regexp_replace(low, r"(?<=[0-9])[.,](?=[0-9])", ""), r"(?<![0-9a-z])([0-9]+)([a-z]{1,4})(?![0-9a-z])", f"$1 {UNIT_MARK}$2")).otherwise(low)
+    return F.filter(F.split(plain, _BETWEEN), lambda w: w != "")
 
-def placeholder(word: Column) -> Column:
-    """The typed placeholder of a word, or the word."""
-    number = (word >= "0") & (word < ":") & word.rlike("^[0-9]+$")
-    unit, name = word.isin(*UNITS), word.isin(*NAMES)
-    return F.when(number, "<number>").when(unit, "<unit>").when(name, "<name>").otherwise(word)
 
+def bare(word: Column) -> Column:
+    """The word without its mark."""
+    return F.when(word >= NAME_MARK, F.ltrim(word, F.lit(NAME_MARK + UNIT_MARK))).otherwise(word)
 
-def _windows(rows: DataFrame, id_col: str, text: Column, width: int, exact_size: bool = False) -> DataFrame:
-    """(id, total, place, key, raw, slots) of each window of ``width`` words; ``exact_size`` takes only texts of just that many.
 
-    ``key`` hashes its template words, ``raw`` its words as they were, and ``slots`` are the values behind its
-    placeholders (null without any). Only these go on; the text's words are not copied along with each window. The words
-    are bound as lambda arguments, so that they are made once for a text and not once for each window.
-    """
+def placeholder(word: Column, named: Column) -> Column:
+    """The typed placeholder of a marked word, or the word; ``named`` are the text's words that are marked as names."""
+    number = ((word >= "0") & (word < ":") & word.rlike("^[0-9]+$")) | word.isin(*NUMBERS)
+    name = word.startswith(NAME_MARK) | word.isin(*NAMES) | ((F.size(named) > 0) & F.array_contains(named, word))
+    return F.when(number, "<number>").when(word.startswith(UNIT_MARK) | word.isin(*UNITS), "<unit>").when(name, "<name>").otherwise(word)
 
-    def window(raw: Column, words: Column, slotted: Column, i: Column) -> Column:
-        template, plain = F.slice(words, i, width), F.slice(raw, i, width)
-        zipped = F.arrays_zip(template.alias("t"), plain.alias("r"))
-        values = F.transform(F.filter(zipped, lambda x: x["t"].startswith("<")), lambda x: x["r"])
-        return F.struct((F.size(words) - width + 1).alias("total"), F.xxhash64(template).alias("key"), F.xxhash64(plain).alias("raw"), F.when(slotted, values).alias("slots"))
 
-    def all_windows(raw: Column, words: Column, slotted: Column) -> Column:
-        fits = F.size(words) == width if exact_size else F.size(words) >= width
-        return F.when(fits, F.transform(F.sequence(F.lit(1), F.greatest(F.size(words) - width + 1, F.lit(1))), lambda i: window(raw, words, slotted, i)))
+def _windows(rows: DataFrame, keys: list[str], text: Column, widths: list[int], shortest: bool) -> DataFrame:
+    """(keys, total, place, key, raw, slots) of each window of as many words as one of ``widths`` says.
 
+    ``shortest``: only windows of the widest width that the text has words for. ``key`` hashes a window's template words,
+    ``raw`` its words as they were, and ``slots`` are the values behind its placeholders (null without any). A window with
+    placeholders is also there under ``raw`` as its key, without slots, so that an item whose names stand in other case is
+    found by its words. The text's words are not copied along with each window. They are bound as lambda arguments, so
+    that they are made once for a text and not once for each window, and a window hashes the hashes of its words.
+    """
     let = lambda value, body: F.element_at(F.transform(F.array(value), body), 1)
-    slotted = lambda words: F.exists(words, lambda w: w.startswith("<"))
-    made = let(template_words(text), lambda raw: let(F.transform(raw, placeholder), lambda words: let(slotted(words), lambda s: all_windows(raw, words, s))))
-    return rows.where(F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias(id_col), F.posexplode(made).alias("place", "w")).select(id_col, "place", "w.*")
+
+    def windows(made: Column, width: int) -> Column:
+        n = F.size(made["t"])
+        part = lambda x, i: F.slice(x, i, width)
+        values = lambda i: F.transform(F.filter(F.arrays_zip(part(made["t"], i).alias("t"), part(made["r"], i).alias("r")), lambda x: x["t"].startswith("<")), lambda x: x["r"])
+        same = lambda i: ~made["s"] | (F.xxhash64(part(made["th"], i)) == F.xxhash64(part(made["rh"], i)))
+        one = lambda i, key, slots: F.struct((n - width + 1).alias("total"), i.alias("place"), key.alias("key"), F.xxhash64(part(made["rh"], i)).alias("raw"), slots.alias("slots"))
+        no_slots = F.lit(None).cast("array<string>")
+        each = lambda i: F.when(same(i), F.array(one(i, F.xxhash64(part(made["rh"], i)), no_slots))).otherwise(
+            F.array(one(i, F.xxhash64(part(made["th"], i)), values(i)), one(i, F.xxhash64(part(made["rh"], i)), no_slots)))
+        wider = [w for w in widths if w > width]
+        fits = (n >= width) & (n < min(wider) if shortest and wider else F.lit(True))
+        return F.when(fits, F.flatten(F.transform(F.sequence(F.lit(1), F.greatest(n - width + 1, F.lit(1))), each))).otherwise(F.array().cast("array<struct<total:int,place:int,key:bigint,raw:bigint,slots:array<string>>>"))
+
+    def typed(words: Column) -> Column:
+        named = F.array_distinct(F.transform(F.filter(words, lambda w: w.startswith(NAME_MARK)), bare))
+        return let(named, lambda known: let(F.transform(words, lambda w: placeholder(w, known)), lambda t: hashed(F.transform(words, bare), t)))
+
+    def hashed(raw: Column, template: Column) -> Column:
+        return let(F.struct(raw.alias("r"), template.alias("t"), F.transform(raw, lambda w: F.xxhash64(w)).alias("rh"), F.transform(template, lambda w: F.xxhash64(w)).alias("th"), F.exists(template, lambda w: w.startswith("<")).alias("s")), every)
+
+    def every(made: Column) -> Column:
+        return F.flatten(F.array(*[windows(made, w) for w in widths]))
+
+    made = let(marked_words(text), typed)
+    return rows.select(*keys, F.explode(made).alias("w")).select(*keys, "w.*")
 
 
 def matches(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, least: float = 0.5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``(doc_id, item_id, n_windows, n_matched, n_exact, coverage)`` of documents that hold a benchmark item.
 
     ``n_matched`` counts the item's windows found in the document. Where the item is laid upon the text, each of its slot
-    values must stand for one value of the text and the other way round; where that fails, only windows with the item's
-    own values count. ``n_exact`` counts windows with the item's own values; a pair is reported at a ``coverage`` of the item's windows of ``least`` or more. An item shorter
-    than a window is one window, and matches where its words stand. Null and empty texts and items match nothing; repeated
-    rows count once.
+    values must stand for one value of the text; where that fails, only windows with the item's own values count.
+    ``n_exact`` counts windows with the item's own words; a pair is reported at a ``coverage`` of the item's windows of
+    ``least`` or more. An item shorter than a window is one window, and matches where its words stand. Of several texts
+    under one item_id the best covered one counts. Null and empty texts and items match nothing; repeated rows count once;
+    rows with a null id are left out.
     """
-    items = benchmark.select("item_id", "text").distinct()
-    sizes = items.select(F.size(template_words(F.col("text"))).alias("n"))
-    short = [r["n"] for r in sizes.where((F.col("n") > 0) & (F.col("n") < window)).distinct().orderBy("n").collect()]
-    out = None
-    for width in [window, *short]:  # fewer widths than a window has words
-        wanted = _windows(items, "item_id", F.col("text"), width, width < window).select("item_id", "total", F.col("place").alias("item_place"), "key", F.col("raw").alias("item_raw"), F.col("slots").alias("item_slots"))
-        if wanted.count() <= BROADCAST_WINDOWS:
-            wanted = F.broadcast(wanted)
-        none = F.array().cast("array<string>")
-        filled = lambda c: F.coalesce(c, none)
-        met = (
-            _windows(docs, id_col, F.col(text_col), width).select(F.col(id_col).alias("doc_id"), "place", "key", "raw", "slots").join(wanted, "key")
-            .select("doc_id", "item_id", "item_place", "total", (F.col("place") - F.col("item_place")).alias("shift"), (F.col("raw") == F.col("item_raw")).cast("int").alias("exact"),
-                    F.arrays_zip(filled(F.col("item_slots")).alias("i"), filled(F.col("slots")).alias("d")).alias("pairs"))
-        )
-        out = met if out is None else out.unionByName(met)
+    items = benchmark.where(F.col("item_id").isNotNull() & F.col("text").isNotNull()).select("item_id", "text").distinct().select("item_id", F.xxhash64("text").alias("variant"), "text")
+    sizes = items.select(F.size(marked_words(F.col("text"))).alias("n"))
+    short = [r["n"] for r in sizes.where((F.col("n") > 0) & (F.col("n") < window)).distinct().orderBy("n").collect()]  # fewer widths than a window has words
+    widths = [*short, window]
+    wanted = _windows(items, ["item_id", "variant"], F.col("text"), widths, True).select("item_id", "variant", "total", F.col("place").alias("item_place"), "key", F.col("raw").alias("item_raw"), F.col("slots").alias("item_slots"))
+    if wanted.count() <= BROADCAST_WINDOWS:
+        wanted = F.broadcast(wanted)
+    filled = lambda c: F.coalesce(c, F.array().cast("array<string>"))
+    texts = docs.where(F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
+    met = (
+        _windows(texts, ["doc_id"], F.col("text"), widths, False).select("doc_id", "place", "key", "raw", "slots").join(wanted, "key")
+        .select("doc_id", "item_id", "variant", "item_place", "total", (F.col("place") - F.col("item_place")).alias("shift"), (F.col("raw") == F.col("item_raw")).cast("int").alias("exact"),
+                F.arrays_zip(filled(F.col("item_slots")).alias("i"), filled(F.col("slots")).alias("d")).alias("pairs"))
+    )
     # One group for each place a text and an item are laid upon each other: at most the item's windows.
-    laid = out.groupBy("doc_id", "item_id", "shift").agg(F.max("total").alias("total"), F.collect_set(F.struct("item_place", "exact")).alias("windows"), F.array_distinct(F.flatten(F.collect_set("pairs"))).alias("pairs"))
-    values = lambda side: F.size(F.array_distinct(F.transform("pairs", lambda x: x[side])))
-    laid = laid.withColumn("consistent", (values("i") == F.size("pairs")) & (values("d") == F.size("pairs")))
-    counted = laid.select("doc_id", "item_id", "total", "consistent", F.explode("windows").alias("w")).where("consistent or w.exact = 1")
-    once = counted.groupBy("doc_id", "item_id", "w.item_place").agg(F.max("total").alias("total"), F.max("w.exact").alias("exact"))
-    found = once.groupBy("doc_id", "item_id").agg(F.max("total").cast("long").alias("n_windows"), F.count(F.lit(1)).alias("n_matched"), F.sum("exact").alias("n_exact"))
-    return found.withColumn("coverage", F.col("n_matched") / F.col("n_windows")).where(F.col("coverage") >= least)
+    item = ["doc_id", "item_id", "variant"]
+    laid = met.groupBy(*item, "shift").agg(F.max("total").alias("total"), F.collect_set(F.struct("item_place", "exact")).alias("windows"), F.array_distinct(F.flatten(F.collect_set("pairs"))).alias("pairs"))
+    laid = laid.withColumn("consistent", F.size(F.array_distinct(F.transform("pairs", lambda x: x["i"]))) == F.size("pairs"))
+    counted = laid.select(*item, "total", "consistent", F.explode("windows").alias("w")).where("consistent or w.exact = 1")
+    once = counted.groupBy(*item, "w.item_place").agg(F.max("total").alias("total"), F.max("w.exact").alias("exact"))
+    found = once.groupBy(*item).agg(F.max("total").cast("long").alias("n_windows"), F.count(F.lit(1)).alias("n_matched"), F.sum("exact").alias("n_exact"))
+    covered = found.withColumn("coverage", F.col("n_matched") / F.col("n_windows")).where(F.col("coverage") >= least)
+    best = covered.groupBy("doc_id", "item_id").agg(F.max(F.struct("coverage", "n_exact", "n_matched", "n_windows")).alias("b"))
+    return best.select("doc_id", "item_id", "b.n_windows", "b.n_matched", "b.n_exact", "b.coverage")
 
 
 def without_leaks(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, least: float = 0.5) -> DataFrame:

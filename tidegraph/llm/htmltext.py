@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame, functions as F
 from tidegraph.runtime import ship
 
 #: Elements that never hold main text.
-_DEAD = frozenset("script style noscript template svg math iframe object canvas audio video select button textarea nav footer aside form menu dialog head title".split())
+_DEAD = frozenset("script style noscript template svg math iframe object canvas audio video select button textarea nav footer aside menu dialog head title input label".split())
 #: Elements that start and end a line.
 _BREAKS = frozenset(
     "address article aside blockquote body center dd details dialog div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hr html legend li main menu nav ol option p pre section summary table tbody td tfoot th thead tr ul".split()
@@ -24,18 +24,25 @@ _FURNITURE = re.compile(
     r"(?:^|[\s_-])(?:ads?|advert\w*|adverti[sz]ement|banner|breadcrumbs?|comments?|comment-?list|cookies?|consent|disqus|footer|legal|login|masthead|menu|modal|nav|navbar|navigation|newsletter|notice|pagination|popup|promo\w*|related|replies|reply|share|sharing|sidebar|social|sponsor\w*|subscribe|toolbar|widget)(?:$|[\s_-])",
     re.I,
 )
+#: Elements whose lines are running text, however short.
+_PROSE = frozenset("p h1 h2 h3 h4 h5 h6 blockquote pre".split())
 _CLOSES_P = _BREAKS - {"option", "legend", "summary"}
 
 
 class _Lines(HTMLParser):
-    """Cuts a page into lines at block elements: [text, tags, holder], where holder counts the article or main element or is -1."""
+    """Cuts a page into lines at block elements: (text, tags, holder, form, block), where holder and form count the article or
+    main element and the form around the line, or are -1, and block is the tag of its element. Tags of dead elements don't count."""
 
     def __init__(self):
         super().__init__(convert_charrefs=True)
-        self.open: list[tuple[str, bool, int]] = []
+        self.open: list[tuple[str, bool, int, int]] = []
         self.dead = 0
         self.holder, self.holders = -1, 0
-        self.lines: list[tuple[str, int, int]] = []
+        self.form, self.forms = -1, 0
+        self.whole: set[int] = set()  # forms with an article or main element inside
+        self.opened: dict[str, int] = {}
+        self.blocks = [""]
+        self.lines: list[tuple[str, int, int, int, str]] = []
         self.text: list[str] = []
         self.tags = 0
 
@@ -43,12 +50,12 @@ class _Lines(HTMLParser):
         if self.text:
             joined = " ".join("".join(self.text).split())
             if joined:
-                self.lines.append((joined, self.tags, self.holder))
+                self.lines.append((joined, self.tags, self.holder, self.form, self.blocks[-1]))
                 self.tags = 0
             self.text = []
 
     def handle_starttag(self, tag, attrs):
-        self.tags += 1
+        self.tags += not self.dead
         if tag == "br":
             self.text.append(" ") if not self.dead else None
             return
@@ -62,21 +69,27 @@ class _Lines(HTMLParser):
             self._end_item()
         marked = any(k in ("class", "id", "role") and v and _FURNITURE.search(v) for k, v in attrs) or any(k == "hidden" or (k == "aria-hidden" and v == "true") for k, v in attrs)
         dead = tag in _DEAD or (marked and tag not in ("html", "body", "article", "main")) or (tag == "header" and self.holder < 0)
-        self.open.append((tag, dead, self.holder))
+        self.open.append((tag, dead, self.holder, self.form))
+        self.opened[tag] = self.opened.get(tag, 0) + 1
+        if tag in _BREAKS:
+            self.blocks.append(tag)
         self.dead += dead
         if tag in _HOLDERS and not self.dead:
+            self.whole.add(self.form)
             self.holder, self.holders = (self.holder, self.holders) if self.holder >= 0 else (self.holders, self.holders + 1)
+        if tag == "form" and self.form < 0:
+            self.form, self.forms = self.forms, self.forms + 1
 
     def handle_startendtag(self, tag, attrs):
-        if tag in _VOID:
-            self.handle_starttag(tag, attrs)
-        else:
-            self.handle_starttag(tag, attrs)
+        self.handle_starttag(tag, attrs)
 
     def _close_to(self, at: int) -> None:
-        for _, dead, holder in reversed(self.open[at:]):
+        for tag, dead, holder, form in reversed(self.open[at:]):
             self.dead -= dead
-            self.holder = holder
+            self.holder, self.form = holder, form
+            self.opened[tag] -= 1
+            if tag in _BREAKS:
+                self.blocks.pop()
         del self.open[at:]
 
     def _end_paragraph(self) -> None:
@@ -90,6 +103,7 @@ class _Lines(HTMLParser):
                 return
 
     def _end_item(self) -> None:
+        """A list item ends the one before it."""
         for at in range(len(self.open) - 1, -1, -1):
             tag = self.open[at][0]
             if tag == "li":
@@ -99,9 +113,11 @@ class _Lines(HTMLParser):
                 return
 
     def handle_endtag(self, tag):
-        self.tags += 1
+        self.tags += not self.dead
         if tag in _BREAKS:
             self._flush()
+        if not self.opened.get(tag):
+            return
         for at in range(len(self.open) - 1, -1, -1):
             if self.open[at][0] == tag:
                 self._close_to(at)
@@ -113,10 +129,15 @@ class _Lines(HTMLParser):
         if not self.dead:
             self.text.append(data)
 
-    def finish(self) -> list[tuple[str, int, int]]:
+    def finish(self) -> list[tuple[str, int, int, str]]:
+        """(text, tags, holder, block) of the lines outside forms. A form that wraps an article, or most of the page's text, is no form to fill in: its lines stay."""
         self.close()
         self._flush()
-        return self.lines
+        sizes: dict[int, int] = {}
+        for text, _, _, form, _ in self.lines:
+            sizes[form] = sizes.get(form, 0) + len(text)
+        kept = self.whole | {f for f, n in sizes.items() if 2 * n > sum(sizes.values())} | {-1}
+        return [(*line[:3], line[4]) for line in self.lines if line[3] in kept]
 
 
 def smoothed(ratios: np.ndarray, radius: int = 2) -> np.ndarray:
@@ -125,12 +146,12 @@ def smoothed(ratios: np.ndarray, radius: int = 2) -> np.ndarray:
     return np.convolve(np.pad(ratios, radius, mode="edge"), kernel / kernel.sum(), mode="valid")
 
 
-def _regions(lines: list[tuple[str, int, int]]) -> list[list[int]]:
+def _regions(lines: list[tuple[str, int, int, str]]) -> list[list[int]]:
     """Line numbers of each candidate: the lines of an article or main element, and each run of lines outside of all."""
     out: list[list[int]] = []
     held: dict[int, list[int]] = {}
     before = None
-    for i, (_, _, holder) in enumerate(lines):
+    for i, (_, _, holder, _) in enumerate(lines):
         if holder >= 0 and holder in held:
             held[holder].append(i)
         elif holder < 0 and before == holder:
@@ -143,25 +164,28 @@ def _regions(lines: list[tuple[str, int, int]]) -> list[list[int]]:
     return out
 
 
-def content_lines(lines: list[tuple[str, int, int]]) -> list[str]:
+def content_lines(lines: list[tuple[str, int, int, str]]) -> list[str]:
     """The lines of the page's content regions, in the order of the page.
 
     Lines outside furniture get their text-to-tag ratio, smoothed within their candidate region; ratios above the page's
     threshold (their standard deviation, or half their mean if that is less) are content. Every region with content is
     kept: of an article or main element all lines, short ones too, of text outside the lines from the first to the last
-    content line.
+    content line that is a paragraph or heading, or is content by its own ratio too: smoothing alone would take in the
+    menu entries next to a text.
     """
     if not lines:
         return []
-    ratios = np.array([len(t) / max(1, k) for t, k, _ in lines], dtype=np.float64)
+    ratios = np.array([len(t) / max(1, k) for t, k, *_ in lines], dtype=np.float64)
     regions = _regions(lines)
     smooth = np.empty_like(ratios)
     for own in regions:
         smooth[own] = smoothed(ratios[own])
-    content = smooth >= min(smooth.std(), smooth.mean() / 2)
+    limit = min(smooth.std(), smooth.mean() / 2)
+    content = smooth >= limit
+    sure = content & ((ratios >= limit) | np.array([block in _PROSE for *_, block in lines]))
     kept: list[int] = []
     for own in regions:
-        good = np.flatnonzero(content[own])
+        good = np.flatnonzero(sure[own])
         if len(good):
             kept += own if lines[own[0]][2] >= 0 else own[good[0] : good[-1] + 1]
     return [lines[i][0] for i in sorted(kept)]

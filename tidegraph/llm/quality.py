@@ -13,12 +13,9 @@ from pyspark.sql import Column, DataFrame, functions as F
 
 from tidegraph.llm.labels import held_out, training_rows
 
-#: Bounds of the fit: labelled documents used, trees grown, and rules offered to the lasso.
+#: Bound of the fit: labelled documents used. Trees grown and their depth; every path of them is a rule that the lasso sees.
 MAX_TRAINING_DOCS = 8_000
-TREES, DEPTH, MAX_RULES = 24, 3, 160
-
-#: Marks whose share of the text is a statistic.
-MARKS = {"bang": "!!", "bar": "|", "hash": "###", "star": "***", "percent": "%%%", "amp": "&&&", "dollar": "$$$"}
+TREES, DEPTH = 24, 3
 
 
 def statistics(text: str = "text") -> dict[str, Column]:
@@ -28,19 +25,24 @@ def statistics(text: str = "text") -> dict[str, Column]:
     share = lambda c: F.when(size > 0, c / size).otherwise(0.0).cast("double")
     tokens = F.split(t, " ")
     lines = F.split(t, "\n")
-    capitals = F.length(F.regexp_replace(t, "[^A-Z]+", ""))
-    digits = F.length(F.regexp_replace(t, "[^0-9]+", ""))
-    out = {
+    without = lambda pattern: size - F.length(F.regexp_replace(t, pattern, ""))
+    ratio = lambda a, b: F.when(size > 0, a / b).otherwise(0.0).cast("double")
+    stops = F.length(F.regexp_replace(t, "[^.!?]+", ""))
+    return {
         "chars": F.log1p(size.cast("double")),
-        "token_length": F.when(size > 0, size / F.size(tokens)).otherwise(0.0).cast("double"),
-        "distinct_tokens": F.when(size > 0, F.size(F.array_distinct(tokens)) / F.size(tokens)).otherwise(0.0).cast("double"),
-        "distinct_lines": F.when(size > 0, F.size(F.array_distinct(lines)) / F.size(lines)).otherwise(0.0).cast("double"),
+        "token_length": ratio(size, F.size(tokens)),
+        "distinct_tokens": ratio(F.size(F.array_distinct(tokens)), F.size(tokens)),
+        "distinct_lines": ratio(F.size(F.array_distinct(lines)), F.size(lines)),
         "line_length": F.when(size > 0, F.log1p(size / F.size(lines))).otherwise(0.0).cast("double"),
-        "capitals": share(capitals),
-        "digits": share(digits),
-        "stops": share(size - F.length(F.replace(t, F.lit("."), F.lit("")))),
+        "sentence_length": ratio(F.size(tokens), stops + 1),
+        "stops": share(stops),
+        "commas": share(size - F.length(F.replace(t, F.lit(","), F.lit("")))),
+        "capitals": share(without("[A-Z]+")),
+        "digits": share(without("[0-9]+")),
+        "symbols": share(without(r"[#-&*+/<=>@\[-`{-~]+")),
+        "marks_in_a_row": share(without(r"([!-/:-@\[-`{-~])\1+")),
+        "long_tokens": share(without("[A-Za-z]{20,}")),
     }
-    return out | {k: share(size - F.length(F.replace(t, F.lit(m), F.lit("")))) for k, m in MARKS.items()}
 
 
 @dataclass
@@ -114,7 +116,7 @@ def rules_of(x: np.ndarray, y: np.ndarray, names: list[str], seed: int = 7) -> l
             found.setdefault(rule.parts, rule)
             if parts not in parents:
                 margin += 2.0 * mean * Rule(parts).holds(x, names)
-    return list(found.values())[: MAX_RULES * 4]
+    return list(found.values())
 
 
 def lasso(z: np.ndarray, y: np.ndarray, penalty: float, rounds: int = 400) -> tuple[float, np.ndarray]:
@@ -139,14 +141,12 @@ def fit_rules(x: np.ndarray, y: np.ndarray, names: list[str], penalty: float = 0
         return Model(float(np.log(p / (1 - p))), [])
     rules = rules_of(x, y, names)
     z = np.column_stack([r.holds(x, names) for r in rules]).astype(np.float64) if rules else np.zeros((len(y), 0))
-    spread = z.std(0)
-    keep = np.flatnonzero(spread > 1e-9)
-    order = keep[np.argsort(-np.abs((z[:, keep] - z[:, keep].mean(0)).T @ (y - y.mean())) / spread[keep] / len(y))][:MAX_RULES]
-    if not len(order):
+    keep = np.flatnonzero(z.std(0) > 1e-9)
+    if not len(keep):
         p = float(np.clip(y.mean(), 1e-3, 1 - 1e-3))
         return Model(float(np.log(p / (1 - p))), [])
-    b, w = lasso(z[:, order], y, penalty)
-    return Model(b, [Rule(rules[k].parts, float(v)) for k, v in zip(order, w) if abs(v) > 1e-6])
+    b, w = lasso(z[:, keep], y, penalty)
+    return Model(b, [Rule(rules[k].parts, float(v)) for k, v in zip(keep, w) if abs(v) > 1e-6])
 
 
 def fit(docs: DataFrame, labels: DataFrame, label: str = "quality", parts: int = 4, kept_out: int = 2, limit: int = MAX_TRAINING_DOCS) -> Model:

@@ -14,7 +14,7 @@ def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = _table(spark, sf_dir, "documents")
     scored = toxicity.score(docs, toxicity.fit(docs, _table(spark, sf_dir, "labels")))
-    return scored.select("doc_id", "held_out", "score", "predicted", "n_words", "n_segments")
+    return scored.select("doc_id", "held_out", "score", "predicted", "n_words", "n_segments", F.to_json("passages").alias("passages"))
 
 
 def op2_repeated_phrases(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -22,11 +22,16 @@ def op2_repeated_phrases(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op3_token_rollup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All documents as one inserted batch; committing it a second time changes nothing."""
+    """All documents as one inserted batch, committed twice, which changes nothing; then the texts with white space at their
+    ends are revised to what is between, and documents of which nothing is left are deleted."""
     store = rollup.RollupStore(spark)
-    inserted = _table(spark, sf_dir, "documents").select("source", "lang", "text", F.lit(1).alias("sign"))
+    docs = _table(spark, sf_dir, "documents").select("source", "lang", F.coalesce("text", F.lit("")).alias("text"))
     for _ in range(2):
-        store.commit("initial", inserted)
+        store.commit("initial", docs.withColumn("sign", F.lit(1)))
+    bare = F.regexp_replace("text", r"^\s+|\s+$", "")
+    changed = docs.withColumn("bare", bare).where("text <> bare or bare = ''")
+    signed = F.array(F.struct("text", F.lit(-1).alias("sign")), F.when(F.col("bare") != "", F.struct(F.col("bare").alias("text"), F.lit(1).alias("sign"))))
+    store.commit("trimmed", changed.select("source", "lang", F.explode(F.filter(signed, lambda x: x.isNotNull())).alias("c")).select("source", "lang", "c.*"))
     return store.totals()
 
 

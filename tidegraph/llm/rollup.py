@@ -6,6 +6,7 @@ import base64
 import importlib.util
 import os
 import re
+import uuid
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, functions as F
@@ -99,13 +100,11 @@ def revisions(old: DataFrame, new: DataFrame, id_col: str = "doc_id") -> DataFra
 class RollupStore:
     """Totals as the sum of committed batches in a folder that all executors share.
 
-    A batch is committed once its folder has the writer's success mark; committing it again does nothing, so a job that
-    is retried after a failure adds nothing twice. ``compact`` folds committed batches into a snapshot.
+    A batch is written aside and gets its name in one step once it is complete. Committing it again does nothing, so a job
+    that is retried after a failure adds nothing twice, and of two writers of one batch the second has no effect. ``compact`` folds committed batches into a snapshot.
     """
 
     def __init__(self, spark: SparkSession, path: str | None = None):
-        import uuid
-
         self.spark = spark
         self.path = path or f"{scratch_root(spark)}/rollups/{uuid.uuid4().hex}"
         self._fs_path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path
@@ -141,8 +140,24 @@ class RollupStore:
         target = self._folder(batch)
         if batch in self.committed():
             return False
-        deltas(changes, tokenizers, folder).coalesce(1).write.mode("overwrite").parquet(target)
-        return True
+        pending = f"{self.path}/pending/{batch}-{uuid.uuid4().hex}"
+        deltas(changes, tokenizers, folder).write.parquet(pending)
+        return self._publish(pending, target)
+
+    def _publish(self, pending: str, target: str) -> bool:
+        """Move a complete folder to its name in one step; False, and the folder goes, if another writer was first."""
+        context = self.spark.sparkContext
+        hadoop = context._jvm.org.apache.hadoop.fs
+        files = hadoop.FileContext.getFileContext(self._fs.getUri(), context._jsc.hadoopConfiguration())
+        files.mkdir(self._fs_path(target).getParent(), hadoop.permission.FsPermission.getDirDefault(), True)
+        try:
+            files.rename(self._fs_path(pending), self._fs_path(target), context._gateway.new_array(hadoop.Options.Rename, 0))
+            return True
+        except Exception:
+            self._fs.delete(self._fs_path(pending), True)
+            if self._exists(f"{target}/_SUCCESS"):
+                return False
+            raise
 
     def totals(self) -> DataFrame:
         """``source, lang, tokenizer, n_docs, n_chars, n_tokens``; groups that came to no documents are left out."""
@@ -167,6 +182,6 @@ class RollupStore:
         mark = self.spark.createDataFrame([(names,)], "batches array<string>")
         number = int(snapshot[1:]) + 1 if snapshot else 0
         rows = self.totals().withColumn("batches", F.lit(None).cast("array<string>")).unionByName(mark, allowMissingColumns=True)
-        rows.coalesce(1).write.parquet(f"{self.path}/snapshots/s{number:08d}")
+        rows.write.parquet(f"{self.path}/snapshots/s{number:08d}")
         for b in loose:
             self._fs.delete(self._fs_path(self._folder(b)), True)

@@ -105,8 +105,8 @@ class _Forest:
         return True
 
 
-def _spanning(key: int, ids: np.ndarray, fp: np.ndarray, sizes: np.ndarray | None, marks: np.ndarray | None, distance: int, similarity: float) -> list[tuple[int, int]]:
-    """Links from the smallest id of each group that one signature connects to the group's others. fp: (members,) unsigned; sizes and marks: of the members' feature sets, or None.
+def _spanning(key: int, ids: np.ndarray, fp: np.ndarray, sketch: np.ndarray | None, distance: int, agree: int) -> list[tuple[int, int]]:
+    """Links from the smallest id of each group that one signature connects to the group's others. fp: (members,) unsigned; sketch: (members, bytes) or None.
 
     A pair belongs to the signature whose wild bit is the only one its segment differs in; equal segments belong to the
     segment's first bit. So no pair is compared twice for one segment.
@@ -116,8 +116,7 @@ def _spanning(key: int, ids: np.ndarray, fp: np.ndarray, sizes: np.ndarray | Non
     own = np.uint64(((1 << width) - 1) << first)
     order = np.argsort(ids, kind="stable")
     ids, x = ids[order], fp[order]
-    if marks is not None:
-        sizes, marks = sizes[order], marks[order]
+    sketch = None if sketch is None else sketch[order]
     forest = _Forest(len(ids))
     for i in range(len(ids) - 1):
         diff = x[i + 1 :] ^ x[i]
@@ -127,8 +126,8 @@ def _spanning(key: int, ids: np.ndarray, fp: np.ndarray, sizes: np.ndarray | Non
             fits |= inside == 0
         fits &= np.bitwise_count(diff) <= distance
         near = np.flatnonzero(fits) + i + 1
-        if marks is not None and len(near):
-            near = near[_may_reach(sizes[i], sizes[near], marks[i], marks[near], similarity)]
+        if sketch is not None and len(near):
+            near = near[(sketch[near] == sketch[i]).sum(1) >= agree]
         for j in near:
             forest.join(i, int(j))
     tops = [forest.root(i) for i in range(len(ids))]
@@ -150,26 +149,24 @@ def _counted(table: Scratch) -> DataFrame:
     return F.broadcast(table.df) if table.df.count() <= BROADCAST_ROWS else table.df
 
 
-def near_links(nodes: DataFrame, distance: int = 3, similarity: float | None = None) -> Scratch:
+def near_links(nodes: DataFrame, distance: int = 3, sketch: str | None = None, agree: int = 0) -> Scratch:
     """``nodes(id, fp)`` -> links ``(a, b)`` that connect all nodes within ``distance`` bits, as a written table.
 
     The links span: two nodes are connected by them if and only if they are by near pairs. Each signature gives links from
-    the smallest of its members, so that those of a dense group fall together, and never all its pairs. With
-    ``similarity`` the nodes also have ``size`` and ``parity`` of a feature set, and pairs whose sets cannot be that
-    similar don't link. Signatures held by over ``BLOCK`` nodes are dealt out in blocks, and every pair of blocks is
+    the smallest of its members, so that those of a dense group fall together, and never all its pairs. ``sketch`` names a
+    binary column of which at least ``agree`` bytes must be equal too. Signatures held by over ``BLOCK`` nodes are dealt out in blocks, and every pair of blocks is
     compared in a task of its own.
     """
     ship(nodes.sparkSession)
     keys = _variants(nodes, distance)
     held = materialize(keys.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1"), "held")
-    columns = ["id", "fp", *(["size", "parity"] if similarity else [])]
+    columns = ["id", "fp", *([sketch] if sketch else [])]
     members = materialize(keys.join(_counted(held), "key").join(nodes.select(*columns), "id"), "signatures")
     held.drop()
 
-    def spanning(key, ids, fp, sizes, marks):
-        if marks is not None:
-            sizes, marks = np.asarray(sizes, dtype=np.int64), np.frombuffer(b"".join(marks), dtype=np.uint64).reshape(len(ids), -1)
-        return _spanning(key, ids, fp.view(np.uint64), sizes, marks, distance, similarity or 0.0)
+    def spanning(key, ids, fp, marks):
+        marks = None if marks is None else np.frombuffer(b"".join(marks), dtype=np.uint8).reshape(len(ids), -1)
+        return _spanning(key, ids, fp.view(np.uint64), marks, distance, agree)
 
     def small(batches):
         for batch in batches:
@@ -179,14 +176,13 @@ def near_links(nodes: DataFrame, distance: int = 3, similarity: float | None = N
             ends = ends - ends[0]
             if len(flat):
                 ids, fp = flat.field(0).to_numpy(), flat.field(1).to_numpy()
-                sizes, marks = (flat.field(2).to_numpy(), flat.field(3).to_pylist()) if similarity else (None, None)
+                marks = flat.field(2).to_pylist() if sketch else None
                 for key, a, b in zip(batch.column(0).to_pylist(), ends, ends[1:]):
-                    found.update(dict.fromkeys(spanning(key, ids[a:b], fp[a:b], None if sizes is None else sizes[a:b], None if marks is None else marks[a:b])))
+                    found.update(dict.fromkeys(spanning(key, ids[a:b], fp[a:b], None if marks is None else marks[a:b])))
             yield pa.RecordBatch.from_arrays([pa.array([x for x, _ in found], pa.int64()), pa.array([y for _, y in found], pa.int64())], ["a", "b"])
 
     def blocks(table: pa.Table) -> pa.Table:
-        sizes, marks = (table["size"].to_numpy(), table["parity"].to_pylist()) if similarity else (None, None)
-        found = spanning(table["key"][0].as_py(), table["id"].to_numpy(), table["fp"].to_numpy(), sizes, marks)
+        found = spanning(table["key"][0].as_py(), table["id"].to_numpy(), table["fp"].to_numpy(), table[sketch].to_pylist() if sketch else None)
         return pa.table({"a": pa.array([x for x, _ in found], pa.int64()), "b": pa.array([y for _, y in found], pa.int64())})
 
     grouped = (
@@ -228,6 +224,8 @@ def near_components(docs: DataFrame, width: int = 3, distance: int = 3, seed: in
 
 #: Bits of a text's parity map; each shingle flips one, so two maps differ in no more bits than their sets differ in shingles.
 PARITY_BITS = 512
+#: Bytes of the sketch of a text's shingles, and how many must agree: those of a pair at similarity 0.8 agree in 0.8 of them, of unrelated texts in hardly any.
+SKETCH_BYTES, SKETCH_AGREE = 16, 6
 #: Documents whose shingles are counted to put frequent ones last, and the most of them that are remembered.
 ORDER_DOCS, ORDER_SHINGLES = 20_000, 200_000
 #: Hashes of words that a task remembers.
@@ -279,9 +277,20 @@ def parity_map(hashes: np.ndarray) -> bytes:
     return np.packbits((flips & 1).astype(np.uint8)).tobytes()
 
 
+def sketch_of(hashes: np.ndarray) -> bytes:
+    """The low byte of the least hash in each of SKETCH_BYTES permutations."""
+    odd = (2 * np.arange(SKETCH_BYTES, dtype=np.uint64) + np.uint64(1)) * _ODD | np.uint64(1)
+    mixed = (hashes ^ (hashes >> np.uint64(29))) * odd[:, None]
+    return (mixed ^ (mixed >> np.uint64(32))).min(1).astype(np.uint8).tobytes()
+
+
+#: Two sets must share one token of their prefixes, and one more for so many tokens of the smaller set; prefixes are longer by as much.
+SHARE_EVERY = 50
+
+
 def prefix_length(size: int, similarity: float) -> int:
-    """Two sets of which one has ``size`` members share one of its first so many, in any common order, if they reach ``similarity``."""
-    return size - math.ceil(similarity * size - 1e-9) + 1
+    """Of two sets at ``similarity`` or more, the first so many members of each, in any common order, share 1 + size / SHARE_EVERY of the smaller set."""
+    return min(size, size - math.ceil(similarity * size - 1e-9) + 1 + size // SHARE_EVERY)
 
 
 def near_duplicate_groups(docs: DataFrame, width: int = 5, similarity: float = 0.8, distance: int = 3, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -297,11 +306,11 @@ def near_duplicate_groups(docs: DataFrame, width: int = 5, similarity: float = 0
     texts = docs.where(F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
     scanned = materialize(_scan(texts, width, similarity), "scanned")
     worded = scanned.df.where("size > 0")
-    held = ("size", "parity", "fp", "prefix")
+    held = ("size", "parity", "sketch", "fp", "prefix")
     classes = materialize(worded.groupBy("key").agg(F.min("id").alias("id"), *[F.first(c).alias(c) for c in held]), "classes")
     members = materialize(scanned.df.select("id", "key"), "members")
     scanned.drop()
-    near = near_links(classes.df, distance, similarity)
+    near = near_links(classes.df, distance, "sketch", SKETCH_AGREE)
     candidates = materialize(star_components(near.df), "candidates")
     near.drop()
     met = _prefix_links(classes.df, candidates, similarity)
@@ -318,20 +327,21 @@ def near_duplicate_groups(docs: DataFrame, width: int = 5, similarity: float = 0
 
 
 def _scan(texts: DataFrame, width: int, similarity: float) -> DataFrame:
-    """``(id, key, size, parity, fp, prefix)`` of each text: its class, and size, parity map, fingerprint and prefix of its shingles, rare ones first."""
+    """``(id, key, size, parity, sketch, fp, prefix)`` of each text: its class, its word fingerprint, and size, parity map, sketch and prefix of its shingles, rare ones first."""
     frequent = texts.sparkSession.sparkContext.broadcast(_frequent(texts, width))
 
     def run(batches):
         known, times = frequent.value
         sets = WordSets(width)
         for batch in batches:
-            keys, sizes, marks, prints, prefixes = [], [], [], [], []
+            keys, sizes, marks, sketches, prints, prefixes = [], [], [], [], [], []
             for raw in _binary(batch.column(1)):
                 words = sets.words(raw)
                 own = sets.shingles(words)
                 keys.append(hashlib.md5(words.tobytes()).digest())
                 sizes.append(len(own))
                 marks.append(parity_map(own))
+                sketches.append(sketch_of(own) if len(own) else bytes(SKETCH_BYTES))
                 prints.append(word_fingerprint(words) if len(own) else 0)
                 if len(known) and len(own):
                     at = np.minimum(np.searchsorted(known, own), len(known) - 1)
@@ -339,10 +349,10 @@ def _scan(texts: DataFrame, width: int, similarity: float) -> DataFrame:
                 prefixes.append(own[: prefix_length(len(own), similarity)].view(np.int64))
             ends = np.cumsum([0, *map(len, prefixes)]).astype(np.int32)
             flat = np.concatenate(prefixes) if prefixes else np.zeros(0, dtype=np.int64)
-            columns = [batch.column(0), pa.array(keys, pa.binary()), pa.array(sizes, pa.int32()), pa.array(marks, pa.binary()), _signed(prints), pa.ListArray.from_arrays(pa.array(ends), pa.array(flat))]
-            yield pa.RecordBatch.from_arrays(columns, ["id", "key", "size", "parity", "fp", "prefix"])
+            columns = [batch.column(0), pa.array(keys, pa.binary()), pa.array(sizes, pa.int32()), pa.ListArray.from_arrays(pa.array(np.arange(len(marks) + 1, dtype=np.int32) * (PARITY_BITS // 64)), pa.array(np.frombuffer(b"".join(marks), dtype=np.int64))), pa.array(sketches, pa.binary()), _signed(prints), pa.ListArray.from_arrays(pa.array(ends), pa.array(flat))]
+            yield pa.RecordBatch.from_arrays(columns, ["id", "key", "size", "parity", "sketch", "fp", "prefix"])
 
-    return texts.mapInArrow(run, "id long, key binary, size int, parity binary, fp long, prefix array<long>")
+    return texts.mapInArrow(run, "id long, key binary, size int, parity array<long>, sketch binary, fp long, prefix array<long>")
 
 
 def _frequent(texts: DataFrame, width: int) -> np.ndarray:
@@ -370,8 +380,9 @@ def _frequent(texts: DataFrame, width: int) -> np.ndarray:
 def _prefix_links(classes: DataFrame, candidates: Scratch, similarity: float) -> Scratch:
     """Pairs ``(a, b)`` of different candidate groups, all of those at ``similarity`` or more among them, as a written table.
 
-    Sets that similar share a shingle of both prefixes. Sizes, the places of the first shared shingle and the parity maps
-    bound the overlap and drop most others; none of these bounds can drop a true pair.
+    Sets that similar share shingles of their prefixes, large sets more than a few, so that long texts which meet by chance
+    drop out. Sizes, the places of the first shared shingle and the parity maps bound the overlap and drop most others; none
+    of these bounds can drop a true pair.
     """
     tokens = classes.select("id", "size", F.posexplode("prefix").alias("place", "token"))
     shared = materialize(tokens.groupBy("token").agg(F.count(F.lit(1)).alias("n")).where("n > 1"), "shared")
@@ -385,19 +396,20 @@ def _prefix_links(classes: DataFrame, candidates: Scratch, similarity: float) ->
     right = spread.withColumn("own", F.explode(F.sequence(F.lit(0), F.col("count") - 1))).alias("y")
     x, y = (lambda c: F.col(f"x.{c}")), (lambda c: F.col(f"y.{c}"))
     total = x("size") + y("size")
-    part = lambda c, k: F.conv(F.hex(F.substring(c, 8 * k + 1, 8)), 16, -10).cast("long")
     apart = F.lit(0)
     for k in range(PARITY_BITS // 64):
-        apart = apart + F.bit_count(part(x("parity"), k).bitwiseXOR(part(y("parity"), k)))
-    reach = F.least(x("size") - x("place"), y("size") - y("place"))
+        apart = apart + F.bit_count(F.get(x("parity"), F.lit(k)).bitwiseXOR(F.get(y("parity"), F.lit(k))))
     near = (
         (x("id") < y("id")) & (x("found") != y("found"))
         & (F.least(x("size"), y("size")) >= similarity * F.greatest(x("size"), y("size")) - 1e-9)
-        & (reach >= total * (similarity / (1 + similarity)) - 1e-6)
         & (apart <= total * ((1 - similarity) / (1 + similarity)) + 1e-6)
     )
     joined = left.join(right, (x("token") == y("token")) & (x("own") == y("own")) & near)
-    pairs = materialize(joined.select(x("id").alias("a"), y("id").alias("b")).distinct(), "met")
+    reach = F.least(x("size") - x("place"), y("size") - y("place")) - total * (similarity / (1 + similarity))
+    shared = joined.select(x("id").alias("a"), y("id").alias("b"), F.least(x("size"), y("size")).alias("size"), reach.alias("reach"))
+    enough = (F.col("n") >= 1 + F.floor(F.col("size") / SHARE_EVERY)) & (F.col("reach") >= -1e-6)
+    pairs = shared.groupBy("a", "b").agg(F.count(F.lit(1)).alias("n"), F.max("reach").alias("reach"), F.max("size").alias("size")).where(enough)
+    pairs = materialize(pairs.select("a", "b"), "met")
     rows.drop()
     between.drop()
     return pairs
@@ -417,14 +429,16 @@ def _verified_links(texts: DataFrame, groups: Scratch, width: int, similarity: f
         order = sorted(range(len(ids)), key=ids.__getitem__)
         ids = [ids[i] for i in order]
         sets = [np.frombuffer(table["shingles"][i].as_py(), dtype=np.uint64) for i in order]
+        sizes = np.array([len(x) for x in sets], dtype=np.int64)
+        marks = np.frombuffer(b"".join(parity_map(x) for x in sets), dtype=np.uint64).reshape(len(sets), -1)
         forest, a, b = _Forest(len(ids)), [], []
         for i in range(len(ids) - 1):
-            for j in range(i + 1, len(ids)):
-                x, y = sets[i], sets[j]
-                if ids[i] == ids[j] or min(len(x), len(y)) < similarity * max(len(x), len(y)) or forest.root(i) == forest.root(j):
+            for j in np.flatnonzero(_may_reach(sizes[i], sizes[i + 1 :], marks[i], marks[i + 1 :], similarity)) + i + 1:
+                j = int(j)
+                if ids[i] == ids[j] or forest.root(i) == forest.root(j):
                     continue
-                both = len(x) + len(y) - len(np.union1d(x, y))
-                if both >= similarity * (len(x) + len(y) - both) and forest.join(i, j):
+                both = len(np.intersect1d(sets[i], sets[j], assume_unique=True))
+                if both >= similarity * (sizes[i] + sizes[j] - both) and forest.join(i, j):
                     a.append(ids[i])
                     b.append(ids[j])
         return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})

@@ -51,21 +51,30 @@ FROM b LEFT JOIN g USING (doc_id)"""
 
 
 def decontamination(window: int = decontam.WINDOW, least: float = 0.5) -> str:
-    """Template windows joined by their words; for items of a window's words or more, as those of the benchmark are."""
-    low = "lower(coalesce(text, ''))"
-    plain = rf"regexp_replace(regexp_replace({low}, '([0-9])[.,]([0-9])', '\1\2', 'g'), '([0-9])[.,]([0-9])', '\1\2', 'g')"
+    """Template windows and windows of plain words joined by their words, for items of any length."""
+    name, unit = decontam.NAME_MARK, decontam.UNIT_MARK
+    twice = lambda x, pattern, to: f"regexp_replace(regexp_replace({x}, '{pattern}', '{to}', 'g'), '{pattern}', '{to}', 'g')"
+    low = "lower(" + twice(f"translate(coalesce(text, ''), '{name}{unit}', '')", r"([\p{L}0-9,;)] )([A-Z][a-z])", rf"\1{name}\2") + ")"
+    plain = twice(twice(low, "([0-9])[.,]([0-9])", r"\1\2"), "(^|[^0-9a-z])([0-9]+)([a-z]{1,4})($|[^0-9a-z])", rf"\1\2 {unit}\3\4")
     words = f"list_filter(string_split_regex({plain}, '{_BETWEEN}'), lambda w: w <> '')"
-    typed = f"list_transform(r, lambda w: CASE WHEN regexp_full_match(w, '[0-9]+') THEN '<number>' WHEN w IN ({_quoted(decontam.UNITS)}) THEN '<unit>' WHEN w IN ({_quoted(decontam.NAMES)}) THEN '<name>' ELSE w END)"
+    bare = lambda w: f"ltrim({w}, '{name}{unit}')"
+    typed = (f"list_transform(m, lambda w: CASE WHEN regexp_full_match(w, '[0-9]+') OR w IN ({_quoted(decontam.NUMBERS)}) THEN '<number>' WHEN starts_with(w, '{unit}') OR w IN ({_quoted(decontam.UNITS)}) THEN '<unit>' "
+             f"WHEN starts_with(w, '{name}') OR w IN ({_quoted(decontam.NAMES)}) OR list_contains(named, w) THEN '<name>' ELSE {bare('w')} END)")
 
-    def windows(name: str, table: str, key: str) -> str:
-        return f"""{name}r AS (SELECT DISTINCT {key}, {words} AS r FROM {table}), {name}t AS (SELECT {key}, r, {typed} AS t FROM {name}r),
-{name}s AS (SELECT {key}, r, t, unnest(range(1, len(r) - {window - 2})) AS place FROM {name}t),
-{name} AS (SELECT {key}, len(r) - {window - 1} AS total, place, array_to_string(t[place:place + {window - 1}], ' ') AS k, array_to_string(r[place:place + {window - 1}], ' ') AS raw,
-  [r[place + j] for j in range({window}) if t[place + j][1] = '<'] AS slots FROM {name}s)"""
+    def windows(x: str, table: str, key: str, widths: str) -> str:
+        return f"""{x}m AS (SELECT DISTINCT {key} AS id, text, {words} AS m FROM {table} WHERE {key} IS NOT NULL),
+{x}n AS (SELECT id, text, m, list_transform(list_filter(m, lambda w: starts_with(w, '{name}')), lambda w: {bare('w')}) AS named FROM {x}m),
+{x}t AS (SELECT id, text, list_transform(m, lambda w: {bare('w')}) AS r, {typed} AS t FROM {x}n),
+{x}s AS (SELECT id, text, r, t, width, unnest(range(1, len(r) - width + 2)) AS place FROM ({widths})),
+{x}k AS (SELECT id, text, len(r) - width + 1 AS total, place, array_to_string(t[place:place + width - 1], ' ') AS k, array_to_string(r[place:place + width - 1], ' ') AS raw,
+  [r[place + j] for j in range(width) if t[place + j][1] = '<'] AS slots FROM {x}s),
+{x}w AS (SELECT * FROM {x}k UNION ALL SELECT id, text, total, place, raw, raw, [] FROM {x}k WHERE k <> raw)"""
 
-    return f"""WITH {windows('bw', 'benchmark', 'item_id')}, {windows('dw', 'documents', 'doc_id')},
-m AS (SELECT d.doc_id, i.item_id, d.place - i.place AS shift, i.place, i.total, d.raw = i.raw AS exact, list_zip(i.slots, d.slots) AS pairs FROM dw d JOIN bw i USING (k)),
-u AS (SELECT doc_id, item_id, shift, unnest(pairs) AS p FROM m), v AS (SELECT doc_id, item_id, shift, count(DISTINCT p) AS a, count(DISTINCT p[1]) AS b, count(DISTINCT p[2]) AS c FROM u GROUP BY ALL),
-o AS (SELECT m.doc_id, m.item_id, m.place, max(m.total) AS total, max(m.exact::INT) AS exact FROM m LEFT JOIN v USING (doc_id, item_id, shift) WHERE m.exact OR v.a IS NULL OR (v.a = v.b AND v.a = v.c) GROUP BY ALL),
-f AS (SELECT doc_id, item_id, max(total)::BIGINT AS n_windows, count(*) AS n_matched, sum(exact)::BIGINT AS n_exact FROM o GROUP BY ALL)
-SELECT *, n_matched / n_windows AS coverage FROM f WHERE n_matched >= {least} * n_windows"""
+    return f"""WITH {windows('b', 'benchmark', 'item_id', f"SELECT *, least(len(r), {window}) AS width FROM bt WHERE text IS NOT NULL AND len(r) > 0")},
+{windows('d', 'documents', 'doc_id', f"SELECT dt.*, x.width FROM dt JOIN (SELECT DISTINCT width FROM bs UNION SELECT {window}) x ON len(dt.r) >= x.width")},
+m AS (SELECT d.id AS doc_id, i.id AS item_id, i.text AS item, d.place - i.place AS shift, i.place, i.total, d.raw = i.raw AS exact, list_zip(i.slots, d.slots) AS pairs FROM dw d JOIN bw i USING (k)),
+u AS (SELECT doc_id, item_id, item, shift, unnest(pairs) AS p FROM m), v AS (SELECT doc_id, item_id, item, shift, count(DISTINCT p) AS a, count(DISTINCT p[1]) AS b FROM u GROUP BY ALL),
+o AS (SELECT m.doc_id, m.item_id, m.item, m.place, max(m.total) AS total, max(m.exact::INT) AS exact FROM m LEFT JOIN v USING (doc_id, item_id, item, shift) WHERE m.exact OR v.a IS NULL OR v.a = v.b GROUP BY ALL),
+f AS (SELECT doc_id, item_id, item, max(total)::BIGINT AS n_windows, count(*) AS n_matched, sum(exact)::BIGINT AS n_exact FROM o GROUP BY ALL)
+SELECT doc_id, item_id, n_windows, n_matched, n_exact, n_matched / n_windows AS coverage FROM f WHERE n_matched >= {least} * n_windows
+QUALIFY row_number() OVER (PARTITION BY doc_id, item_id ORDER BY coverage DESC, n_exact DESC, n_matched DESC) = 1"""

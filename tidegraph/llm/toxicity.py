@@ -1,9 +1,9 @@
 """Toxicity by maximum-scoring segments.
 
-Each word scores its log-odds between toxic and clean text under an informative Dirichlet prior, words without a
-significant lean score a small negative drift, and one linear scan finds every maximal segment of a text. Segment scores
-are judged against the extreme-value distribution of the best segment of clean text of the same length, and the text's
-probability is a logistic of what its segments show.
+Each word scores its log-odds between toxic and clean text under an informative Dirichlet prior, taken as zero where it
+cannot be told from zero, less a drift, and one linear scan finds every maximal segment of a text. Segment scores are
+judged against the extreme-value distribution of the best segment of clean text of the same length, whose rate and scale
+are fitted to clean texts, and the text's probability is a logistic of what its segments show.
 """
 
 from __future__ import annotations
@@ -23,9 +23,10 @@ _WORD = re.compile(r"[^\W\d_]+")
 #: Letters of the stems that stand in for words the lexicon does not have.
 STEM = 5
 
-#: Bounds of the fit: labelled documents used, and words kept in the lexicon.
+#: Bound of the fit: labelled documents used. All their words that lean are in the lexicon.
 MAX_TRAINING_DOCS = 20_000
-MAX_LEXICON = 50_000
+#: Lowest score of a word, so that no single word hides a passage.
+LEAST_SCORE = -4.0
 
 
 def words(text: str) -> list[str]:
@@ -34,7 +35,7 @@ def words(text: str) -> list[str]:
 
 @dataclass
 class Model:
-    """``lexicon`` scores words; ``stems`` score words it does not have by their first letters."""
+    """``lexicon`` scores words; ``stems`` score words it does not have by their first letters; all others score -``drift``."""
 
     lexicon: dict[str, float]
     stems: dict[str, float]
@@ -100,7 +101,7 @@ def evidence(n: int, segments: list[tuple[int, int, float]], model: Model) -> tu
     scaled = sorted((model.rate * s - base for _, _, s in segments), reverse=True)
     good = sum(x > beyond for x in scaled)
     total, run = scaled[0], 0.0
-    for r, x in enumerate(scaled[:200], 1):
+    for r, x in enumerate(scaled, 1):
         if x <= -math.log(r):
             break
         run += x + math.log(r)
@@ -120,27 +121,26 @@ def features(found: list[str]) -> dict[str, int]:
     return own
 
 
-def _lexicon(counts: list[tuple[str, int, int]], n_toxic: int, n_clean: int, prior_words: float, least_z: float, least_lean: float) -> tuple[dict[str, float], dict[str, float]]:
-    """Log-odds of the words and stems that lean clearly, by the variance of the prior-smoothed estimate; clean leans only of words."""
-    out = {}
-    total = n_toxic + n_clean
-    for word, toxic, clean in counts:
-        prior = prior_words * (toxic + clean) / total
-        odds = lambda y, n: math.log((y + prior) / max(n + prior_words - y - prior, 1.0))
-        lean = odds(toxic, n_toxic) - odds(clean, n_clean)
-        z = lean / math.sqrt(1 / (toxic + prior) + 1 / (clean + prior))
-        if (z >= least_z and lean >= least_lean) or (z <= -least_z and lean <= -least_lean and word[-1] != "~"):
-            out[word] = (lean, z)
-    best = sorted(out, key=lambda w: (-abs(out[w][1]), w))[:MAX_LEXICON]
-    lexicon = {w: max(out[w][0], -3.0) for w in best if w[-1] != "~"}
-    return lexicon, {w[:-1]: out[w][0] for w in best if w[-1] == "~"}
-
-
-def _rate(lexicon: dict[str, float], clean: dict[str, int], n_clean: int, drift: float) -> tuple[float, float]:
-    """(rate, K): the rate at which the moment generating function of a clean word's score is one; K from its drift."""
-    shares = [((clean.get(w, 0) + 0.5) / (n_clean + 0.5 * len(lexicon)), s) for w, s in lexicon.items()]
-    rest = max(1 - sum(p for p, _ in shares), 1e-6)
-    shares.append((rest, -drift))
+def _leaning(counted: DataFrame, n_toxic: int, n_clean: int, prior_words: float, least_docs: int, least_z: float, least_lean: float) -> DataFrame:
+    """``(word, clean, lean)``: the smoothed log-odds of every word and stem that leans clearly by the variance of its estimate; clean leans only of words."""
+    prior = prior_words * (F.col("toxic") + F.col("clean")) / (n_toxic + n_clean)
+    odds = lambda y, n: F.log((F.col(y) + prior) / F.greatest(n + prior_words - F.col(y) - prior, F.lit(1.0)))
+    leans = counted.where(F.col("docs") >= least_docs).withColumn("lean", odds("toxic", n_toxic) - odds("clean", n_clean))
+    z = F.col("lean") / F.sqrt(1 / (F.col("toxic") + prior) + 1 / (F.col("clean") + prior))
+    clear = ((z >= least_z) & (F.col("lean") >= least_lean)) | ((z <= -least_z) & (F.col("lean") <= -least_lean) & ~F.col("word").endswith("~"))
+    return leans.where(clear).select("word", "clean", "lean")
+
+
+def _rate(lexicon: dict[str, float], stems: dict[str, float], clean: dict[str, int], n_clean: int, drift: float) -> float:
+    """The rate at which the moment generating function of a clean word's score is one. Each word counts under the one score it gets."""
+    by_stem: dict[str, int] = {}
+    for w in lexicon:
+        if len(w) > STEM:
+            by_stem[w[:STEM]] = by_stem.get(w[:STEM], 0) + clean[w]
+    counts = [(clean[w], s) for w, s in lexicon.items()] + [(max(clean[f"{w}~"] - by_stem.get(w, 0), 0), s) for w, s in stems.items()]
+    total = n_clean + 0.5 * len(counts)
+    shares = [((n + 0.5) / total, s) for n, s in counts]
+    shares.append((max(n_clean - sum(n for n, _ in counts), 0) / total, -drift))
     excess = lambda r: sum(p * math.exp(min(r * s, 60)) for p, s in shares) - 1
     low, high = 1e-4, 1.0
     while excess(high) < 0 and high < 50:
@@ -148,11 +148,21 @@ def _rate(lexicon: dict[str, float], clean: dict[str, int], n_clean: int, drift:
     for _ in range(80):
         middle = (low + high) / 2
         low, high = (middle, high) if excess(middle) < 0 else (low, middle)
-    return high, 0.1
+    return high
+
+
+def extreme_scale(sizes: np.ndarray, best: np.ndarray, rate: float, least: float) -> float:
+    """K of the extreme-value distribution by maximum likelihood: the best segment of n clean words tops s with probability 1 - exp(-K n exp(-rate s)).
+
+    Texts without a segment count as those whose best score is below ``least``, the smallest a segment can have.
+    """
+    seen = best > 0
+    mass = float((sizes * np.exp(-rate * np.where(seen, best, least))).sum())
+    return max(int(seen.sum()), 1) / mass if mass > 0 else 1.0
 
 
 def fit(
-    docs: DataFrame, labels: DataFrame, label: str = "toxic", parts: int = 5, kept_out: int = 0, limit: int = MAX_TRAINING_DOCS, prior_share: float = 0.05, least_docs: int = 3, least_z: float = 2.5, least_lean: float = 2.0, drift: float = 2.0
+    docs: DataFrame, labels: DataFrame, label: str = "toxic", parts: int = 5, kept_out: int = 0, limit: int = MAX_TRAINING_DOCS, prior_share: float = 0.05, least_docs: int = 3, least_z: float = 2.5, least_lean: float = 2.0, drift: float = 1.0
 ) -> Model:
     """Fit on at most ``limit`` labelled documents outside the held-out fold: word counts on four fifths, calibration on the rest.
 
@@ -179,12 +189,15 @@ def fit(
     if not sums["t"] or not sums["c"]:
         p = min(max(0.5 if share is None else share, 1e-3), 1 - 1e-3)
         return Model({}, {}, drift, 1.0, 0.1, [math.log(p / (1 - p)), 0.0, 0.0, 0.0])
-    leaning = counted.df.where(F.col("docs") >= least_docs).orderBy(F.abs(F.col("toxic") / sums["t"] - F.col("clean") / sums["c"]).desc(), "word").limit(4 * MAX_LEXICON)
-    counts = [(r["word"], r["toxic"], r["clean"]) for r in leaning.collect()]  # at most four lexicons
-    lexicon, stems = _lexicon(counts, sums["t"], sums["c"], prior_share * (sums["t"] + sums["c"]), least_z, least_lean)
-    clean = {w: c for w, _, c in counts}
-    rate, scale = _rate({**lexicon, **{f"{w}~": v for w, v in stems.items()}}, clean, sums["c"], drift)
-    model = Model(lexicon, stems, drift, rate, scale)
+    leaning = _leaning(counted.df, sums["t"], sums["c"], prior_share * (sums["t"] + sums["c"]), least_docs, least_z, least_lean).collect()  # words of ``limit`` documents
+    scores = {r["word"]: max(r["lean"] - drift, LEAST_SCORE) for r in leaning}
+    clean = {r["word"]: r["clean"] for r in leaning}
+    lexicon, stems = {w: v for w, v in scores.items() if w[-1] != "~"}, {w[:-1]: v for w, v in scores.items() if w[-1] == "~"}
+    model = Model(lexicon, stems, drift, _rate(lexicon, stems, clean, sums["c"], drift), 1.0)
+    calm = rows.df.where("fold = 0 and label = 0")
+    bests = np.array([(r["n"], r["top"]) for r in calm.select(*_best_columns(calm, model)).collect()], dtype=np.float64).reshape(-1, 2)  # at most a fifth of the limit
+    if len(bests):
+        model.scale = extreme_scale(bests[:, 0], bests[:, 1], model.rate, min([v for v in scores.values() if v > 0], default=1.0))
     shown = rows.df.where("fold = 0")
     shown = shown.select("label", *_evidence_columns(shown, model)).collect()  # at most a fifth of the limit
     if len({r["label"] for r in shown}) == 2:
@@ -195,6 +208,21 @@ def fit(
     return model
 
 
+def _best_columns(df: DataFrame, model: Model):
+    """The number of words of a text and the score of its best segment."""
+    held = df.sparkSession.sparkContext.broadcast(model)
+
+    @F.pandas_udf("n long, top double")
+    def run(text):
+        import pandas as pd
+
+        found = [segments_of(t or "", held.value) for t in text]
+        return pd.DataFrame({"n": [n for n, _ in found], "top": [max((s for *_, s in x), default=0.0) for _, x in found]})
+
+    shown = run("text")
+    return [shown["n"].alias("n"), shown["top"].alias("top")]
+
+
 def _evidence_columns(df: DataFrame, model: Model):
     held = df.sparkSession.sparkContext.broadcast(model)
 
