@@ -10,7 +10,7 @@ sys.path.insert(0, os.path.dirname(os.path.dirname(os.path.abspath(__file__))))
 def spark():
     from tidegraph.runtime import session
 
-    return session("tests", cores=4, shuffle_partitions=4)
+    return session("tests", cores=os.environ.get("TEST_CORES", "4"), shuffle_partitions=4)
 
 
 @pytest.fixture(scope="session")

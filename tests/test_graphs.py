@@ -159,7 +159,7 @@ def test_closed_forms_on_the_tables(spark, sf):
 
 
 def test_level_sizes_of_the_slice(spark, sf):
-    g = G.co_purchase(spark, sf)
+    g = G.co_purchase(spark, sf, sliced=True)
     source = g.edges.agg(F.min("src")).first()[0]
     _, report = sssp(g, source)
     assert [r["updates"] for r in report.rounds] == [4, 3, 5, 15, 37, 30, 10, 0]
@@ -188,3 +188,55 @@ def test_embedding_components_match_brute_force(spark, sf):
         g = G.embedding_neighbours(spark, sf, least, block=64)
         got = {r.id: r.component for r in L.connected_components_star(g).collect()}
         assert {i: got.get(i, i) for i in want} == want
+
+
+def test_hub_sources_are_split(spark, monkeypatch):
+    """A star's edges lie in several partitions and every analysis gives what it gives without the split."""
+    from tidegraph.plans import layout
+
+    pairs = [(0, i) for i in range(1, 60)] + [(i, i + 1) for i in range(1, 80)] + [(7, 0), (200, 201)]
+    g = graph(spark, pairs)
+    want = [values(sssp(g, 0)[0]), values(sssp(g, 0, mode="full")[0]), values(pagerank(g)), values(L.connected_components(g)[0]), values(L.connected_components(g, "alternate")[0])]
+    monkeypatch.setattr(layout, "HUB_EDGES", 4)
+    monkeypatch.setattr(layout, "FEW_EDGES", 10)
+    dealt = layout.DealtEdges(g.edges)
+    places = dealt.df.where("src = 0").groupBy(F.spark_partition_id()).count().collect()
+    assert dealt.hubs is not None and len(places) > 1 and dealt.meet(spark.createDataFrame([(0, "x")], "src long, v string")).count() == 59
+    got = [values(sssp(g, 0)[0]), values(sssp(g, 0, mode="full")[0]), values(pagerank(g)), values(L.connected_components(g)[0]), values(L.connected_components(g, "alternate")[0])]
+    assert got[:2] == want[:2] and got[3:] == want[3:]
+    assert all(abs(got[2][k] - v) < 1e-12 for k, v in want[2].items())
+
+
+def test_rounds_leave_no_deltas_behind(spark):
+    """What a run wrote and no longer needs goes as it proceeds, whatever its number of rounds."""
+    import os
+
+    from tidegraph.runtime import scratch_root
+
+    folder = scratch_root(spark).removeprefix("file:") + "/tables"
+    os.makedirs(folder, exist_ok=True)
+    chain = graph(spark, [(i, i + 1) for i in range(14)])
+    for run in (lambda: sssp(chain, 0), lambda: sssp(chain, 0, apply="patch"), lambda: L.connected_components(chain, "alternate"), lambda: bsp_run(chain, 0)):
+        before = set(os.listdir(folder))
+        run()
+        left = [x for x in os.listdir(folder) if x not in before and x.split("-")[0] in ("delta", "overlay", "state", "messages", "bsp")]
+        assert len(left) <= 6, left
+
+
+def test_weak_ties_close_from_the_end_back_to_the_start(spark):
+    g = graph(spark, [(0, 1), (1, 2), (2, 0), (3, 1), (3, 2)])
+    # Through 1: 0 -> 2 is closed by 2 -> 0; 3 -> 2 is open, as nothing leads from 2 to 3. Through 0: 2 -> 1 is closed by 1 -> 2.
+    for form in ("anti", "left"):
+        assert values(M.weak_ties(g, 0, form=form)) == {1: 1, 2: 1}
+
+
+def test_shared_memory_ranks(spark):
+    g = graph(spark, TWO_TRIANGLES + [(4, 0)])
+    got, report = async_run(g, kind="pagerank", parts=3)
+    assert all(abs(v - values(pagerank(g))[k]) < 1e-12 for k, v in values(got).items()) and set(report.phases) == {"load", "analysis", "store"}
+
+
+def test_ranks_settle_within_the_tolerance(spark):
+    g = graph(spark, TWO_TRIANGLES + [(4, 0)])
+    loose, exact = values(pagerank(g, rounds=100, tol=1e-6)), values(pagerank(g, rounds=100))
+    assert all(abs(v - loose[k]) < 1e-5 for k, v in exact.items()) and loose != exact

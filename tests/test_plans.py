@@ -185,3 +185,69 @@ def test_all_queries_are_registered():
     names = set(entry.queries())
     assert {"w_sssp_hops", "w_pagerank_10", "w_cc", "w_strong_overlap", "w_weak_ties"} <= names
     assert set(entry.oracle_sql()) <= names
+
+
+def test_vector_programs_agree_with_vertex_programs(spark):
+    import random
+
+    r = random.Random(3)
+    pairs = sorted({(r.randrange(60), r.randrange(60)) for _ in range(150)})
+    g = PropertyGraph(spark.range(64), spark.createDataFrame(pairs, "src long, dst long"))
+    for program in (ShortestPath(pairs[0][0]), Ranking(64, 6), Components()):
+        one, two = values(run_program(g, program, "union")[0]), values(run_program(g, program, "barrier", parts=3)[0])
+        assert one.keys() == two.keys() and all(v == two[k] or abs(v - two[k]) < 1e-12 for k, v in one.items())
+
+
+def test_one_hop_programs_agree_with_joins(spark):
+    from tidegraph.operators import motifs as M
+    from tidegraph.vertexprog.api import NeighbourOverlap, NeighbourTies
+
+    edges = spark.createDataFrame([(a, b) for a in range(12) for b in range(a + 1, 12) if (a * b + a + b) % 3], "src long, dst long")
+    g = PropertyGraph(spark.range(12), edges).symmetrised()
+    got = {(x[0], r["id"], x[1]) for r in run_program(g, NeighbourOverlap(2), "union")[0].collect() for x in r["state"]}
+    assert got == {tuple(r) for r in M.strong_overlap(g, 2).collect()} and got
+    ties = {k: v for k, v in values(run_program(g, NeighbourTies(), "join")[0]).items() if v > 3}
+    assert ties == values(M.weak_ties(g, 3)) and ties
+
+
+def test_settings_come_back_after_a_failing_program(spark):
+    class Failing(ShortestPath):
+        def compute(self, ctx, vertex, state, messages, edges):
+            raise RuntimeError("no")
+
+    before = spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")
+    g = PropertyGraph(spark.range(2), spark.createDataFrame([(0, 1)], "src long, dst long"))
+    try:
+        run_program(g, Failing(0), "union", batch_vertices=7)
+        raise AssertionError("ran")
+    except Exception as e:
+        assert "no" in str(e)
+    assert spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch") == before
+
+
+def test_a_round_over_bucketed_copies_moves_no_edges(spark):
+    from tidegraph.plans.physical import settings
+
+    edges = spark.range(3000).select((F.col("id") % 97).alias("src"), (F.col("id") % 89).alias("dst"))
+    name = f"t{uuid.uuid4().hex[:8]}"
+    tables = layout.write_bucketed(PropertyGraph(spark.range(100), edges), name, 4)
+    try:
+        with settings(spark, spark__sql__autoBroadcastJoinThreshold="-1"):
+            ranks = spark.table(tables["id"]).select(F.col("id").alias("src"), F.lit(0.1).alias("share"))
+            moved = layout.DealtEdges(spark.table(tables["src"]), kept=False).meet(ranks)
+            assert "Exchange" not in plan(moved)
+            sums = moved.groupBy("dst").agg(F.sum("share"))
+            text = plan(sums)
+            assert text.count("Exchange hashpartitioning") == 1 and text.index("Exchange hashpartitioning") < text.index("SortMergeJoin")
+    finally:
+        for t in tables.values():
+            spark.sql(f"DROP TABLE {t}")
+
+
+def test_collaborative_filtering_beats_the_mean(spark):
+    from tidegraph.vertexprog.cf import collaborative_filtering
+
+    rows = [(u, i, float(1 + (u % 3) * (i % 2) * 2)) for u in range(24) for i in range(16) if (u * i) % 5]
+    ratings = spark.createDataFrame(rows, "user long, item long, rating double")
+    few, many = (collaborative_filtering(ratings, 4, k)[1].first() for k in (2, 8))
+    assert many["rmse"] < 0.6 * many["rmse_mean"] and many["rmse"] < few["rmse"]

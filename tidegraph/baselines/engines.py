@@ -4,7 +4,9 @@ from __future__ import annotations
 
 import time
 
+import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
 from tidegraph.graph import PropertyGraph
@@ -30,6 +32,7 @@ def bsp_run(graph: PropertyGraph, source=None, kind: str = "sssp", rounds: int =
     types = dict(graph.vertices.dtypes)["id"]
     n = int(spark.conf.get("spark.sql.shuffle.partitions"))
     edges = materialize(spark.read.csv(f"{folder}/e", schema=f"src {types}, dst {types}").withColumn("w", F.lit(1)).repartition(n, "src"), "bsp").df
+    held: list = []  # of the round before
     ids = spark.read.csv(f"{folder}/v", schema=f"id {types}").repartition(n, "id")
     if kind == "pagerank":
         total = ids.count()
@@ -46,7 +49,7 @@ def bsp_run(graph: PropertyGraph, source=None, kind: str = "sssp", rounds: int =
     step = Step(VertexFunction(message, "sum" if kind == "pagerank" else "min", accept), join=join)
     senders = vertices.where("value is not null")
     for k in range(1, (rounds if kind == "pagerank" else max_rounds) + 1):
-        t = time.time()
+        t = report.begin_round(spark, k)
         if kind == "pagerank":
             senders = vertices.join(out.hint(join), "id").select("id", (F.col("value") / F.col("out")).alias("value"))
         made = edges.join(senders.withColumnRenamed("id", "src").hint(join), "src").select(F.col("dst").alias("id"), message(F.col("value"), F.col("w")).alias("payload"))
@@ -57,10 +60,13 @@ def bsp_run(graph: PropertyGraph, source=None, kind: str = "sssp", rounds: int =
             after = vertices.select("id").join(delta.df.hint(join), "id", "left").select("id", (F.lit(base) + damping * F.coalesce("value", F.lit(0.0))).alias("value"))
         else:
             after = vertices.join(delta.df.withColumnRenamed("value", "new").hint(join), "id", "left").select("id", F.coalesce("new", "value").alias("value"))
-        vertices = materialize(after, "bsp").df
+        written = materialize(after, "bsp")
+        vertices = written.df
         report.rounds.append({"round": k, "seconds": time.time() - t, "updates": updates, "applied": "replace", "messages": n_messages})
         senders = delta.df
-        messages.drop()
+        for old in (messages, *held):
+            old.drop()
+        held = [written, delta]
         if not updates:
             report.converged = True
             break
@@ -71,17 +77,71 @@ def bsp_run(graph: PropertyGraph, source=None, kind: str = "sssp", rounds: int =
     return vertices, report
 
 
-def async_run(graph: PropertyGraph, source=None, kind: str = "sssp", parts: int = 4, max_rounds: int = 500) -> tuple[DataFrame, RunReport]:
-    """The shared-memory engine: a grid of edge parts, each run to its own fixpoint in memory on fresh values, then boundaries exchange.
+#: Edges of a grid cell, which one worker holds in memory.
+CELL_EDGES = 1_000_000
+
 
-    ``kind``: 'sssp' (hops) or 'components' (labels along edges).
+def async_run(graph: PropertyGraph, source=None, kind: str = "sssp", parts: int | None = None, max_rounds: int = 500, rounds: int = 10, damping: float = 0.85) -> tuple[DataFrame, RunReport]:
+    """The shared-memory engine: a grid of edge parts that are loaded first and run in memory, and results stored as text at the end.
+
+    ``kind``: 'sssp' (hops) and 'components' (labels along edges) run each part to its own fixpoint on fresh values before
+    boundaries exchange; 'pagerank' gathers in each part and applies after all of them, for ``rounds`` rounds. There are as
+    many cells as keep CELL_EDGES edges in one, four at least, unless ``parts`` says otherwise. ``(id, value)`` and a report
+    with phases load, analysis and store.
     """
     spark = graph.vertices.sparkSession
     ship(spark)
     report = RunReport()
     began = time.time()
-    rows, columns = grid_of(parts)
-    edges = materialize(graph.edges.select("src", "dst").withColumn("cell", grid_cell(rows, columns)), "grid").df
+    loaded, n_edges = counted(graph.edges.select("src", "dst"), "loaded")
+    rows, columns = grid_of(parts or max(4, -(-n_edges // CELL_EDGES)))
+    edges = materialize(loaded.df.withColumn("cell", grid_cell(rows, columns)), "grid").df
+    loaded.drop()
+    wanted = materialize(edges.select(F.col("cell").alias("home"), F.col("src").alias("id")).distinct(), "wanted").df
+    if kind == "pagerank":
+        values = _gathered_ranks(graph, edges, wanted, report, began, rounds, damping)
+    else:
+        values = _settled(graph, edges, wanted, source, kind, report, began, max_rounds)
+    began = time.time()
+    values.write.csv(f"{scratch_root(spark)}/async-{time.time_ns()}")
+    report.phases["store"] = time.time() - began
+    return values, report
+
+
+def _gathered_ranks(graph, edges, wanted, report, began, rounds, damping) -> DataFrame:
+    """PageRank: every cell sums the shares along its edges, then vertices apply the sums."""
+    n = graph.vertices.count()
+    out = edges.groupBy(F.col("src").alias("id")).agg(F.count(F.lit(1)).alias("out"))
+    degrees = materialize(graph.vertices.select("id").join(out, "id", "left"), "degrees").df
+    written = materialize(degrees.select("id", F.lit(1.0 / max(n, 1)).alias("value")), "ranks")
+    report.phases["load"] = time.time() - began
+
+    def gather(e: pa.Table, v: pa.Table) -> pa.Table:
+        src, dst = e["src"].to_numpy(), e["dst"].to_numpy()
+        ids, shares = v["id"].to_numpy(), v["share"].to_numpy()
+        if not len(src) or not len(ids):
+            return pa.table({"id": pa.array([], pa.int64()), "s": pa.array([], pa.float64())})
+        order = np.argsort(ids)
+        held = shares[order][np.searchsorted(ids[order], src)]
+        targets, at = np.unique(dst, return_inverse=True)
+        return pa.table({"id": targets, "s": np.bincount(at, weights=held, minlength=len(targets))})
+
+    began = time.time()
+    for k in range(1, rounds + 1):
+        t = time.time()
+        shares = written.df.join(degrees.where("out > 0"), "id").select("id", (F.col("value") / F.col("out")).alias("share"))
+        dealt = wanted.join(shares, "id").select("home", "id", "share")
+        sums = edges.groupBy("cell").cogroup(dealt.groupBy("home")).applyInArrow(gather, "id long, s double").groupBy("id").agg(F.sum("s").alias("s"))
+        after = degrees.select("id").join(sums, "id", "left").select("id", (F.lit((1 - damping) / max(n, 1)) + damping * F.coalesce("s", F.lit(0.0))).alias("value"))
+        before, written = written, materialize(after, "ranks")
+        before.drop()
+        report.rounds.append({"round": k, "seconds": time.time() - t, "updates": n, "applied": "replace"})
+    report.phases["analysis"] = time.time() - began
+    return written.df
+
+
+def _settled(graph, edges, wanted, source, kind, report, began, max_rounds) -> DataFrame:
+    """Shortest paths or labels: every cell runs to its own fixpoint, then changed values go to the cells that want them."""
     step = 1 if kind == "sssp" else 0
     start = F.when(F.col("id") == F.lit(source), 0).cast("bigint") if kind == "sssp" else F.col("id").cast("bigint")
     state = VertexState(graph.vertices.select("id", start.alias("value")), "replace")
@@ -102,8 +162,7 @@ def async_run(graph: PropertyGraph, source=None, kind: str = "sssp", parts: int
             todo = after
         return pd.DataFrame({"id": list(found), "value": list(found.values())}, dtype="int64")
 
-    began = time.time()
-    wanted = materialize(edges.select(F.col("cell").alias("home"), F.col("src").alias("id")).distinct(), "wanted").df
+    began, before = time.time(), None
     frontier = state.base.df.where("value is not null")
     for k in range(1, max_rounds + 1):
         t = time.time()
@@ -114,12 +173,14 @@ def async_run(graph: PropertyGraph, source=None, kind: str = "sssp", parts: int
         if updates:
             state.apply(delta, updates)
         report.rounds.append({"round": k, "seconds": time.time() - t, "updates": updates, "applied": "replace"})
-        frontier = delta.df
+        if before is not None:
+            state.release(before)
+        frontier, before = delta.df, delta
         if not updates:
             report.converged = True
             break
     report.phases["analysis"] = time.time() - began
-    return state.current(), report
+    return state.current()
 
 
 def onehop_messages(graph: PropertyGraph, task: str, threshold: int = 0, pruning: str = "none", budget: int | None = None, allow_lossy: bool = False) -> tuple[DataFrame | None, dict]:
@@ -178,6 +239,28 @@ def stitched(steps: list, first: DataFrame, folder: str | None = None) -> tuple[
     return at, seconds
 
 
+def stitched_analysis(graph: PropertyGraph, vertex: str, edge: str, kind: str = "pagerank", rounds: int = 10) -> tuple[DataFrame, dict[str, float]]:
+    """Selection and analysis by the superstep engine: its input format reads all rows of a row-oriented graph and filters them.
+
+    ``graph`` is one of ``row_layout``. The engine gets what is selected as text, as a job of its own, and writes its result as
+    text for the next job. ``(id, value)`` and seconds by step.
+    """
+    spark = graph.vertices.sparkSession
+    folder, seconds = f"{scratch_root(spark)}/select-{time.time_ns()}", {}
+    began = time.time()
+    chosen = graph.subgraph(vertex, edge)
+    chosen.vertices.write.json(f"{folder}/v", ignoreNullFields=False)
+    chosen.edges.write.json(f"{folder}/e", ignoreNullFields=False)
+    seconds["select"] = time.time() - began
+    began = time.time()
+    v, e = (spark.read.schema(df.schema).json(f"{folder}/{x}") for df, x in ((chosen.vertices, "v"), (chosen.edges, "e")))
+    selected = PropertyGraph(v, e, graph.directed, True)
+    source = None if kind == "pagerank" else e.agg(F.min("src")).first()[0]
+    values, report = bsp_run(selected, source, kind, rounds)
+    seconds["engine"] = time.time() - began
+    return values, seconds
+
+
 def row_layout(graph: PropertyGraph, folder: str | None = None) -> PropertyGraph:
     """The same graph over row-oriented text files, read in full whatever columns are used."""
     spark = graph.vertices.sparkSession

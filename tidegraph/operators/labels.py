@@ -2,18 +2,21 @@
 
 from __future__ import annotations
 
+import time
+
 from pyspark.sql import DataFrame, functions as F
 
 from tidegraph.graph import PropertyGraph
 from tidegraph.operators.components import star_components
 from tidegraph.plans.iterate import BROADCAST_ROWS, RunReport, SWITCH_AT, VertexState, counted, fixpoint, sized
-from tidegraph.plans.layout import keyed
+from tidegraph.plans.layout import DealtEdges
+from tidegraph.runtime import Scratch
 
 
-def _improve(edges: DataFrame, start: DataFrame, rows: int, current: DataFrame) -> DataFrame:
+def _improve(edges: DealtEdges, start: DataFrame, rows: int, current: DataFrame) -> DataFrame:
     side = start.select(F.col("id").alias("src"), F.col("value").alias("label"))
     side = sized(side, rows) if 0 < rows <= BROADCAST_ROWS else side
-    least = edges.join(side, "src").groupBy(F.col("dst").alias("id")).agg(F.min("label").alias("new"))
+    least = edges.meet(side).groupBy(F.col("dst").alias("id")).agg(F.min("label").alias("new"))
     return current.join(least, "id").where("new < value").select("id", F.col("new").alias("value"))
 
 
@@ -31,11 +34,11 @@ def connected_components(
     along the other direction and can end early with wrong labels.
     """
     ids = graph.vertices.select("id", F.col("id").alias("value"))
-    state = VertexState(ids, apply, switch_at)
+    state = VertexState(ids, apply, switch_at, keep_deltas=direction == "alternate")
     pairs = graph.edges.select("src", "dst").where("src <> dst")
     back = pairs.select(F.col("dst").alias("src"), F.col("src").alias("dst"))
     if direction in ("symmetric", "forward"):
-        edges = keyed(pairs.unionByName(back).distinct() if direction == "symmetric" else pairs, "src")
+        edges = DealtEdges(pairs.unionByName(back).distinct() if direction == "symmetric" else pairs)
 
         def step(changed, rows, current, k):
             return _improve(edges, current if mode == "full" else changed, 0 if mode == "full" else rows, current)
@@ -44,36 +47,42 @@ def connected_components(
         edges.unpersist()
         return state.current().withColumnRenamed("value", "component"), report
 
-    along = (keyed(pairs, "src"), keyed(back, "src"))
+    along = (DealtEdges(pairs), DealtEdges(back))
     report = RunReport()
-    pending: list[list[tuple[DataFrame, int]] | None] = [None, None]  # None: all vertices
-    last: tuple[DataFrame, int] | None = None
+    pending: list[list[tuple[Scratch, int]] | None] = [None, None]  # None: all vertices
+    last: tuple[Scratch, int] | None = None
+    deltas: list[Scratch] = []
     quiet = 0
     for k in range(1, max_rounds + 1):
-        way = (k - 1) % 2
+        way, began = (k - 1) % 2, time.time()
         current = state.current()
         if k <= full_rounds or mode == "full" or (frontier == "exact" and pending[way] is None) or (frontier == "literal" and last is None):
             start, rows = current, 0
         elif frontier == "literal":
-            start, rows = last
+            start, rows = last[0].df, last[1]
         else:
             parts = pending[way]
             rows = sum(n for _, n in parts)
             if not parts:
                 start, rows = current.limit(0), 0
             else:
-                start = parts[0][0]
+                start = parts[0][0].df
                 for x, _ in parts[1:]:
-                    start = start.unionByName(x)
+                    start = start.unionByName(x.df)
                 start = start.groupBy("id").agg(F.min("value").alias("value"))
         delta, updates = counted(_improve(along[way], start, rows, current), "delta")
         applied = state.apply(delta, updates) if updates else "none"
-        report.rounds.append({"round": k, "seconds": 0.0, "updates": updates, "applied": applied})
+        report.rounds.append({"round": k, "seconds": time.time() - began, "updates": updates, "applied": applied})
         pending[way] = []
         for other in (0, 1):
             if pending[other] is not None and updates:
-                pending[other] = [*pending[other], (delta.df, updates)]
-        last = (delta.df, updates)
+                pending[other] = [*pending[other], (delta, updates)]
+        last = (delta, updates)
+        wanted = {id(x) for p in pending if p for x, _ in p} | {id(delta)}
+        for x in deltas:
+            if id(x) not in wanted:
+                state.release(x)
+        deltas = [*(x for x in deltas if id(x) in wanted or any(x is y for y, _ in state.overlay)), delta]
         quiet = 0 if updates else quiet + 1
         if quiet >= (1 if frontier == "literal" else 2):
             report.converged = True

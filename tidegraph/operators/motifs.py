@@ -84,8 +84,8 @@ def strong_overlap(graph: PropertyGraph, threshold: float, strict: bool = True,
 def weak_ties(graph: PropertyGraph, threshold: int, strict: bool = True, form: str = "anti") -> DataFrame:
     """``(id, pairs)`` of vertices between more than ``threshold`` (``strict``; else at least) pairs that no edge closes.
 
-    A pair is an in-neighbour and an out-neighbour of the vertex that differ and are not joined by an edge from the first to
-    the second. On undirected graphs each unordered pair counts once. ``form``: 'left' and 'anti' look for the closing edge
+    A pair is an in-neighbour and an out-neighbour of the vertex that differ and are not joined by an edge that leads from
+    the out-neighbour back to the in-neighbour. On undirected graphs each unordered pair counts once. ``form``: 'left' and 'anti' look for the closing edge
     by an outer or an anti join; 'identity' (undirected, no parallel edges) subtracts the triangles at a vertex from its wedges.
     """
     passes = (F.col("pairs") > threshold) if strict else (F.col("pairs") >= threshold)
@@ -97,7 +97,7 @@ def weak_ties(graph: PropertyGraph, threshold: int, strict: bool = True, form: s
         return joined.select("id", (F.expr("d * (d - 1) div 2") - F.col("triangles")).alias("pairs")).where(passes)
     e = graph.edges.select("src", "dst")
     wedges = e.select(F.col("src").alias("a"), F.col("dst").alias("id")).join(e.select(F.col("src").alias("id"), F.col("dst").alias("b")), "id").where("a <> b")
-    closing = e.distinct().select(F.col("src").alias("a"), F.col("dst").alias("b"))
+    closing = e.distinct().select(F.col("dst").alias("a"), F.col("src").alias("b"))
     if form == "left":
         marked = wedges.join(closing.withColumn("closed", F.lit(1)), ["a", "b"], "left")
         counts = marked.groupBy("id").agg(F.count_if(F.col("closed").isNull()).alias("n"))

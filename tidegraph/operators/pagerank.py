@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, functions as F
+import time
+
+from pyspark.sql import DataFrame, Observation, functions as F
 
 from tidegraph.graph import PropertyGraph
-from tidegraph.plans.layout import keyed
+from tidegraph.plans.iterate import RunReport
+from tidegraph.plans.layout import DealtEdges, keyed
 from tidegraph.runtime import materialize
 
 
@@ -19,6 +22,8 @@ def pagerank(
     source_ids: list | None = None,
     eliminate_join: bool | None = None,
     checkpoint_every: int = 5,
+    cached: bool = True,
+    report: RunReport | None = None,
 ) -> DataFrame:
     """``(id, rank)`` after ``rounds`` rounds, or earlier once no rank moves by ``tol``.
 
@@ -26,12 +31,14 @@ def pagerank(
     inner joins do; 'redistribute' also spreads the rank of vertices without out-edges, so ranks sum to one.
     ``source_ids`` restarts there only. Parallel edges count as often as they are; ``weight`` names a column to share by.
     The join with target vertices is left out where every target is known to be a vertex (``eliminate_join`` overrides).
-    One shuffle a round, of sums combined by task, besides the co-partitioned vertex join.
+    One shuffle a round, of sums combined by task, besides the co-partitioned vertex join. ``cached=False`` scans the edges
+    as they lie in every round, for copies bucketed by source. With a ``report`` every round is written by itself, and gets
+    its seconds there.
     """
     ids = graph.vertices.select("id")
     w = F.col(weight).cast("double") if weight else F.lit(1.0)
-    edges = keyed(graph.edges.select("src", "dst", w.alias("w")), "src")
-    out = edges.groupBy("src").agg(F.sum("w").alias("out"))
+    edges = DealtEdges(graph.edges.select("src", "dst", w.alias("w")), cached)
+    out = edges.df.groupBy("src").agg(F.sum("w").alias("out"))
     n = ids.count()
     base = F.lit(1.0 / n if n else 0.0)
     if source_ids is not None:
@@ -41,8 +48,9 @@ def pagerank(
     keep_join = not graph.dst_in_vertices if eliminate_join is None else not eliminate_join
     scratch = None
     for k in range(1, rounds + 1):
+        began = report.begin_round(ids.sparkSession, k) if report is not None else 0.0
         share = rank.join(degrees.where("out > 0").select("id", "out"), "id").select(F.col("id").alias("src"), (F.col("rank") / F.col("out")).alias("share"))
-        moved = edges.join(share, "src")
+        moved = edges.meet(share)
         if keep_join:
             moved = moved.join(ids.withColumnRenamed("id", "dst"), "dst", "left_semi")
         sums = moved.groupBy(F.col("dst").alias("id")).agg(F.sum(F.col("share") * F.col("w")).alias("s"))
@@ -56,10 +64,15 @@ def pagerank(
                 joined = joined.crossJoin(F.broadcast(loose))  # one row
                 gained = gained + F.col("loose") * F.col("base")
             after = joined.select("id", (F.col("base") * (1 - damping) + damping * gained).alias("rank"))
-        if tol is not None or k % checkpoint_every == 0 or k == rounds or sources == "redistribute":
-            written = materialize(after, "rank")
+        if tol is not None or k % checkpoint_every == 0 or k == rounds or sources == "redistribute" or report is not None:
             if tol is not None:
-                moved_by = written.df.join(rank.withColumnRenamed("rank", "old"), "id").agg(F.max(F.abs(F.col("rank") - F.col("old")))).first()[0]
+                seen = Observation()
+                old = rank.withColumnRenamed("rank", "old")
+                after = after.join(old, "id").observe(seen, F.max(F.abs(F.col("rank") - F.col("old"))).alias("moved")).select("id", "rank")
+            written = materialize(after, "rank")
+            if report is not None:
+                report.rounds.append({"round": k, "seconds": time.time() - began, "updates": n, "applied": "replace"})
+            moved_by = seen.get["moved"] if tol is not None else None
             if scratch is not None:
                 scratch.drop()
             scratch, after = written, written.df

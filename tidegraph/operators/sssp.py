@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, functions as F, types as T
 
 from tidegraph.graph import PropertyGraph, between
 from tidegraph.plans.iterate import BROADCAST_ROWS, RunReport, SWITCH_AT, VertexState, fixpoint, sized
-from tidegraph.plans.layout import keyed
+from tidegraph.plans.layout import DealtEdges, counted
 from tidegraph.plans.physical import bloom_filters
 
 #: Frontier ids up to which the edge scan gets a list to push down.
@@ -34,12 +34,13 @@ def sssp(
     Hops are BIGINT; ``weight`` sums a column as exact decimals. ``mode``: 'incremental' joins only vertices that changed,
     'full' all reached ones. ``apply``: how updates are taken over (see VertexState). ``sideways``: how the edge scan is
     narrowed ('none', 'semi', 'inlist', 'bloom'). ``hint``: a join strategy. ``with_parent`` adds the neighbour a shortest path
-    comes from, the smallest of ties. ``max_depth`` bounds the rounds. A source that is no vertex reaches nothing.
+    comes from, the smallest of ties. ``max_depth`` bounds the rounds. ``cached=False`` scans the edges as they lie in every
+    round, which is right for bucketed copies and pushed filters. A source that is no vertex reaches nothing.
     """
     kind = _EXACT if weight else _HOPS
     step_cost = F.col(weight).cast("decimal(18,2)") if weight else F.lit(1)
     edges = graph.edges.select("src", "dst", step_cost.alias("w"))
-    edges = keyed(edges, "src") if cached else edges
+    dealt = DealtEdges(edges, cached)
     zero = F.when(F.col("id") == F.lit(source), F.lit(0)).cast(kind)
     state = VertexState(graph.vertices.select("id", zero.alias("value")), apply, switch_at)
     frontier = state.base.df.where("value is not null")
@@ -47,10 +48,10 @@ def sssp(
     def step(changed: DataFrame, rows: int, current: DataFrame, k: int) -> DataFrame:
         start = current.where("value is not null") if mode == "full" else changed
         known = mode != "full" and 0 < rows <= BROADCAST_ROWS
-        scan = narrowed(edges, start, rows, sideways) if known else edges
+        scan = narrowed(dealt.df, start, rows, sideways) if known else None
         side = start.select(F.col("id").alias("src"), F.col("value").alias("d"))
         side = side.hint(hint) if hint else sized(side, rows) if known and sideways != "bloom" else side
-        least = scan.join(side, "src").groupBy(F.col("dst").alias("id")).agg(F.min((F.col("d") + F.col("w")).cast(kind)).alias("new"))
+        least = dealt.meet(side, scan).groupBy(F.col("dst").alias("id")).agg(F.min((F.col("d") + F.col("w")).cast(kind)).alias("new"))
         return current.join(least, "id").where("value is null or new < value").select("id", F.col("new").alias("value"))
 
     filters = bloom_filters(graph.vertices.sparkSession) if sideways == "bloom" else nullcontext()
@@ -59,10 +60,9 @@ def sssp(
     result = state.current().select("id", F.col("value").alias("dist"))
     if with_parent:
         near = result.select(F.col("id").alias("src"), F.col("dist").alias("d"))
-        came = edges.join(near, "src").join(result.withColumnRenamed("id", "dst"), "dst").where("d + w = dist").groupBy(F.col("dst").alias("id")).agg(F.min("src").alias("parent"))
+        came = dealt.meet(near).join(result.withColumnRenamed("id", "dst"), "dst").where("d + w = dist").groupBy(F.col("dst").alias("id")).agg(F.min("src").alias("parent"))
         result = result.join(came, "id", "left").withColumn("parent", F.when(F.col("id") == F.lit(source), None).otherwise(F.col("parent")))
-    if cached:
-        edges.unpersist()
+    dealt.unpersist()
     return result, report
 
 
@@ -72,18 +72,24 @@ def multi_source(graph: PropertyGraph, sources: list, max_depth: int) -> DataFra
     kind = dict(graph.vertices.dtypes)["id"]
     start = spark.createDataFrame([(s,) for s in sources], T._parse_datatype_string(f"id {kind}"))
     reached = start.join(graph.vertices.select("id"), "id", "left_semi").select(F.col("id").alias("source"), "id", F.lit(0).cast("bigint").alias("dist"))
-    from tidegraph.runtime import materialize
-
-    edges = keyed(graph.edges.select("src", "dst"), "src")
-    written = materialize(reached, "reached")
-    frontier = written.df
+    edges = DealtEdges(graph.edges.select("src", "dst"))
+    level, n = counted(reached, "level")
+    levels = [level.df]
     for k in range(1, max_depth + 1):
-        after = frontier.join(edges, frontier["id"] == edges["src"]).select("source", F.col("dst").alias("id")).distinct()
-        fresh = after.join(written.df.select("source", "id"), ["source", "id"], "left_anti").withColumn("dist", F.lit(k).cast("bigint"))
-        new = materialize(fresh, "fresh")
-        written, frontier = materialize(written.df.unionByName(new.df), "reached"), new.df
+        known = levels[0]
+        for x in levels[1:]:
+            known = known.unionByName(x)
+        after = edges.meet(sized(level.df.select(F.col("id").alias("src"), "source"), n)).select("source", F.col("dst").alias("id")).distinct()
+        fresh = after.join(known.select("source", "id"), ["source", "id"], "left_anti").withColumn("dist", F.lit(k).cast("bigint"))
+        level, n = counted(fresh, "level")
+        levels.append(level.df)
+        if not n:
+            break
     edges.unpersist()
-    return written.df
+    out = levels[0]
+    for x in levels[1:]:
+        out = out.unionByName(x)
+    return out
 
 
 def bfs(graph: PropertyGraph, source) -> DataFrame:
@@ -113,18 +119,24 @@ def khop_recursive_sql(graph: PropertyGraph, source: int, hops: int) -> DataFram
     )
 
 
-def sssp_local_rounds(graph: PropertyGraph, source, parts: int = 4, local_rounds: int = 3, max_rounds: int = 200) -> tuple[DataFrame, int]:
+#: Edges of a group that is explored in one worker's memory.
+GROUP_EDGES = 1_000_000
+
+
+def sssp_local_rounds(graph: PropertyGraph, source, parts: int | None = None, local_rounds: int = 3, max_rounds: int = 200) -> tuple[DataFrame, int]:
     """Hop distances with ``local_rounds`` relaxations inside each group of edges before groups exchange; ``(result, global rounds)``.
 
-    Groups are dealt by edge source; each relaxes its own edges in memory, so fewer global rounds are needed.
+    Groups are dealt by edge source and hold GROUP_EDGES edges on average; each relaxes its own edges in memory, so fewer
+    global rounds are needed.
     """
     import pandas as pd
 
-    from tidegraph.plans.iterate import counted
     from tidegraph.runtime import ship
 
     ship(graph.vertices.sparkSession)
-    edges = graph.edges.select(F.pmod(F.xxhash64("src"), F.lit(parts)).cast("int").alias("part"), "src", "dst")
+    written, n = counted(graph.edges.select("src", "dst"), "edges")
+    parts = parts or max(4, -(-n // GROUP_EDGES))
+    edges = written.df.select(F.pmod(F.xxhash64("src"), F.lit(parts)).cast("int").alias("part"), "src", "dst")
     state = VertexState(graph.vertices.select("id", F.when(F.col("id") == F.lit(source), 0).cast("bigint").alias("value")), "replace")
 
     def relax(e: pd.DataFrame, v: pd.DataFrame) -> pd.DataFrame:
@@ -151,5 +163,7 @@ def sssp_local_rounds(graph: PropertyGraph, source, parts: int = 4, local_rounds
         if not n:
             break
         state.apply(delta, n)
-        frontier = delta.df
+        if k > 1:
+            state.release(before)
+        frontier, before = delta.df, delta
     return state.current().select("id", F.col("value").alias("dist")), k

@@ -9,13 +9,14 @@ from dataclasses import dataclass, field
 from pyspark.sql import DataFrame, Observation, functions as F
 
 from tidegraph.runtime import Scratch, materialize
+from tidegraph.plans.layout import BROADCAST_ROWS, counted, sized
+
+__all__ = ["BROADCAST_ROWS", "MAX_PATCHES", "SWITCH_AT", "RunReport", "VertexState", "counted", "fixpoint", "sized"]
 
 #: Up to so many updates in a round patch the vertex relation; more replace it.
 SWITCH_AT = 5_000
 #: Patches that readers merge; more become one.
 MAX_PATCHES = 3
-#: Rows up to which a frontier or overlay of a counted size is sent to every executor.
-BROADCAST_ROWS = 200_000
 
 
 @dataclass
@@ -25,33 +26,29 @@ class RunReport:
     rounds: list[dict] = field(default_factory=list)
     phases: dict[str, float] = field(default_factory=dict)
     converged: bool = False
+    groups: list[str] = field(default_factory=list)
+
+    def begin_round(self, spark, k: int) -> float:
+        """Name the jobs from here on after round ``k``, so that their figures can be found; returns the time."""
+        self.groups.append(f"round-{k}-{time.time_ns()}")
+        spark.sparkContext.setJobGroup(self.groups[-1], f"round {k}")
+        return time.time()
 
     def as_rows(self) -> list[tuple]:
         return [(r["round"], r["updates"], r["seconds"], r["applied"]) for r in self.rounds]
 
 
-def counted(df: DataFrame, label: str) -> tuple[Scratch, int]:
-    """Write ``df`` and return it with its row count, from one job."""
-    seen = Observation()
-    written = materialize(df.observe(seen, F.count(F.lit(1)).alias("n")), label)
-    return written, seen.get["n"]
-
-
-def sized(df: DataFrame, rows: int) -> DataFrame:
-    """A broadcast hint if ``rows``, counted before, allow it."""
-    return F.broadcast(df) if rows <= BROADCAST_ROWS else df
-
-
 class VertexState:
     """``(id, value)`` under updates. ``how``: replace, patch, auto (by SWITCH_AT) or cost (by what either would write and read).
 
     Files cannot be updated in place, so a patch is an overlay that readers merge with the base; a few patches become one,
-    and an overlay beyond the limit is folded into a new base.
+    and an overlay beyond the limit is folded into a new base. What is merged or folded is dropped, but for the latest
+    delta; ``keep_deltas`` leaves all of them to the caller.
     """
 
-    def __init__(self, base: DataFrame, how: str = "auto", switch_at: int = SWITCH_AT):
+    def __init__(self, base: DataFrame, how: str = "auto", switch_at: int = SWITCH_AT, keep_deltas: bool = False):
         self.base = materialize(base, "state")
-        self.how, self.switch_at = how, switch_at
+        self.how, self.switch_at, self.keep_deltas = how, switch_at, keep_deltas
         self.overlay: list[tuple[Scratch, int]] = []
         self._rows: int | None = None
 
@@ -86,13 +83,26 @@ class VertexState:
         self.overlay.append((delta, updates))
         if self._patch(updates):
             if len(self.overlay) > MAX_PATCHES:
-                self.overlay = [(materialize(self._newest(), "overlay"), self.overlay_rows)]
+                merged = materialize(self._newest(), "overlay")
+                self._leave(delta)
+                self.overlay = [(merged, self.overlay_rows)]
             return "patch"
         folded = materialize(self.current(), "state")
         self.base.drop()
+        self._leave(delta)
         self.base, self.overlay = folded, []
         return "replace"
 
+    def _leave(self, latest: Scratch) -> None:
+        for old, _ in self.overlay:
+            if old is not latest and not (self.keep_deltas and old.path.rsplit("/", 1)[-1].startswith("delta")):
+                old.drop()
+
+    def release(self, delta: Scratch) -> None:
+        """Drop a delta that is no frontier any more, unless it is part of the overlay."""
+        if all(delta is not x for x, _ in self.overlay):
+            delta.drop()
+
 
 def fixpoint(state: VertexState, frontier: DataFrame, step: Callable[[DataFrame, int, DataFrame, int], DataFrame], max_rounds: int, quiet_rounds: int = 1) -> RunReport:
     """Run ``step(frontier, its rows, current state, round) -> delta(id, value)`` until ``quiet_rounds`` rounds change nothing.
@@ -100,13 +110,16 @@ def fixpoint(state: VertexState, frontier: DataFrame, step: Callable[[DataFrame,
     Each delta is written and counted in one job and becomes the next frontier; only the count reaches the driver.
     """
     report = RunReport()
-    rows, quiet = 0, 0
+    rows, quiet, before = 0, 0, None
     for k in range(1, max_rounds + 1):
-        began = time.time()
+        began = report.begin_round(state.base.spark, k)
         delta, updates = counted(step(frontier, rows, state.current(), k), "delta")
         applied = state.apply(delta, updates) if updates else "none"
         report.rounds.append({"round": k, "seconds": time.time() - began, "updates": updates, "applied": applied})
         frontier, rows = delta.df, updates
+        if before is not None:
+            state.release(before)
+        before = delta
         quiet = 0 if updates else quiet + 1
         if quiet >= quiet_rounds:
             report.converged = True

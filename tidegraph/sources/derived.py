@@ -28,14 +28,8 @@ def handoff(spark: SparkSession, sf_dir: str) -> PropertyGraph:
     return PropertyGraph(vertices, edges, True, True)
 
 
-def urgent_handoff(spark: SparkSession, sf_dir: str) -> PropertyGraph:
-    """The sparse part of ``handoff`` with urgent, finished orders; vertices are the ends."""
-    edges = handoff(spark, sf_dir).edges.where("etype = '1-URGENT' and o_orderstatus = 'F'").select("src", "dst").distinct()
-    return PropertyGraph.of_edges(edges)
-
-
-def co_purchase(spark: SparkSession, sf_dir: str, sliced: bool = True) -> PropertyGraph:
-    """Parts bought in one order, both orientations; ``sliced``: urgent orders of the year 2000 only, vertices are the ends."""
+def co_purchase(spark: SparkSession, sf_dir: str, sliced: bool = False) -> PropertyGraph:
+    """Parts bought in one order, both orientations; vertices are all parts. ``sliced``, for tests: urgent orders of the year 2000 only, vertices are the ends."""
     lines = table(spark, sf_dir, "lineitem").select("l_orderkey", "l_partkey").distinct()
     if sliced:
         orders = table(spark, sf_dir, "orders").where("o_orderpriority = '1-URGENT' and o_orderdate >= timestamp_ntz'2000-01-01' and o_orderdate < timestamp_ntz'2001-01-01'")

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession, Window as W, functions as F
@@ -36,21 +37,21 @@ def op_source_page_links(spark, d):
 
 @query("SELECT c_nationkey::BIGINT AS src, c_custkey AS dst FROM customer")
 def op_source_edge_list(spark, d):
-    path = f"{scratch_root(spark)}/edge-list"
+    path = f"{scratch_root(spark)}/edge-list-{uuid.uuid4().hex}"
     files.write_edge_list(_t(spark, d, "customer").select(F.col("c_nationkey").cast("long").alias("src"), F.col("c_custkey").alias("dst")), path)
     return files.read_edge_list(spark, path)
 
 
 @query("SELECT c_nationkey::BIGINT AS src, c_custkey AS dst FROM customer")
 def op_source_adjacency(spark, d):
-    path = f"{scratch_root(spark)}/adjacency"
+    path = f"{scratch_root(spark)}/adjacency-{uuid.uuid4().hex}"
     files.write_adjacency(_t(spark, d, "customer").select(F.col("c_nationkey").alias("src"), F.col("c_custkey").alias("dst")), path)
     return files.read_adjacency(spark, path)
 
 
 @query("SELECT c_nationkey::BIGINT AS src, c_custkey AS dst FROM customer")
 def op_source_json(spark, d):
-    path = f"{scratch_root(spark)}/edges-json"
+    path = f"{scratch_root(spark)}/edges-json-{uuid.uuid4().hex}"
     _t(spark, d, "customer").select(F.col("c_nationkey").alias("src"), F.col("c_custkey").alias("dst")).write.mode("overwrite").json(path)
     return files.read_json_edges(spark, path)
 
@@ -58,7 +59,7 @@ def op_source_json(spark, d):
 @query("SELECT event_type, count(*) AS n FROM events WHERE event_type <> 'view' GROUP BY event_type")
 def op_sink_partitioned(spark, d):
     """Parquet partitioned by type, read back with a partition pruned."""
-    path = f"{scratch_root(spark)}/events-by-type"
+    path = f"{scratch_root(spark)}/events-by-type-{uuid.uuid4().hex}"
     _t(spark, d, "events").select("event_id", "event_type").write.mode("overwrite").partitionBy("event_type").parquet(path)
     back = spark.read.schema("event_id long, event_type string").parquet(path)
     return back.where("event_type <> 'view'").groupBy("event_type").agg(F.count(F.lit(1)).alias("n"))
@@ -70,9 +71,9 @@ def op_filter(spark, d):
     return _t(spark, d, "orders").where("o_totalprice between 100000 and 200000 and o_orderpriority in ('1-URGENT', '2-HIGH') and o_orderdate >= timestamp_ntz'1998-01-01'").select("o_orderkey", "o_custkey")
 
 
-@query("SELECT p_partkey, p_name FROM part WHERE p_name LIKE '%1%' AND p_type IS NOT NULL")
+@query("SELECT p_partkey, p_name FROM part WHERE p_name LIKE '%ring' AND p_type IS NOT NULL")
 def op_filter_text(spark, d):
-    return _t(spark, d, "part").where("p_name like '%1%' and p_type is not null").select("p_partkey", "p_name")
+    return _t(spark, d, "part").where("p_name like '%ring' and p_type is not null").select("p_partkey", "p_name")
 
 
 # Joins
@@ -230,8 +231,6 @@ def op_stream_tumbling(spark, d):
 @query("WITH RECURSIVE g AS (SELECT user_id AS src, nxt AS dst FROM (SELECT *, lead(user_id) OVER (PARTITION BY date_trunc('hour', ts) ORDER BY ts, event_id) AS nxt FROM events) WHERE nxt IS NOT NULL AND nxt <> user_id), b AS (SELECT src, dst FROM g UNION SELECT dst, src FROM g), c(id, component) USING KEY (id) AS (SELECT src AS id, src AS component FROM b UNION SELECT e.dst, min(w.component) FROM c w JOIN b e ON e.src = w.id JOIN recurring.c p ON p.id = e.dst WHERE w.component < p.component GROUP BY e.dst) SELECT id, component FROM c")
 def op_stream_components(spark, d):
     """Components kept up to date over a stream of edge files."""
-    import uuid
-
     from tidegraph.streaming.edges import ComponentKeeper, run_available
 
     folder = f"{scratch_root(spark)}/stream-{uuid.uuid4().hex}"

@@ -2,8 +2,11 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable
 
+import numpy as np
+
 
 class Context:
     """What a vertex sees and does in one superstep."""
@@ -25,6 +28,11 @@ class VertexProgram:
 
     ``compute(ctx, vertex, state, messages, edges)`` returns the new state; ``edges`` are (target, weight) pairs. ``combine``
     merges two messages to one target, or is None.
+
+    A program on numbers may also have a vector form, for runners that hold a part of the graph as arrays: ``vector_init(ids)``
+    gives the states; ``vector_step(superstep, ids, state, received, degree)`` gives the new states, a value for each vertex
+    and whether it sends it; ``vector_message(value, weight)`` makes the messages. They combine by sum if ``identity`` is 0
+    and by minimum if it is infinite; vertices without messages receive the identity.
     """
 
     state_type = "double"
@@ -46,6 +54,21 @@ class ShortestPath(VertexProgram):
     def __init__(self, source, weighted: bool = False):
         self.source, self.weighted = source, weighted
 
+    identity = math.inf
+
+    def vector_init(self, ids):
+        return np.full(len(ids), math.inf)
+
+    def vector_step(self, superstep, ids, state, received, degree):
+        if superstep == 0:
+            received = np.where(ids == self.source, 0.0, math.inf)
+        better = received < state
+        state = np.minimum(state, received)
+        return state, state, better
+
+    def vector_message(self, value, weight):
+        return value + (weight if self.weighted else 1.0)
+
     def compute(self, ctx, vertex, state, messages, edges):
         best = min(messages, default=None)
         if ctx.superstep == 0 and vertex == self.source:
@@ -68,6 +91,19 @@ class Ranking(VertexProgram):
         self.n, self.rounds, self.damping = n, rounds, damping
         self.max_supersteps = rounds + 1
 
+    identity = 0.0
+
+    def vector_init(self, ids):
+        return np.full(len(ids), 1.0 / max(self.n, 1))
+
+    def vector_step(self, superstep, ids, state, received, degree):
+        if superstep:
+            state = (1 - self.damping) / self.n + self.damping * received
+        return state, state / np.maximum(degree, 1), np.full(len(ids), superstep < self.rounds)
+
+    def vector_message(self, value, weight):
+        return value
+
     def init(self, vertex):
         return 1.0 / self.n
 
@@ -86,6 +122,18 @@ class Components(VertexProgram):
     """Smallest label along edges; run it on a symmetric graph for components. Labels are ids as doubles."""
 
     combine = staticmethod(min)
+    identity = math.inf
+
+    def vector_init(self, ids):
+        return ids.astype(np.float64)
+
+    def vector_step(self, superstep, ids, state, received, degree):
+        better = (received < state) | (superstep == 0)
+        state = np.minimum(state, received)
+        return state, state, better
+
+    def vector_message(self, value, weight):
+        return value
 
     def init(self, vertex):
         return float(vertex)
@@ -106,7 +154,7 @@ class Factors(VertexProgram):
     state_type = "array<double>"
     message_type = "array<double>"
 
-    def __init__(self, rank: int = 8, rounds: int = 10, rate: float = 0.02, shrink: float = 0.05, seed: int = 5, centre: float = 0.0):
+    def __init__(self, rank: int = 8, rounds: int = 10, rate: float = 0.1, shrink: float = 0.05, seed: int = 5, centre: float = 0.0):
         self.rank, self.rounds, self.rate, self.shrink, self.seed, self.centre = rank, rounds, rate, shrink, seed, centre
         self.max_supersteps = rounds + 1
 
@@ -131,3 +179,55 @@ class Factors(VertexProgram):
         else:
             ctx.halt()
         return state
+
+
+class NeighbourOverlap(VertexProgram):
+    """Strong overlap on an undirected graph: vertices send their neighbour lists, receivers count the smaller ids they meet.
+
+    The state is a list of ``[other, common]`` of the others below the vertex with over ``threshold`` common neighbours.
+    """
+
+    state_type = "array<array<bigint>>"
+    message_type = "array<bigint>"
+    max_supersteps = 2
+
+    def __init__(self, threshold: int):
+        self.threshold = threshold
+
+    def compute(self, ctx, vertex, state, messages, edges):
+        if ctx.superstep == 0:
+            near = sorted(dst for dst, _ in edges)
+            for dst in near:
+                ctx.send(dst, [x for x in near if x < dst])
+            return []
+        common: dict = {}
+        for near in messages:
+            for x in near:
+                common[x] = common.get(x, 0) + 1
+        ctx.halt()
+        return [[x, n] for x, n in common.items() if n > self.threshold]
+
+
+class NeighbourTies(VertexProgram):
+    """Weak ties on an undirected graph: receivers of a neighbour list tell its sender how many of its ids they aren't joined to.
+
+    The state is the number of unjoined pairs around the vertex. Every pair is told from both of its ends.
+    """
+
+    state_type = "bigint"
+    message_type = "array<bigint>"
+    max_supersteps = 3
+
+    def compute(self, ctx, vertex, state, messages, edges):
+        near = [dst for dst, _ in edges]
+        if ctx.superstep == 0:
+            for dst in near:
+                ctx.send(dst, [vertex, *near])
+            return 0
+        if ctx.superstep == 1:
+            own = {vertex, *near}
+            for sender, *others in messages:
+                ctx.send(sender, [sum(x not in own for x in others)])
+            return 0
+        ctx.halt()
+        return sum(n for (n,) in messages) // 2

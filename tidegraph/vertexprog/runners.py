@@ -2,19 +2,25 @@
 
 from __future__ import annotations
 
+import base64
 import pickle
 import time
 from collections.abc import Iterator
 
+import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark import StorageLevel
 from pyspark.sql import DataFrame, functions as F
 
 from tidegraph.graph import PropertyGraph
 from tidegraph.plans.iterate import RunReport
+from tidegraph.plans.physical import settings
 from tidegraph.runtime import materialize, ship
 from tidegraph.vertexprog.api import Context, VertexProgram
 
+#: Resident state is written once in so many supersteps, which bounds what a lost executor makes others compute again.
+CUT_EVERY = 10
 #: Vertices and edges a barrier stage may hold, as it cannot retry a part.
 BARRIER_ROWS = 5_000_000
 
@@ -55,7 +61,7 @@ def run_program(
     ``input``: 'union' sends vertices, edges and messages of a part to the function as one sorted relation and lets it tell
     them apart; 'join' joins them first and calls the function once for each vertex group; 'resident' keeps edges and states
     in executor memory and writes nothing between rounds; 'barrier' runs all supersteps in one barrier stage that holds the
-    graph in its workers (small graphs only). ``batch_vertices`` sets how many rows a call receives at once. ``disk=False``
+    graph in its workers (small graphs only), on arrays where the program has a vector form and ids are longs. ``batch_vertices`` sets how many rows a call receives at once. ``disk=False``
     keeps the round's output in memory instead of writing it.
     """
     spark = graph.vertices.sparkSession
@@ -76,50 +82,58 @@ def run_program(
     schema = _schema(program, kind)
     vertices = graph.vertices.select("id", first_state("id").alias("state"), F.lit(False).alias("halted"))
     keep_on_disk = disk and input != "resident"
-    hold = (lambda df: (materialize(df, "superstep").df, None)) if keep_on_disk else _cached
-    vertices, held = hold(vertices)
+    hold = _written if keep_on_disk else _cached
+    vertices, release = hold(vertices)
     messages, message_rows = None, 0
     report.phases["load"] = time.time() - began
     limit = max_supersteps or program.max_supersteps
-    batch_rows = spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")
-    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(batch_vertices))
     combine_sql = _combiner(program)
     began = time.time()
-    for superstep in range(limit):
-        t = time.time()
-        if input == "join":
-            out = _join_step(vertices, edges, messages, program, superstep, schema)
-        else:
-            out = _union_step(vertices, edges, messages, program, superstep, schema, n)
-        out, held_next = hold(out)
-        vertices = out.where("kind = 'v'").select("id", "state", "halted")
-        messages = out.where("kind = 'm'").select(F.col("dst").alias("id"), "message")
-        if combine_sql is not None:
-            messages = messages.groupBy("id").agg(combine_sql("message").alias("message"))
-        counts = out.agg(F.count_if(F.col("kind") == "m").alias("m"), F.count_if((F.col("kind") == "v") & ~F.col("halted")).alias("awake"), F.count_if("active").alias("ran")).first()
-        report.rounds.append({"round": superstep, "seconds": time.time() - t, "updates": counts["ran"], "applied": "write" if keep_on_disk else "keep", "messages": counts["m"]})
-        if held is not None:
-            held.unpersist()
-        held = held_next
-        if not counts["m"] and not counts["awake"]:
-            report.converged = True
-            break
+    with settings(spark, spark__sql__execution__arrow__maxRecordsPerBatch=batch_vertices):
+        for superstep in range(limit):
+            t = time.time()
+            if input == "join":
+                out = _join_step(vertices, edges, messages, program, superstep, schema)
+            else:
+                out = _union_step(vertices, edges, messages, program, superstep, schema, n)
+            if not keep_on_disk and superstep % CUT_EVERY == CUT_EVERY - 1:
+                out, release_next = _written(out)
+            else:
+                out, release_next = hold(out)
+            vertices = out.where("kind = 'v'").select("id", "state", "halted")
+            messages = out.where("kind = 'm'").select(F.col("dst").alias("id"), "message")
+            if combine_sql is not None:
+                messages = messages.groupBy("id").agg(combine_sql("message").alias("message"))
+            counts = out.agg(F.count_if(F.col("kind") == "m").alias("m"), F.count_if((F.col("kind") == "v") & ~F.col("halted")).alias("awake"), F.count_if("active").alias("ran")).first()
+            report.rounds.append({"round": superstep, "seconds": time.time() - t, "updates": counts["ran"], "applied": "write" if keep_on_disk else "keep", "messages": counts["m"]})
+            release()
+            release = release_next
+            if not counts["m"] and not counts["awake"]:
+                report.converged = True
+                break
     report.phases["analysis"] = time.time() - began
-    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", batch_rows)
     began = time.time()
     result = materialize(vertices.select("id", "state"), "result").df
     report.phases["store"] = time.time() - began
-    if held is not None:
-        held.unpersist()
+    release()
     edges.unpersist()
     return result, report
 
 
+def _written(df: DataFrame):
+    """``df`` as a written table, and what drops it."""
+    table = materialize(df, "superstep")
+    return table.df, table.drop
+
+
 def _cached(df: DataFrame):
-    """``df`` kept in memory under a plan of its own, so that plans do not grow by the round; a lost part is computed again."""
+    """``df`` kept in memory under a plan of its own, so that plans do not grow by the round, and what lets it go.
+
+    A lost part is computed again, from the last written round at most (see CUT_EVERY).
+    """
     kept = df.persist(StorageLevel.MEMORY_AND_DISK)
     rows = kept._jdf.queryExecution().toRdd()
-    return DataFrame(kept.sparkSession._jsparkSession.internalCreateDataFrame(rows, kept._jdf.schema(), False), kept.sparkSession), kept
+    return DataFrame(kept.sparkSession._jsparkSession.internalCreateDataFrame(rows, kept._jdf.schema(), False), kept.sparkSession), kept.unpersist
 
 
 def _combiner(program: VertexProgram):
@@ -197,6 +211,8 @@ def _run_barrier(graph, program, weight, parts, max_supersteps) -> tuple[DataFra
     kind = dict(graph.vertices.dtypes)["id"]
     w = F.col(weight).cast("double") if weight else F.lit(1.0)
     united = graph.vertices.select("id", F.lit(None).cast(kind).alias("dst"), F.lit(0.0).alias("w")).unionByName(graph.edges.select(F.col("src").alias("id"), "dst", w.alias("w")))
+    if hasattr(program, "vector_step") and kind == "bigint":
+        return _run_vectors(united, program, parts, max_supersteps or program.max_supersteps)
     home = F.pmod(F.xxhash64("id"), F.lit(parts)).cast("int")
     table = materialize(united.withColumn("part", home), "resident").df
     places = materialize(graph.vertices.select("id", home.alias("part")), "places").df
@@ -231,8 +247,6 @@ def _run_barrier(graph, program, weight, parts, max_supersteps) -> tuple[DataFra
                         sent[dst] = [program.combine(sent[dst][0], m)]
                     else:
                         sent.setdefault(dst, []).append(m)
-            import base64
-
             packed = base64.b64encode(pickle.dumps((awake, sent))).decode()
             inbox = {}
             anyone = False
@@ -253,6 +267,66 @@ def _run_barrier(graph, program, weight, parts, max_supersteps) -> tuple[DataFra
     return result, report
 
 
+def _run_vectors(united: DataFrame, program: VertexProgram, parts: int, limit: int) -> tuple[DataFrame, RunReport]:
+    """A program's vector form in one barrier stage: a worker holds its vertices and their edges as arrays.
+
+    Workers agree once on the targets of each; in a superstep every worker sends one combined value for each of its targets.
+    """
+    began = time.time()
+    table = materialize(united, "resident").df.repartition(parts, "id")
+    seconds = {"load": time.time() - began}
+
+    def run(batches):
+        from pyspark import BarrierTaskContext
+
+        barrier = BarrierTaskContext.get()
+
+        def exchange(flag: bool, values: np.ndarray) -> tuple[bool, list[np.ndarray]]:
+            texts = barrier.allGather(("1" if flag else "0") + base64.b64encode(values.tobytes()).decode())
+            return any(x[0] == "1" for x in texts), [np.frombuffer(base64.b64decode(x[1:]), dtype=values.dtype) for x in texts]
+
+        tables = [pa.Table.from_batches([b]) for b in batches]
+        rows = pa.concat_tables(tables) if tables else pa.table({"id": pa.array([], pa.int64()), "dst": pa.array([], pa.int64()), "w": pa.array([], pa.float64())})
+        is_edge = rows["dst"].is_valid().to_numpy(zero_copy_only=False) if len(rows) else np.zeros(0, dtype=bool)
+        own = rows["id"].to_numpy()
+        ids = np.unique(own[~is_edge])
+        src, dst, w = own[is_edge], rows["dst"].to_numpy()[is_edge].astype(np.int64), rows["w"].to_numpy()[is_edge]
+        known = np.isin(src, ids)
+        src, dst, w = np.searchsorted(ids, src[known]), dst[known], w[known]
+        targets, at = np.unique(dst, return_inverse=True)
+        degree = np.bincount(src, minlength=len(ids))
+        _, wanted = exchange(True, targets)
+        places = []
+        for t in wanted:
+            place = np.minimum(np.searchsorted(ids, t), max(len(ids) - 1, 0))
+            mine = ids[place] == t if len(ids) else np.zeros(len(t), dtype=bool)
+            places.append((np.flatnonzero(mine), place[mine]))
+        state, received = program.vector_init(ids), np.full(len(ids), program.identity)
+        for superstep in range(limit):
+            state, value, sends = program.vector_step(superstep, ids, state, received, degree)
+            active = sends[src]
+            message = program.vector_message(value[src[active]], w[active])
+            if program.identity == 0.0:
+                combined = np.bincount(at[active], weights=message, minlength=len(targets)).astype(np.float64)
+            else:
+                combined = np.full(len(targets), program.identity)
+                np.minimum.at(combined, at[active], message)
+            awake, arrived = exchange(bool(active.any()), combined)
+            if not awake:
+                break
+            received = np.full(len(ids), program.identity)
+            for (k, place), values in zip(places, arrived):
+                received[place] = received[place] + values[k] if program.identity == 0.0 else np.minimum(received[place], values[k])
+        final = pa.array(state, pa.float64(), mask=~np.isfinite(state))
+        yield pa.RecordBatch.from_arrays([pa.array(ids), final], ["id", "state"])
+
+    began = time.time()
+    report = RunReport(converged=True, phases=seconds)
+    result = materialize(table.select("id", "dst", "w").mapInArrow(run, "id long, state double", barrier=True), "result").df
+    report.phases["analysis"] = time.time() - began
+    return result, report
+
+
 def register_udtfs(spark) -> None:
     """``vertex_step(TABLE(...) PARTITION BY part ORDER BY (id, kind))``: one shortest-path superstep as a table function in SQL."""
     from pyspark.sql.functions import udtf

@@ -5,22 +5,24 @@ from __future__ import annotations
 import time
 import uuid
 from collections.abc import Callable
+from contextlib import contextmanager
 
-from pyspark.sql import DataFrame, SparkSession, functions as F
+from pyspark.sql import DataFrame, SparkSession, Window as W, functions as F
 
 from tidegraph import oracle_graphs as O
-from tidegraph.baselines.engines import async_run, bsp_run, onehop_messages, row_layout, stitched
+from tidegraph.baselines.engines import async_run, bsp_run, onehop_messages, row_layout, stitched, stitched_analysis
 from tidegraph.functions import relational as R
 from tidegraph.graph import PropertyGraph
 from tidegraph.operators import labels as L, motifs as M
 from tidegraph.operators.pagerank import pagerank
 from tidegraph.operators.sssp import bfs, khop, khop_recursive_sql, multi_source, sssp, sssp_local_rounds
 from tidegraph.plans import layout, physical
+from tidegraph.plans.iterate import RunReport
 from tidegraph.plans.logical import VertexFunction, gather_apply, improves
 from tidegraph.runtime import materialize, scratch_root
 from tidegraph.sources import derived as G
 from tidegraph.vertexprog import udf
-from tidegraph.vertexprog.api import Components, Ranking, ShortestPath
+from tidegraph.vertexprog.api import Components, NeighbourOverlap, NeighbourTies, Ranking, ShortestPath
 from tidegraph.vertexprog.cf import collaborative_filtering
 from tidegraph.vertexprog.runners import run_program
 
@@ -65,20 +67,19 @@ def w_pagerank_literal(spark, d):
     return _rounded(pagerank(_g1(spark, d), sources="literal"))
 
 
-@query(f"WITH {O.G1U}, {O.pagerank('g1u', 'g1uv', 10, 'literal')} {_RANKS.format(k=10)}")
-def w_pagerank_literal_sparse(spark, d):
-    return _rounded(pagerank(G.urgent_handoff(spark, d), sources="literal"))
+@query(f"WITH {O.G3}, g3d AS (SELECT DISTINCT src, dst FROM g3), {O.pagerank('g3d', 'g3v', 10, 'literal')} {_RANKS.format(k=10)}")
+def w_pagerank_literal_events(spark, d):
+    return _rounded(pagerank(G.user_sequence(spark, d).narrow().distinct(), sources="literal"))
 
 
-@query(f"WITH {O.G1U}, {O.pagerank('g1u', 'g1uv', 10)} SELECT id, round(rank * 1000, 8) AS rank FROM r10")
+@query(f"WITH {O.G7}, {O.pagerank('g7', 'g7v', 10)} {_RANKS.format(k=10)}")
 def w_pagerank_sparse(spark, d):
-    """Ranks in thousandths; at nine digits some of these fall on a rounding edge, where the order of summing shows."""
-    return pagerank(G.urgent_handoff(spark, d)).select("id", F.round(F.col("rank") * 1000, 8).alias("rank"))
+    return _rounded(pagerank(G.replies(spark, d)))
 
 
-@query(f"WITH {O.G1U}, {O.pagerank('g1u', 'g1uv', 10, 'redistribute')} {_RANKS.format(k=10)}")
+@query(f"WITH {O.G7}, {O.pagerank('g7', 'g7v', 10, 'redistribute')} {_RANKS.format(k=10)}")
 def w_pagerank_redistribute(spark, d):
-    return _rounded(pagerank(G.urgent_handoff(spark, d), sources="redistribute"))
+    return _rounded(pagerank(G.replies(spark, d), sources="redistribute"))
 
 
 @query(f"WITH {O.G1D}, {O.pagerank('g1d', 'g1v', 3)} {_RANKS.format(k=3)}")
@@ -89,22 +90,52 @@ def w_pagerank_3(spark, d):
     return _rounded(out, "state").withColumnRenamed("state", "rank")
 
 
-@query()
+@query(f"WITH {O.G1D}, {O.pagerank('g1d', 'g1v', 60)}, {O.first_settled(60, 1e-10)} SELECT id, round(rank, 9) AS rank FROM settled")
 def w_pagerank_tolerance(spark, d):
     return _rounded(pagerank(_g1(spark, d), rounds=60, tol=1e-10))
 
 
-@query()
+@query(f"WITH {O.G1D}, {O.pagerank('g1d', 'g1v', 10, 'redistribute', start='(SELECT min(src) FROM g1d)')} {_RANKS.format(k=10)}")
 def w_pagerank_personalised(spark, d):
     g = _g1(spark, d)
     return _rounded(pagerank(g, source_ids=[_least_source(g)], sources="redistribute"))
 
 
+@query(f"WITH {O.G1}, g1v AS (SELECT c_custkey AS id FROM customer), {O.pagerank('g1', 'g1v', 10, weight='weight::DOUBLE')} {_RANKS.format(k=10)}")
+def w_pagerank_weighted(spark, d):
+    """Shares by order value over parallel edges."""
+    return _rounded(pagerank(G.handoff(spark, d).narrow("weight"), weight="weight"))
+
+
+@contextmanager
+def _bucketed(spark, graph: PropertyGraph):
+    """The graph over two bucketed and sorted copies of its edges and one of its vertices."""
+    tables = layout.write_bucketed(graph, f"copy_{uuid.uuid4().hex[:8]}", int(spark.conf.get("spark.sql.shuffle.partitions")))
+    try:
+        yield PropertyGraph(spark.table(tables["id"]), spark.table(tables["src"]).select("src", "dst"), graph.directed, graph.dst_in_vertices)
+    finally:
+        for t in tables.values():
+            spark.sql(f"DROP TABLE {t}")
+
+
+@query(f"WITH {O.G1D}, {O.pagerank('g1d', 'g1v', 10)} {_RANKS.format(k=10)}")
+def w_pagerank_bucketed(spark, d):
+    """Every round scans the copy that is bucketed by source; only sums by target move."""
+    with _bucketed(spark, _g1(spark, d)) as g:
+        return _rounded(materialize(pagerank(g, cached=False), "ranks").df)
+
+
+@query(f"WITH RECURSIVE {O.G2}, {O.levels('g2', '(SELECT min(src) FROM g2)')} SELECT v.id, d.dist FROM g2v v LEFT JOIN d USING (id)")
+def w_sssp_bucketed(spark, d):
+    with _bucketed(spark, G.co_purchase(spark, d)) as g:
+        return materialize(sssp(g, _least_source(g), cached=False)[0], "distances").df
+
+
 # Shortest paths
-_G2S_FROM = "(SELECT min(src) FROM g2s)"
+_G2_FROM = "(SELECT min(src) FROM g2)"
 
 
-@query(f"WITH RECURSIVE {O.G2S}, {O.levels('g2s', _G2S_FROM)} SELECT v.id, d.dist FROM g2sv v LEFT JOIN d USING (id)")
+@query(f"WITH RECURSIVE {O.G2}, {O.levels('g2', _G2_FROM)} SELECT v.id, d.dist FROM g2v v LEFT JOIN d USING (id)")
 def w_sssp_hops(spark, d):
     g = G.co_purchase(spark, d)
     return sssp(g, _least_source(g))[0]
@@ -137,7 +168,7 @@ def w_bfs(spark, d):
     return bfs(_g1(spark, d), 0)
 
 
-@query(f"WITH RECURSIVE {O.G2S}, {O.levels('g2s', _G2S_FROM)} SELECT v.id, d.dist FROM g2sv v LEFT JOIN d USING (id)")
+@query(f"WITH RECURSIVE {O.G2}, {O.levels('g2', _G2_FROM)} SELECT v.id, d.dist FROM g2v v LEFT JOIN d USING (id)")
 def w_sssp_grouped_exploration(spark, d):
     g = G.co_purchase(spark, d)
     return sssp_local_rounds(g, _least_source(g))[0]
@@ -148,34 +179,34 @@ def w_khop_sssp(spark, d):
     return multi_source(G.user_sequence(spark, d).narrow().distinct(), [0, 1, 2], 2)
 
 
-@query(f"WITH RECURSIVE {O.G1U}, {O.bfs('g1u', '(SELECT min(src) FROM g1u)', depth=3)} SELECT e.src, e.dst FROM g1u e JOIN d a ON a.id = e.src JOIN d b ON b.id = e.dst")
+@query(f"WITH RECURSIVE {O.G1D}, {O.bfs('g1d', '(SELECT min(src) FROM g1d)', depth=3)} SELECT e.src, e.dst FROM g1d e JOIN d a ON a.id = e.src JOIN d b ON b.id = e.dst")
 def w_khop_subgraph(spark, d):
-    g = G.urgent_handoff(spark, d)
+    g = _g1(spark, d)
     return khop(g, _least_source(g), 3).edges.select("src", "dst")
 
 
-@query(f"WITH RECURSIVE {O.G1U}, {O.bfs('g1u', '(SELECT min(src) FROM g1u)', depth=4)} SELECT id, dist FROM d")
+@query(f"WITH RECURSIVE {O.G1D}, {O.bfs('g1d', '(SELECT min(src) FROM g1d)', depth=4)} SELECT id, dist FROM d")
 def w_khop_recursive_sql(spark, d):
-    g = G.urgent_handoff(spark, d)
+    g = _g1(spark, d)
     return khop_recursive_sql(g, _least_source(g), 4)
 
 
 # Connected components
-_CC_G1U = f"WITH RECURSIVE {O.G1U}, {O.both_ways('g1u', 'b')}, {O.labels('b', 'g1uv')} SELECT id, component FROM c"
-_CC_G2S = f"WITH RECURSIVE {O.G2S}, {O.labels('g2s', 'g2sv')} SELECT id, component FROM c"
+_CC_G1 = f"WITH RECURSIVE {O.G1D}, {O.both_ways('g1d', 'b')}, {O.labels('b', 'g1v')} SELECT id, component FROM c"
+_CC_G2 = f"WITH RECURSIVE {O.G2}, {O.labels('g2', 'g2v')} SELECT id, component FROM c"
 
 
-@query(_CC_G1U)
+@query(_CC_G1)
 def w_cc(spark, d):
-    return L.connected_components(G.urgent_handoff(spark, d))[0]
+    return L.connected_components(_g1(spark, d))[0]
 
 
-@query(_CC_G1U)
+@query(_CC_G1)
 def w_cc_star(spark, d):
-    return L.connected_components_star(G.urgent_handoff(spark, d))
+    return L.connected_components_star(_g1(spark, d))
 
 
-@query(_CC_G2S)
+@query(_CC_G2)
 def w_cc_alternate(spark, d):
     return L.connected_components(G.co_purchase(spark, d), "alternate")[0]
 
@@ -190,9 +221,9 @@ def w_cc_replies(spark, d):
     return L.connected_components(G.replies(spark, d))[0]
 
 
-@query(f"WITH RECURSIVE {O.G1U}, {O.labels('g1u', 'g1uv')} SELECT id, component FROM c")
+@query(f"WITH RECURSIVE {O.G1D}, {O.labels('g1d', 'g1v')} SELECT id, component FROM c")
 def w_cc_forward(spark, d):
-    return L.connected_components(G.urgent_handoff(spark, d), "forward")[0]
+    return L.connected_components(_g1(spark, d), "forward")[0]
 
 
 @query()
@@ -210,73 +241,152 @@ def w_cc_frontier_ablation(spark, d):
 
 
 # Measures by round, phase and resource
+_ROUNDS = "algorithm string, round long, updates long, seconds double, applied string"
+
+
 def _report_rows(spark, algorithm: str, report) -> DataFrame:
-    return spark.createDataFrame([(algorithm, r["round"], r["updates"], float(r["seconds"]), r["applied"]) for r in report.rounds], "algorithm string, round long, updates long, seconds double, applied string")
+    return spark.createDataFrame([(algorithm, r["round"], r["updates"], float(r["seconds"]), r["applied"]) for r in report.rounds], _ROUNDS)
 
 
-@query(f"WITH RECURSIVE {O.G2S}, {O.levels('g2s', _G2S_FROM)}, n AS (SELECT dist AS round, count(*) AS updates FROM d WHERE dist > 0 GROUP BY dist) SELECT round, updates FROM n UNION ALL SELECT max(round) + 1, 0 FROM n")
+@query(f"WITH RECURSIVE {O.G1D}, {O.levels('g1d', '0::BIGINT')}, n AS (SELECT dist AS round, count(*) AS updates FROM d WHERE dist > 0 GROUP BY dist) SELECT round, updates FROM n UNION ALL SELECT max(round) + 1, 0 FROM n")
 def w_per_round(spark, d):
     """Updates by round of incremental shortest paths: the sizes of the levels."""
-    g = G.co_purchase(spark, d)
-    _, report = sssp(g, _least_source(g))
+    _, report = sssp(_g1(spark, d), 0)
     return _report_rows(spark, "sssp", report).select("round", "updates")
 
 
+@query(f"WITH RECURSIVE {O.G1D}, {O.levels('g1d', '0::BIGINT')}, o AS (SELECT src AS id, count(*) AS o FROM g1d GROUP BY src), n AS (SELECT d.dist, sum(coalesce(o, 0))::BIGINT AS n FROM d LEFT JOIN o USING (id) GROUP BY d.dist) SELECT dist + 1 AS round, n AS incremental, (sum(n) OVER (ORDER BY dist))::BIGINT AS full_join, (SELECT count(*) FROM g1d) AS superstep FROM n")
+def w_join_rows(spark, d):
+    """Rows that the join with edges gives by round: from changed vertices, from all reached ones, and from all vertices as the fixed plan scans them."""
+    g = _g1(spark, d)
+    dist = materialize(sssp(g, 0)[0].where("dist is not null"), "reached").df
+    out = g.edges.groupBy(F.col("src").alias("id")).agg(F.count(F.lit(1)).alias("o"))
+    level = dist.join(out, "id", "left").groupBy("dist").agg(F.sum(F.coalesce("o", F.lit(0))).alias("n"))  # a row for each level
+    every = F.broadcast(g.edges.agg(F.count(F.lit(1)).alias("superstep")))  # one row
+    below = level.withColumnRenamed("n", "m").withColumnRenamed("dist", "k")
+    summed = level.join(below, F.col("k") <= F.col("dist")).groupBy("dist", "n").agg(F.sum("m").alias("full_join"))
+    return summed.crossJoin(every).select((F.col("dist") + 1).alias("round"), F.col("n").alias("incremental"), "full_join", "superstep")
+
+
 @query()
 def w_per_round_seconds(spark, d):
-    g = G.co_purchase(spark, d)
-    return _report_rows(spark, "sssp", sssp(g, _least_source(g))[1]).unionByName(_report_rows(spark, "components", L.connected_components(g)[1]))
+    """Seconds by round of PageRank, shortest paths and components, as SQL plans and as superstep runs."""
+    g = _g1(spark, d)
+    ranks = RunReport()
+    pagerank(g, report=ranks)
+    reports = {"pagerank": ranks, "sssp": sssp(g, 0)[1], "components": L.connected_components(g)[1], "components_alternating": L.connected_components(g, "alternate")[1]}
+    reports |= {"superstep_pagerank": bsp_run(g, kind="pagerank")[1], "superstep_sssp": bsp_run(g, 0)[1], "superstep_components": bsp_run(g.symmetrised(), kind="components")[1]}
+    rows = [(name, r["round"], r["updates"], float(r["seconds"]), r["applied"]) for name, report in reports.items() for r in report.rounds]
+    return spark.createDataFrame(rows, _ROUNDS)
 
 
 @query()
 def w_cost_breakdown(spark, d):
-    """Seconds by phase of the superstep engine, the shared-memory engine and the SQL plan for shortest paths."""
-    g = G.co_purchase(spark, d)
-    s = _least_source(g)
-    rows = [("superstep", k, float(v)) for k, v in bsp_run(g, s)[1].phases.items()] + [("shared_memory", k, float(v)) for k, v in async_run(g, s)[1].phases.items()]
-    t = time.time()
-    sssp(g, s)
-    return spark.createDataFrame([*rows, ("sql", "analysis", time.time() - t)], "engine string, phase string, seconds double")
+    """Seconds by phase of the superstep engine, the shared-memory engine and the SQL plan, for the three analyses."""
+    g, rows = _g1(spark, d), []
+    both = g.symmetrised()
+    for kind in ("pagerank", "sssp", "components"):
+        graph = both if kind == "components" else g
+        for engine, run in (("superstep", bsp_run), ("shared_memory", async_run)):
+            rows += [(kind, engine, k, float(v)) for k, v in run(graph, 0, kind)[1].phases.items()]
+        t = time.time()
+        {"pagerank": lambda: pagerank(g), "sssp": lambda: sssp(g, 0), "components": lambda: L.connected_components(g)}[kind]()
+        rows.append((kind, "sql", "analysis", time.time() - t))
+    return spark.createDataFrame(rows, "analysis string, engine string, phase string, seconds double")
 
 
 @query()
 def w_io(spark, d):
-    """Bytes read, written, shuffled and spilled by stages of PageRank, and peak executor memory."""
+    """Bytes read, written, shuffled and spilled by round of PageRank, ten rounds each, as SQL plan and as superstep run."""
+    from tidegraph.functions.metrics import round_figures
+
+    g, ranks = _g1(spark, d), RunReport()
+    pagerank(g, report=ranks)
+    return round_figures(spark, "sql", ranks).unionByName(round_figures(spark, "superstep", bsp_run(g, kind="pagerank")[1]))
+
+
+@query()
+def w_memory(spark, d):
+    """Peak memory of the driver's process tree and of a task over PageRank runs of ten rounds, by engine."""
+    from tidegraph.functions.metrics import with_memory
+
+    g = _g1(spark, d)
+    runs = {"sql": lambda: pagerank(g), "superstep": lambda: bsp_run(g, kind="pagerank"), "shared_memory": lambda: async_run(g, kind="pagerank")}
+    return with_memory(spark, runs)
+
+
+@query()
+def w_cold_runs(spark, d):
+    """Three runs each after dropping what is cached, and their mean."""
     from tidegraph.functions.metrics import measured
 
-    return measured(spark, "pagerank", lambda: pagerank(_g1(spark, d), rounds=3).count())
+    g, out = _g1(spark, d), None
+    for name, run in (("pagerank", lambda: pagerank(g)), ("sssp", lambda: sssp(g, 0)), ("superstep_pagerank", lambda: bsp_run(g, kind="pagerank"))):
+        rows = measured(spark, name, run, repeats=3).select("run", "seconds")
+        out = rows if out is None else out.unionByName(rows)
+    name = F.substring_index("run", "#", 1)
+    return out.withColumn("mean_seconds", F.avg("seconds").over(W.partitionBy(name)))
 
 
 @query()
 def w_udf_breakdown(spark, d):
-    """Seconds of a vertex program with rounds on disk, and resident."""
+    """Seconds by phase of PageRank, ten rounds: table functions with rounds on disk, resident ones, the array form, and the SQL plan."""
     g = _g1(spark, d)
     n = g.vertices.count()
     rows = []
-    for kind in ("union", "join", "resident"):
-        _, report = run_program(g, Ranking(n, 3), kind)
+    for kind in ("union", "join", "resident", "barrier"):
+        _, report = run_program(g, Ranking(n, 10), kind)
         rows += [(kind, k, float(v)) for k, v in report.phases.items()]
-    return spark.createDataFrame(rows, "input string, phase string, seconds double")
+    t = time.time()
+    pagerank(g)
+    return spark.createDataFrame([*rows, ("sql", "analysis", time.time() - t)], "input string, phase string, seconds double")
 
 
 @query()
 def w_prepare(spark, d):
-    """Seconds and bytes of text edge lists and of two Parquet copies."""
+    """Seconds and bytes of text edge lists and of the two bucketed copies, by codec."""
     rows = []
-    for name, g in (("handoff", G.handoff(spark, d).narrow()), ("co_purchase", G.co_purchase(spark, d, False))):
+    for name, g in (("handoff", G.handoff(spark, d).narrow()), ("co_purchase", G.co_purchase(spark, d))):
         folder = f"{scratch_root(spark)}/prepare-{time.time_ns()}"
         t = time.time()
         g.edges.write.csv(f"{folder}/text", sep="\t")
         rows.append((name, "text", time.time() - t, layout.stored_bytes(spark, f"{folder}/text")))
-        t = time.time()
-        for end in ("src", "dst"):
-            g.edges.repartition(8, end).sortWithinPartitions(end).write.option("compression", "zstd").parquet(f"{folder}/by_{end}")
-        rows.append((name, "parquet_two_copies", time.time() - t, sum(layout.stored_bytes(spark, f"{folder}/by_{end}") for end in ("src", "dst"))))
+        for codec in ("zstd", "snappy", "none"):
+            t = time.time()
+            tables = layout.write_bucketed(g, f"prepared_{uuid.uuid4().hex[:8]}", 8, codec=codec)
+            took = time.time() - t
+            rows.append((name, f"bucketed_{codec}", took, sum(layout.table_bytes(spark, tables[end]) for end in ("src", "dst"))))
+            for x in tables.values():
+                spark.sql(f"DROP TABLE {x}")
     return spark.createDataFrame(rows, "graph string, layout string, seconds double, bytes long")
 
 
+def _datasets(spark, d) -> dict[str, PropertyGraph]:
+    return {"replies": G.replies(spark, d), "handoff": _g1(spark, d), "user_sequence": G.user_sequence(spark, d).narrow().distinct(), "trade": G.trade(spark, d), "co_purchase": G.co_purchase(spark, d)}
+
+
+@query(f"WITH {O.G7}, {O.G1D}, {O.G3}, {O.G4}, {O.G2} SELECT 'replies' AS graph, (SELECT count(*) FROM g7v) AS vertices, (SELECT count(*) FROM g7) AS edges UNION ALL SELECT 'handoff', (SELECT count(*) FROM g1v), (SELECT count(*) FROM g1d) UNION ALL SELECT 'user_sequence', (SELECT count(*) FROM g3v), (SELECT count(*) FROM (SELECT DISTINCT src, dst FROM g3)) UNION ALL SELECT 'trade', (SELECT count(DISTINCT src) + count(DISTINCT dst) FROM g4), (SELECT count(*) FROM g4) UNION ALL SELECT 'co_purchase', (SELECT count(*) FROM g2v), (SELECT count(*) FROM g2)")
+def w_datasets(spark, d):
+    """Vertices and edges of the graphs of the scale series."""
+    rows = [(name, g.vertices.count(), g.edges.count()) for name, g in _datasets(spark, d).items()]
+    return spark.createDataFrame(rows, "graph string, vertices long, edges long")
+
+
+@query()
+def w_scale_series(spark, d):
+    """Seconds of PageRank (ten rounds), shortest paths and components by SQL plan over directed graphs of growing size."""
+    rows = []
+    for name, g in _datasets(spark, d).items():
+        edges = g.edges.count()
+        for what, run in (("pagerank", lambda: pagerank(g).count()), ("sssp", lambda: sssp(g, _least_source(g))), ("components", lambda: L.connected_components_star(g).count())):
+            t = time.time()
+            run()
+            rows.append((name, edges, what, time.time() - t))
+    return spark.createDataFrame(rows, "graph string, edges long, analysis string, seconds double")
+
+
 # Vertex programs and baselines give what the SQL plans give
-_DIST2S = f"WITH RECURSIVE {O.G2S}, {O.levels('g2s', _G2S_FROM)} SELECT v.id, d.dist::DOUBLE AS dist FROM g2sv v LEFT JOIN d USING (id)"
+_DIST2 = f"WITH RECURSIVE {O.G2}, {O.levels('g2', _G2_FROM)} SELECT v.id, d.dist::DOUBLE AS dist FROM g2v v LEFT JOIN d USING (id)"
 
 
 def _program_sssp(kind: str):
@@ -287,39 +397,65 @@ def _program_sssp(kind: str):
     return run
 
 
-for _kind, _name in (("union", "w_program_sssp_union"), ("join", "w_program_sssp_join"), ("resident", "w_inmemory_sssp"), ("barrier", "w_inmemory_sssp_barrier")):
-    query(_DIST2S, _name)(_program_sssp(_kind))
+for _kind, _name in (("union", "w_program_sssp_union"), ("join", "w_program_sssp_join"), ("resident", "w_resident_sssp"), ("barrier", "w_inmemory_sssp")):
+    query(_DIST2, _name)(_program_sssp(_kind))
 
 
-@query(f"WITH {O.G1D}, {O.pagerank('g1d', 'g1v', 5)} {_RANKS.format(k=5)}")
-def w_inmemory_pagerank(spark, d):
-    g = _g1(spark, d)
-    return _rounded(run_program(g, Ranking(g.vertices.count(), 5), "resident")[0], "state").withColumnRenamed("state", "rank")
+for _kind, _name in (("barrier", "w_inmemory_pagerank"), ("resident", "w_resident_pagerank")):
+
+    @query(f"WITH {O.G1D}, {O.pagerank('g1d', 'g1v', 10)} {_RANKS.format(k=10)}", _name)
+    def _program_ranks(spark, d, kind=_kind):
+        g = _g1(spark, d)
+        return _rounded(run_program(g, Ranking(g.vertices.count(), 10), kind)[0], "state").withColumnRenamed("state", "rank")
+
+
+for _kind, _name in (("barrier", "w_inmemory_cc"), ("resident", "w_resident_cc")):
+
+    @query(f"WITH RECURSIVE {O.G2}, {O.labels('g2', 'g2v')} SELECT id, component::DOUBLE AS component FROM c", _name)
+    def _program_labels(spark, d, kind=_kind):
+        return run_program(G.co_purchase(spark, d), Components(), kind)[0].withColumnRenamed("state", "component")
+
+
+_SYMMETRIC = f"WITH {O.G1D}, {O.both_ways('g1d', 'b')}"
+
+
+@query(f"{_SYMMETRIC} {O.OVERLAP.format(e='b', t=1)}")
+def w_program_overlap(spark, d):
+    """Strong overlap as a vertex program of two supersteps."""
+    out, _ = run_program(_g1(spark, d).symmetrised(), NeighbourOverlap(1), "union")
+    return out.select(F.col("id").alias("n2"), F.explode("state").alias("x")).select(F.get("x", F.lit(0)).alias("n1"), "n2", F.get("x", F.lit(1)).alias("common"))
 
 
-@query(f"WITH RECURSIVE {O.G2S}, {O.labels('g2s', 'g2sv')} SELECT id, component::DOUBLE AS component FROM c")
-def w_inmemory_cc(spark, d):
-    return run_program(G.co_purchase(spark, d), Components(), "resident")[0].withColumnRenamed("state", "component")
+@query(f"{_SYMMETRIC} {O.TIES.format(e='b', t=100, h=2)}")
+def w_program_ties(spark, d):
+    """Weak ties as a vertex program of three supersteps."""
+    out, _ = run_program(_g1(spark, d).symmetrised(), NeighbourTies(), "union")
+    return out.where("state > 100").select("id", F.col("state").alias("pairs"))
 
 
-@query(f"WITH RECURSIVE {O.G2S}, {O.levels('g2s', _G2S_FROM)} SELECT v.id, d.dist AS value FROM g2sv v LEFT JOIN d USING (id)")
+@query(f"WITH RECURSIVE {O.G2}, {O.levels('g2', _G2_FROM)} SELECT v.id, d.dist AS value FROM g2v v LEFT JOIN d USING (id)")
 def w_superstep_sssp(spark, d):
     g = G.co_purchase(spark, d)
     return bsp_run(g, _least_source(g))[0]
 
 
-@query(f"WITH {O.G1D}, {O.pagerank('g1d', 'g1v', 3)} SELECT id, round(rank, 9) AS value FROM r3")
+@query(f"WITH {O.G1D}, {O.pagerank('g1d', 'g1v', 10)} SELECT id, round(rank, 9) AS value FROM r10")
+def w_async_pagerank(spark, d):
+    return async_run(_g1(spark, d), kind="pagerank")[0].select("id", F.round("value", 9).alias("value"))
+
+
+@query(f"WITH {O.G1D}, {O.pagerank('g1d', 'g1v', 10)} SELECT id, round(rank, 9) AS value FROM r10")
 def w_superstep_pagerank(spark, d):
-    return bsp_run(_g1(spark, d), kind="pagerank", rounds=3)[0].select("id", F.round("value", 9).alias("value"))
+    return bsp_run(_g1(spark, d), kind="pagerank", rounds=10)[0].select("id", F.round("value", 9).alias("value"))
 
 
-@query(f"WITH RECURSIVE {O.G2S}, {O.levels('g2s', _G2S_FROM)} SELECT v.id, d.dist AS value FROM g2sv v LEFT JOIN d USING (id)")
+@query(f"WITH RECURSIVE {O.G2}, {O.levels('g2', _G2_FROM)} SELECT v.id, d.dist AS value FROM g2v v LEFT JOIN d USING (id)")
 def w_async_sssp(spark, d):
     g = G.co_purchase(spark, d)
     return async_run(g, _least_source(g))[0]
 
 
-@query(f"WITH RECURSIVE {O.G2S}, {O.labels('g2s', 'g2sv')} SELECT id, component AS value FROM c")
+@query(f"WITH RECURSIVE {O.G2}, {O.labels('g2', 'g2v')} SELECT id, component AS value FROM c")
 def w_async_cc(spark, d):
     return async_run(G.co_purchase(spark, d), kind="components")[0]
 
@@ -352,7 +488,7 @@ def w_hist_pagerank(spark, d):
     return R.histogram(w_pagerank_10(spark, d), "rank", 20).select("bucket", F.round("lo", 9).alias("lo"), F.round("hi", 9).alias("hi"), "n")
 
 
-@query(f"WITH RECURSIVE {O.G2S}, {O.levels('g2s', _G2S_FROM)} SELECT dist, count(*) AS n FROM d GROUP BY dist")
+@query(f"WITH RECURSIVE {O.G2}, {O.levels('g2', _G2_FROM)} SELECT dist, count(*) AS n FROM d GROUP BY dist")
 def w_hist_distance(spark, d):
     return w_sssp_hops(spark, d).where("dist is not null").groupBy("dist").agg(F.count(F.lit(1)).alias("n"))
 
@@ -379,9 +515,9 @@ def w_time_filtered(spark, d):
     return recent.groupBy("src", "dst").agg(F.count(F.lit(1)).alias("n"), F.round(F.sum("weight").cast("double"), 2).alias("total"))
 
 
-@query(f"WITH RECURSIVE {O.G1U}, {O.both_ways('g1u', 'b')}, {O.labels('b', 'g1uv')} SELECT r_name, n_name, count(DISTINCT component) AS components, count(*) AS members FROM c JOIN customer ON c_custkey = id JOIN nation ON n_nationkey = c_nationkey JOIN region ON r_regionkey = n_regionkey GROUP BY ROLLUP (r_name, n_name)")
+@query(f"WITH RECURSIVE {O.G1D}, {O.both_ways('g1d', 'b')}, {O.labels('b', 'g1v')} SELECT r_name, n_name, count(DISTINCT component) AS components, count(*) AS members FROM c JOIN customer ON c_custkey = id JOIN nation ON n_nationkey = c_nationkey JOIN region ON r_regionkey = n_regionkey GROUP BY ROLLUP (r_name, n_name)")
 def w_post_aggregate(spark, d):
-    found = L.connected_components(G.urgent_handoff(spark, d))[0]
+    found = L.connected_components(_g1(spark, d))[0]
     places = G.table(spark, d, "customer").join(F.broadcast(G.table(spark, d, "nation")), F.col("n_nationkey") == F.col("c_nationkey")).join(F.broadcast(G.table(spark, d, "region")), F.col("r_regionkey") == F.col("n_regionkey"))  # 25 and 5 rows
     return found.join(places, F.col("id") == F.col("c_custkey")).rollup("r_name", "n_name").agg(F.count_distinct("component").alias("components"), F.count(F.lit(1)).alias("members"))
 
@@ -412,23 +548,75 @@ def w_row_vs_column(spark, d):
     return row_layout(g).subgraph(*_W9).edges.agg(F.count(F.lit(1)).alias("edges"), F.count_distinct("src").alias("sources"))
 
 
-@query(f"WITH {O.W9}, {O.pagerank('w9', 'w9v', 2)}, t AS (SELECT rank FROM r2) SELECT count(*) AS vertices, round(sum(rank), 6) AS total FROM t")
-def w_stitched(spark, d):
-    """Selection, ranking and aggregation as separate jobs over text files."""
+def _wide_handoff(spark, d) -> PropertyGraph:
+    """The hand-off graph with all generated attributes on its vertices."""
     g = G.handoff(spark, d)
-    ids = g.vertices.where(_W9[0]).select("id")
-    steps = [
-        lambda e: e.where(_W9[1]).join(ids.withColumnRenamed("id", "src"), "src", "left_semi").join(ids.withColumnRenamed("id", "dst"), "dst", "left_semi").select("src", "dst"),
-        lambda e: pagerank(PropertyGraph(ids, e, True, True), rounds=2),
-        lambda r: r.agg(F.count(F.lit(1)).alias("vertices"), F.round(F.sum("rank"), 6).alias("total")),
-    ]
-    return stitched(steps, g.edges)[0]
+    return PropertyGraph(R.with_metadata(g.vertices), g.edges, True, True)
+
+
+def _stitched(spark, d, kind: str) -> DataFrame:
+    return stitched_analysis(row_layout(_wide_handoff(spark, d)), *_W9, kind)[0]
+
+
+@query(f"WITH {O.W9}, {O.pagerank('w9', 'w9v', 10)} {_RANKS.format(k=10)}")
+def w_stitched_pagerank(spark, d):
+    """Selection by an input format over text rows, then the superstep engine, then text."""
+    return _stitched(spark, d, "pagerank").select("id", F.round("value", 9).alias("rank"))
+
+
+@query(f"WITH RECURSIVE {O.W9}, {O.levels('w9', '(SELECT min(src) FROM w9)')} SELECT v.id, d.dist FROM w9v v LEFT JOIN d USING (id)")
+def w_stitched_sssp(spark, d):
+    return _stitched(spark, d, "sssp").select("id", F.col("value").alias("dist"))
+
+
+@query(ORACLES["w_hist_pagerank"])
+def w_stitched_histogram(spark, d):
+    """The superstep engine's ranks as text, and the histogram as a job of its own over them."""
+    ranks = bsp_run(_g1(spark, d), kind="pagerank")[0].select("id", F.round("value", 9).alias("rank"))
+    bins = [lambda r: R.histogram(r, "rank", 20).select("bucket", F.round("lo", 9).alias("lo"), F.round("hi", 9).alias("hi"), "n")]
+    return stitched(bins, ranks)[0]
+
+
+@query(ORACLES["w_near_or_important"])
+def w_stitched_join(spark, d):
+    """Two superstep runs, each stored as text, and a job that joins them."""
+    g = _g1(spark, d)
+    n = g.vertices.count()
+    ranks, _ = stitched([], bsp_run(g, kind="pagerank")[0].withColumnRenamed("value", "rank"))
+    hops, _ = stitched([], bsp_run(g, 0)[0].withColumnRenamed("value", "dist"))
+    return R.near_or_important(ranks, hops, 2, 2.0 / n).select("id", "dist", F.round("rank", 9).alias("rank"))
+
+
+@query()
+def w_mixed_costs(spark, d):
+    """Seconds of selection and analysis, histogram and join: the relational plan over columns against the stitched jobs over rows."""
+    wide = _wide_handoff(spark, d)
+    columns = PropertyGraph(materialize(wide.vertices, "wide").df, materialize(wide.edges, "wide").df, True, True)
+    rows, out = row_layout(wide), []
+
+    def relational(kind):
+        g = columns.subgraph(*_W9).narrow()
+        return pagerank(g) if kind == "pagerank" else sssp(g, _least_source(g))[0]
+
+    def timed(analysis, engine, run):
+        t = time.time()
+        run()
+        out.append((analysis, engine, time.time() - t))
+
+    for kind in ("pagerank", "sssp"):
+        timed(f"selection_{kind}", "sql", lambda: relational(kind).count())
+        timed(f"selection_{kind}", "stitched", lambda: stitched_analysis(rows, *_W9, kind))
+    timed("histogram", "sql", lambda: w_hist_pagerank(spark, d).count())
+    timed("histogram", "stitched", lambda: w_stitched_histogram(spark, d).count())
+    timed("join", "sql", lambda: w_near_or_important(spark, d).count())
+    timed("join", "stitched", lambda: w_stitched_join(spark, d).count())
+    return spark.createDataFrame(out, "analysis string, engine string, seconds double")
 
 
 # One-hop analyses
-@query(f"WITH {O.G2S} {O.OVERLAP.format(e='g2s', t=4)}")
+@query(f"WITH {O.G2} {O.OVERLAP.format(e='g2', t=12)}")
 def w_strong_overlap(spark, d):
-    return M.strong_overlap(G.co_purchase(spark, d), 4)
+    return M.strong_overlap(G.co_purchase(spark, d), 12)
 
 
 @query(f"WITH {O.G5} {O.OVERLAP.format(e='g5', t=3)}")
@@ -436,42 +624,59 @@ def w_overlap_pages(spark, d):
     return M.strong_overlap(G.page_links(spark, d), 3)
 
 
-_OV = "p AS (SELECT a.src AS n1, b.src AS n2, count(*) AS common FROM g2s a JOIN g2s b ON a.dst = b.dst AND a.src < b.src GROUP BY ALL), s AS (SELECT src, count(*) AS d FROM g2s GROUP BY src), q AS (SELECT p.*, x.d AS d1, y.d AS d2 FROM p JOIN s x ON x.src = n1 JOIN s y ON y.src = n2)"
-for _m, _f, _t in (("jaccard", "common / (d1 + d2 - common)", 0.5), ("cosine", "common / sqrt(d1 * d2)", 0.7), ("min", "common / least(d1, d2)", 0.8)):
+_OV = O.PAIRS.format(e="g2") + ", s AS (SELECT src, count(*) AS d FROM g2 GROUP BY src), q AS (SELECT pairs.*, x.d AS d1, y.d AS d2 FROM pairs JOIN s x ON x.src = n1 JOIN s y ON y.src = n2)"
+for _m, _f, _t in (("jaccard", "common / (d1 + d2 - common)", 0.06), ("cosine", "common / sqrt(d1 * d2)", 0.11), ("min", "common / least(d1, d2)", 0.12)):
 
-    @query(f"WITH {O.G2S}, {_OV} SELECT n1, n2, common, round({_f}, 9) AS value FROM q WHERE {_f} > {_t}", f"w_overlap_{_m}")
+    @query(f"WITH {O.G2}, {_OV} SELECT n1, n2, common, round({_f}, 9) AS value FROM q WHERE {_f} > {_t}", f"w_overlap_{_m}")
     def _overlap(spark, d, m=_m, t=_t):
         return M.strong_overlap(G.co_purchase(spark, d), t, measure=m).select("n1", "n2", "common", F.round("value", 9).alias("value"))
 
 
-@query(f"WITH {O.G2S}, w AS (SELECT dst, 1 / ln(count(*) + 1.0) AS w FROM g2s GROUP BY dst) SELECT a.src AS n1, b.src AS n2, count(*) AS common, round(sum(w.w), 6) AS value FROM g2s a JOIN g2s b ON a.dst = b.dst AND a.src < b.src JOIN w ON w.dst = a.dst GROUP BY ALL HAVING sum(w.w) > 2")
+@query(f"WITH {O.G2}, {O.PAIRS.format(e='g2')}, w AS (SELECT n1, unnest(near[i + 1:]) AS n2, 1 / ln(len(near) + 1.0) AS w FROM firsts) SELECT n1, n2, count(*) AS common, round(sum(w), 6) AS value FROM w GROUP BY n1, n2 HAVING sum(w) > 2.6")
 def w_overlap_adamic(spark, d):
-    return M.strong_overlap(G.co_purchase(spark, d), 2, measure="adamic").select("n1", "n2", "common", F.round("value", 6).alias("value"))
+    return M.strong_overlap(G.co_purchase(spark, d), 2.6, measure="adamic").select("n1", "n2", "common", F.round("value", 6).alias("value"))
 
 
 for _form in ("anti", "left", "identity"):
 
-    @query(f"WITH {O.G2S} {O.TIES.format(e='g2s', t=20)}", "w_weak_ties" + ("" if _form == "anti" else f"_{_form}"))
+    @query(f"WITH {O.G2} {O.TIES.format(e='g2', t=6000, h=2)}", "w_weak_ties" + ("" if _form == "anti" else f"_{_form}"))
     def _ties(spark, d, form=_form):
-        return M.weak_ties(G.co_purchase(spark, d), 20, form=form)
+        return M.weak_ties(G.co_purchase(spark, d), 6000, form=form)
+
+
+@query(f"WITH {O.G1D} {O.TIES.format(e='g1d', t=60, h=1)}")
+def w_weak_ties_directed(spark, d):
+    """Pairs that no edge leads back from the end to the start of, on a directed graph."""
+    return M.weak_ties(_g1(spark, d), 60)
+
 
+@query(f"WITH {O.G1D} {O.TIES.format(e='g1d', t=60, h=1)}")
+def w_weak_ties_directed_left(spark, d):
+    return M.weak_ties(_g1(spark, d), 60, form="left")
 
-@query(f"WITH {O.G2S} SELECT count(*) AS triangles FROM ({O.TRIANGLES.format(e='g2s')})")
+
+@query(f"WITH {O.G4} {O.OVERLAP.format(e='g4', t=18)}")
+def w_overlap_trade(spark, d):
+    """Customers that share many suppliers, on the dense bipartite graph."""
+    return M.strong_overlap(G.trade(spark, d), 18)
+
+
+@query(f"WITH {O.G2} SELECT count(*) AS triangles FROM ({O.TRIANGLES.format(e='g2')})")
 def w_triangles(spark, d):
     return M.triangle_count(G.co_purchase(spark, d))
 
 
-@query(f"WITH {O.G2S} SELECT count(*) AS triangles FROM ({O.TRIANGLES.format(e='g2s')})")
+@query(f"WITH {O.G2} SELECT count(*) AS triangles FROM ({O.TRIANGLES.format(e='g2')})")
 def w_triangles_by_id(spark, d):
     return M.triangle_count(G.co_purchase(spark, d), orient="id")
 
 
-@query(f"WITH {O.G2S}, t AS ({O.TRIANGLES.format(e='g2s')}), n AS (SELECT id, count(*) AS n FROM (SELECT unnest([a, b, c]) AS id FROM t) GROUP BY id) SELECT v.id, coalesce(n.n, 0) AS triangles FROM g2sv v LEFT JOIN n USING (id)")
+@query(f"WITH {O.G2}, t AS ({O.TRIANGLES.format(e='g2')}), n AS (SELECT id, count(*) AS n FROM (SELECT unnest([a, b, c]) AS id FROM t) GROUP BY id) SELECT v.id, coalesce(n.n, 0) AS triangles FROM g2v v LEFT JOIN n USING (id)")
 def w_triangles_per_vertex(spark, d):
     return M.triangle_count(G.co_purchase(spark, d), True)
 
 
-@query(f"WITH {O.G2S}, t AS ({O.TRIANGLES.format(e='g2s')}), n AS (SELECT id, count(*) AS n FROM (SELECT unnest([a, b, c]) AS id FROM t) GROUP BY id), d AS (SELECT src AS id, count(*) AS d FROM g2s GROUP BY src) SELECT v.id, round(CASE WHEN d.d > 1 THEN 2.0 * coalesce(n.n, 0) / (d.d * (d.d - 1)) ELSE 0 END::DOUBLE, 9) AS coefficient FROM g2sv v LEFT JOIN n USING (id) LEFT JOIN d USING (id)")
+@query(f"WITH {O.G2}, t AS ({O.TRIANGLES.format(e='g2')}), n AS (SELECT id, count(*) AS n FROM (SELECT unnest([a, b, c]) AS id FROM t) GROUP BY id), d AS (SELECT src AS id, count(*) AS d FROM g2 GROUP BY src) SELECT v.id, round(CASE WHEN d.d > 1 THEN 2.0 * coalesce(n.n, 0) / (d.d * (d.d - 1)) ELSE 0 END::DOUBLE, 9) AS coefficient FROM g2v v LEFT JOIN n USING (id) LEFT JOIN d USING (id)")
 def w_clustering(spark, d):
     return _rounded(M.clustering(G.co_purchase(spark, d)), "coefficient")
 
@@ -486,36 +691,36 @@ def w_triangle_sample(spark, d):
     return M.estimated_triangles(G.co_purchase(spark, d), 0.5)
 
 
-@query(f"WITH {O.G2S} {O.OVERLAP.format(e='g2s', t=4)}")
+@query(f"WITH {O.G2} {O.OVERLAP.format(e='g2', t=12)}")
 def w_onehop_overlap(spark, d):
-    return onehop_messages(G.co_purchase(spark, d), "overlap", 4, "smaller_ids")[0]
+    return onehop_messages(G.co_purchase(spark, d), "overlap", 12, "smaller_ids")[0]
 
 
-@query(f"WITH {O.G2S} {O.TIES.format(e='g2s', t=20)}")
+@query(f"WITH {O.G2} {O.TIES.format(e='g2', t=6000, h=2)}")
 def w_onehop_ties(spark, d):
-    return onehop_messages(G.co_purchase(spark, d), "ties", 20)[0]
+    return onehop_messages(G.co_purchase(spark, d), "ties", 6000)[0]
 
 
-@query(f"WITH {O.G2S} SELECT count(*) AS triangles FROM ({O.TRIANGLES.format(e='g2s')})")
+@query(f"WITH {O.G2} SELECT count(*) AS triangles FROM ({O.TRIANGLES.format(e='g2')})")
 def w_onehop_triangles(spark, d):
     return onehop_messages(G.co_purchase(spark, d), "triangles", pruning="both")[0]
 
 
-_SENT = "s AS (SELECT src, count(*) AS d FROM g2s GROUP BY src)"
+_SENT = "s AS (SELECT src, count(*) AS d FROM g2 GROUP BY src)"
 
 
-@query(f"WITH {O.G2S}, {_SENT} SELECT 'none' AS pruning, count(*) AS messages, sum(s.d)::BIGINT AS ids_sent FROM g2s e JOIN s ON s.src = e.src UNION ALL SELECT 'smaller_ids', (SELECT count(*) FROM g2s), (SELECT count(*) FROM g2s a JOIN g2s b ON a.dst = b.dst AND a.src < b.src)")
+@query(f"WITH {O.G2}, {_SENT} SELECT 'none' AS pruning, count(*) AS messages, sum(s.d)::BIGINT AS ids_sent FROM g2 e JOIN s ON s.src = e.src UNION ALL SELECT 'smaller_ids', (SELECT count(*) FROM g2), (SELECT count(*) FROM g2 a JOIN g2 b ON a.dst = b.dst AND a.src < b.src)")
 def w_onehop_messages(spark, d):
     """Messages and ids sent, without pruning and with receivers getting smaller ids only."""
     g = G.co_purchase(spark, d)
     rows = []
     for pruning in ("none", "smaller_ids"):
-        counts = onehop_messages(g, "overlap", 4, pruning)[1]
+        counts = onehop_messages(g, "overlap", 12, pruning)[1]
         rows.append((pruning, counts["messages"], counts["ids_sent"]))
     return spark.createDataFrame(rows, "pruning string, messages long, ids_sent long")
 
 
-@query(f"WITH {O.G2S}, {_SENT} SELECT sum(d * d)::BIGINT AS ids_sent, 'over_budget' AS status FROM s")
+@query(f"WITH {O.G2}, {_SENT} SELECT sum(d * d)::BIGINT AS ids_sent, 'over_budget' AS status FROM s")
 def w_onehop_over_budget(spark, d):
     """The message form refused beyond a budget of ids."""
     _, counts = onehop_messages(G.co_purchase(spark, d), "ties", 20, budget=10)
@@ -531,7 +736,7 @@ def _ablation(**options):
     return run
 
 
-_HOPS2S = ORACLES["w_sssp_hops"]
+_HOPS2 = ORACLES["w_sssp_hops"]
 for _name, _options in {
     "full_patch": {"mode": "full", "apply": "patch"},
     "full_replace": {"mode": "full", "apply": "replace"},
@@ -544,13 +749,13 @@ for _name, _options in {
     "hint_merge": {"hint": "merge"},
     "hint_hash": {"hint": "shuffle_hash"},
 }.items():
-    query(_HOPS2S, f"w_ablation_sssp_{_name}")(_ablation(**_options))
+    query(_HOPS2, f"w_ablation_sssp_{_name}")(_ablation(**_options))
 
 
 @query(ORACLES["w_triangles"])
 def w_triangles_cost_based(spark, d):
     """Triangles as one SQL statement over an analysed, bucketed copy of the edges, in the join order the statistics give."""
-    name = f"slice_{uuid.uuid4().hex[:8]}"
+    name = f"edges_{uuid.uuid4().hex[:8]}"
     tables = layout.write_bucketed(G.co_purchase(spark, d), name, 4, by=("src",))
     physical.analyse(spark, tables["src"])
     e = tables["src"]
@@ -582,7 +787,7 @@ def w_gather_apply(spark, d):
     return gather_apply(g, g.vertices.select("id", F.col("id").alias("value")), VertexFunction(lambda v, w: v, "min", improves))
 
 
-@query(f"WITH RECURSIVE {O.G2S}, {O.levels('g2s', _G2S_FROM)} SELECT 'merge' AS join, count(dist) AS reached, sum(dist)::BIGINT AS total FROM d UNION ALL SELECT 'shuffle_hash', count(dist), sum(dist)::BIGINT FROM d UNION ALL SELECT 'broadcast', count(dist), sum(dist)::BIGINT FROM d")
+@query(f"WITH RECURSIVE {O.G2}, {O.levels('g2', _G2_FROM)} SELECT 'merge' AS join, count(dist) AS reached, sum(dist)::BIGINT AS total FROM d UNION ALL SELECT 'shuffle_hash', count(dist), sum(dist)::BIGINT FROM d UNION ALL SELECT 'broadcast', count(dist), sum(dist)::BIGINT FROM d")
 def w_superstep_join_choice(spark, d):
     """The superstep engine with its fixed merge join, and with the choices it does not make."""
     g = G.co_purchase(spark, d)
@@ -595,24 +800,26 @@ def w_superstep_join_choice(spark, d):
 
 @query()
 def w_scaleout(spark, d):
-    """Seconds of table-function runs over one part and over four."""
+    """Seconds of table-function runs on one task slot and on four: so many partitions, and shuffles of so many."""
     g = _g1(spark, d)
     n, rows = g.vertices.count(), []
-    for parts in (1, 4):
-        for name, program in (("pagerank", Ranking(n, 3)), ("sssp", ShortestPath(0))):
-            t = time.time()
-            run_program(g, program, "union", parts=parts)
-            rows.append((name, parts, time.time() - t))
-    return spark.createDataFrame(rows, "program string, parts long, seconds double")
+    for slots in (1, 4):
+        with physical.settings(spark, spark__sql__shuffle__partitions=slots, spark__sql__adaptive__coalescePartitions__parallelismFirst="false"):
+            for name, program in (("pagerank", Ranking(n, 3)), ("sssp", ShortestPath(0))):
+                t = time.time()
+                run_program(g, program, "union", parts=slots)
+                rows.append((name, slots, time.time() - t))
+    return spark.createDataFrame(rows, "program string, slots long, seconds double")
 
 
-@query(f"WITH {O.G2S}, o AS (SELECT dst AS id, count(*) AS i FROM g2s GROUP BY dst), s AS (SELECT src AS id, count(*) AS o FROM g2s GROUP BY src) SELECT sum(i * o)::BIGINT AS wedges, sum(o * o)::BIGINT AS ids_sent FROM o JOIN s USING (id)")
+@query(f"WITH {O.G2}, o AS (SELECT dst AS id, count(*) AS i FROM g2 GROUP BY dst), s AS (SELECT src AS id, count(*) AS o FROM g2 GROUP BY src) SELECT sum(i * o)::BIGINT AS wedges, sum(o * o)::BIGINT AS ids_sent FROM o JOIN s USING (id)")
 def w_predicted_wedges(spark, d):
     """Rows of a one-hop join and ids of its message form, from degrees alone."""
     return M.predicted_wedges(G.co_purchase(spark, d))
 
 
-@query()
+@query("""WITH RECURSIVE e AS MATERIALIZED (SELECT a.vec_id AS src, b.vec_id AS dst FROM embeddings a JOIN embeddings b ON a.vec_id <> b.vec_id AND list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]) >= 0.3),
+ev AS (SELECT vec_id AS id FROM embeddings), """ + O.labels("e", "ev") + " SELECT id, component FROM c")
 def w_embedding_components(spark, d):
     """Components of the vectors that are near each other."""
     return L.connected_components_star(G.embedding_neighbours(spark, d))
