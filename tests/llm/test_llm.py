@@ -140,6 +140,15 @@ def test_repeats_match_brute_force(spark):
     assert all(r.text is None or r.n_chars == len(r.text) for r in cut.values())
 
 
+def test_repeats_over_several_automata_of_a_shard(spark, monkeypatch):
+    """With small automata and streams a shard has several of each; the result is the same."""
+    monkeypatch.setattr(phrases, "SHARD_WINDOWS", 8)
+    monkeypatch.setattr(phrases, "STREAM_REGIONS", 3)
+    texts = repeated_texts()
+    got = {r.doc_id: (r.n_words, r.n_removed, r.kept_sha256) for r in phrases.remove_repeats(docs_of(spark, list(texts.values()), list(texts))).collect()}
+    assert got == brute_repeats(texts)
+
+
 def test_repeats_of_the_documents_match_brute_force(spark, tables):
     texts = {r.doc_id: r.text for r in tables["documents"].collect()}
     got = {r.doc_id: (r.n_words, r.n_removed, r.kept_sha256) for r in phrases.remove_repeats(tables["documents"]).collect()}

@@ -3,8 +3,8 @@
 Recurring passages are confirmed first: every window of words is represented by the rarest-hashed short gram in it (its
 anchor), and the words under the windows of one anchor are its region. Of regions whose anchor recurs in another text,
 equal ones become one, the windows in them are hashed whole, and those seen in two texts make up the passages, each kept
-where it first occurs. Their windows are compiled, as sequences of words, into Aho-Corasick automata sharded by anchor, and
-the regions stream through the automaton of their shard. So what is removed has been compared word by word, not by hash.
+where it first occurs. Their windows are compiled, as sequences of words, into Aho-Corasick automata sharded by anchor, several for a
+shard of many windows, and the regions stream through the automata of their shard. So what is removed has been compared word by word, not by hash.
 """
 
 from __future__ import annotations
@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame, functions as F
 from tidegraph.runtime import materialize, ship
 
 GRAM = 12
-#: Windows of passages compiled into one automaton, and regions that stream through one copy of it.
+#: Windows of passages compiled into one automaton (a shard with over twice as many has several), and regions that stream through one copy of it.
 SHARD_WINDOWS = 20_000
 STREAM_REGIONS = 20_000
 
@@ -258,20 +258,24 @@ def repeated_spans(docs: DataFrame, window: int = 50, id_col: str = "doc_id", te
             yield pa.RecordBatch.from_arrays([pa.array(docs_, pa.int64()), pa.array(shards_, pa.int32()), pa.array(out, pa.string())], ["doc_id", "shard", "text"])
 
     sharded = regions.df.withColumn("shard", shard)
+    held = materialize(sharded.select("doc_id", "first", "shard").join(confirmed.df, ["doc_id", "first"]).groupBy("shard").agg(F.ceil(F.sum(F.size("offsets")) / (2 * SHARD_WINDOWS)).cast("int").alias("parts")), "held")
+    streamed = sharded.groupBy("shard").agg(F.ceil(F.count(F.lit(1)) / STREAM_REGIONS).cast("int").alias("copies"))
+    loads = streamed.join(held.df, "shard")  # shards without a passage need no stream
     passages = sharded.join(confirmed.df, ["doc_id", "first"]).select("doc_id", "shard", "region", "offsets").mapInArrow(cut_passages, "doc_id long, shard int, text string")
-    loads = sharded.groupBy("shard").agg(F.ceil(F.count(F.lit(1)) / STREAM_REGIONS).cast("int").alias("copies"))
-    phrases = passages.join(loads, "shard").withColumn("copy", F.explode(F.sequence(F.lit(0), F.col("copies") - 1)))
-    targets = sharded.join(loads, "shard").withColumn("copy", F.pmod(F.xxhash64("doc_id", "first"), "copies").cast("int")).withColumnRenamed("region", "text")
-    columns = ["shard", "copy", "kind", "doc_id", "text"]
+    deal = lambda rows, part, copy: rows.join(loads, "shard").withColumn("part", part).withColumn("copy", copy)
+    each = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
+    phrases = deal(passages, F.pmod(F.xxhash64("text"), F.col("parts")).cast("int"), each("copies"))
+    targets = deal(sharded.withColumnRenamed("region", "text"), each("parts"), F.pmod(F.xxhash64("doc_id", "first"), "copies").cast("int"))
+    columns = ["shard", "part", "copy", "kind", "doc_id", "text"]
     lanes = phrases.withColumn("kind", F.lit(0)).select(columns).unionByName(targets.withColumn("kind", F.lit(1)).select(columns))
 
     def stream(batches):
         lane, automaton, ready = None, None, False
         for batch in batches:
             keys, sources, later, own = [], [], [], []
-            for s, c, kind, doc, text in zip(*(batch.column(i).to_pylist() for i in range(5))):
-                if (s, c) != lane:
-                    lane, automaton, ready = (s, c), Automaton(window), False
+            for *own_lane, kind, doc, text in zip(*(batch.column(i).to_pylist() for i in range(6))):
+                if own_lane != lane:
+                    lane, automaton, ready = own_lane, Automaton(window), False
                 if not kind:
                     automaton.add(doc, text)
                     continue
@@ -285,7 +289,7 @@ def repeated_spans(docs: DataFrame, window: int = 50, id_col: str = "doc_id", te
                     own.append(np.array(merged([(a, b) for a, b, source in found if source < doc]), dtype=np.int64).ravel())
             yield pa.RecordBatch.from_arrays([pa.array(keys, pa.binary()), pa.array(sources, pa.int64()), _lists(later), _lists(own)], ["region", "source", "later", "own"])
 
-    lanes = lanes.repartition("shard", "copy").sortWithinPartitions("shard", "copy", "kind", "doc_id")
+    lanes = lanes.repartition("shard", "part", "copy").sortWithinPartitions("shard", "part", "copy", "kind", "doc_id")
     hits = materialize(lanes.mapInArrow(stream, "region binary, source long, later array<long>, own array<long>"), "hits")
     # In a region's earliest document only what stands earlier still is covered, in all others all that recurs.
     keyed = suspects.df.mapInArrow(cut_regions(False), f"{places}, region binary")
@@ -296,7 +300,7 @@ def repeated_spans(docs: DataFrame, window: int = 50, id_col: str = "doc_id", te
         scanned.df.select("doc_id", "n_words", "whole_sha256", "key").join(originals.df, "key")
         .select("doc_id", "n_words", "whole_sha256", (F.col("doc_id") > F.col("original")).alias("copy"))
     )
-    for used in (recurring, flagged, regions, confirmed, hits):
+    for used in (recurring, flagged, regions, confirmed, held, hits):
         used.drop()
     return whole, spans.df, suspects.df
 
