@@ -635,5 +635,23 @@ def test_pipeline_runs_its_stages(spark, sf, tables):
     assert len(simhash.near_duplicate_groups(docs.where("length(text) > 0")).select("group_id").distinct().collect()) == docs.where("length(trim(text)) > 0").count()
 
 
+def test_pipeline_on_awkward_and_empty_tables(spark, tables, awkward, empty, tmp_path):
+    """All stages in a row, as registered: rows without an id stay, texts that are equal word for word once."""
+    import corpus_pipeline
+
+    for name, docs in (("awkward", awkward), ("empty", empty)):
+        folder = str(tmp_path / name)
+        docs.write.parquet(f"{folder}/documents.parquet")
+        for t in ("labels", "benchmark"):
+            (tables[t] if name == "awkward" else tables[t].limit(0)).write.parquet(f"{folder}/{t}.parquet")
+        out = corpus_pipeline.run(spark, folder)
+        assert out.columns == [c for c in docs.columns if c != "slot"] + ["block", "slot", "row_in_block"]
+        rows = out.collect()
+        if name == "awkward":
+            assert sorted((r.doc_id is None, r.doc_id) for r in rows if r.doc_id is not None) == [(False, i) for i in (0, 1, 2, 3, 4)] and sum(r.doc_id is None for r in rows) == 1
+        else:
+            assert not rows
+
+
 def test_every_operation_has_a_query():
     assert [n.split("_")[0] for n in queries.QUERIES] == [f"op{k}" for k in range(1, 11)]
