@@ -107,7 +107,11 @@ def khop(graph: PropertyGraph, source, hops: int, direction: str = "out") -> Pro
 
 
 def khop_recursive_sql(graph: PropertyGraph, source: int, hops: int) -> DataFrame:
-    """``(id, dist)`` within ``hops``, as one recursive SQL statement."""
+    """``(id, dist)`` within ``hops``, as one recursive SQL statement.
+
+    Each step walks on from the distinct vertices of the step before, whether or not they were met earlier, and Spark ends
+    a recursion of over ``spark.sql.cteRecursionRowLimit`` rows with an error: for few hops on graphs of moderate size; others take ``sssp``.
+    """
     edges = graph.edges.select("src", "dst").distinct()
     return graph.vertices.sparkSession.sql(
         """WITH RECURSIVE walk(id, dist) AS (
