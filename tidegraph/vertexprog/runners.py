@@ -18,6 +18,7 @@ from tidegraph.plans.iterate import RunReport
 from tidegraph.plans.physical import settings
 from tidegraph.runtime import materialize, ship
 from tidegraph.vertexprog.api import Context, VertexProgram
+from tidegraph.vertexprog.peers import Peers
 
 #: Resident state is written once in so many supersteps, which bounds what a lost executor makes others compute again.
 CUT_EVERY = 10
@@ -270,21 +271,14 @@ def _run_barrier(graph, program, weight, parts, max_supersteps) -> tuple[DataFra
 def _run_vectors(united: DataFrame, program: VertexProgram, parts: int, limit: int) -> tuple[DataFrame, RunReport]:
     """A program's vector form in one barrier stage: a worker holds its vertices and their edges as arrays.
 
-    Workers agree once on the targets of each; in a superstep every worker sends one combined value for each of its targets.
+    Workers agree once on who owns the targets of each; in a superstep a worker sends each other one combined value for
+    each target that the other owns, directly (see ``Peers``).
     """
     began = time.time()
     table = materialize(united, "resident").df.repartition(parts, "id")
     seconds = {"load": time.time() - began}
 
     def run(batches):
-        from pyspark import BarrierTaskContext
-
-        barrier = BarrierTaskContext.get()
-
-        def exchange(flag: bool, values: np.ndarray) -> tuple[bool, list[np.ndarray]]:
-            texts = barrier.allGather(("1" if flag else "0") + base64.b64encode(values.tobytes()).decode())
-            return any(x[0] == "1" for x in texts), [np.frombuffer(base64.b64decode(x[1:]), dtype=values.dtype) for x in texts]
-
         tables = [pa.Table.from_batches([b]) for b in batches]
         rows = pa.concat_tables(tables) if tables else pa.table({"id": pa.array([], pa.int64()), "dst": pa.array([], pa.int64()), "w": pa.array([], pa.float64())})
         is_edge = rows["dst"].is_valid().to_numpy(zero_copy_only=False) if len(rows) else np.zeros(0, dtype=bool)
@@ -295,28 +289,31 @@ def _run_vectors(united: DataFrame, program: VertexProgram, parts: int, limit: i
         src, dst, w = np.searchsorted(ids, src[known]), dst[known], w[known]
         targets, at = np.unique(dst, return_inverse=True)
         degree = np.bincount(src, minlength=len(ids))
-        _, wanted = exchange(True, targets)
-        places = []
-        for t in wanted:
-            place = np.minimum(np.searchsorted(ids, t), max(len(ids) - 1, 0))
-            mine = ids[place] == t if len(ids) else np.zeros(len(t), dtype=bool)
-            places.append((np.flatnonzero(mine), place[mine]))
-        state, received = program.vector_init(ids), np.full(len(ids), program.identity)
-        for superstep in range(limit):
-            state, value, sends = program.vector_step(superstep, ids, state, received, degree)
-            active = sends[src]
-            message = program.vector_message(value[src[active]], w[active])
-            if program.identity == 0.0:
-                combined = np.bincount(at[active], weights=message, minlength=len(targets)).astype(np.float64)
-            else:
-                combined = np.full(len(targets), program.identity)
-                np.minimum.at(combined, at[active], message)
-            awake, arrived = exchange(bool(active.any()), combined)
-            if not awake:
-                break
-            received = np.full(len(ids), program.identity)
-            for (k, place), values in zip(places, arrived):
-                received[place] = received[place] + values[k] if program.identity == 0.0 else np.minimum(received[place], values[k])
+        with Peers() as peers:
+            places, owned = [], []
+            for t in peers.exchange([targets] * peers.count):
+                place = np.minimum(np.searchsorted(ids, t), max(len(ids) - 1, 0))
+                mine = np.flatnonzero(ids[place] == t) if len(ids) else np.zeros(0, dtype=np.int64)
+                places.append(place[mine])
+                owned.append(mine)
+            wanted = peers.exchange(owned)  # of my targets, those that each peer owns
+            state, received = program.vector_init(ids), np.full(len(ids), program.identity)
+            for superstep in range(limit):
+                state, value, sends = program.vector_step(superstep, ids, state, received, degree)
+                active = sends[src]
+                message = program.vector_message(value[src[active]], w[active])
+                if program.identity == 0.0:
+                    combined = np.bincount(at[active], weights=message, minlength=len(targets)).astype(np.float64)
+                else:
+                    combined = np.full(len(targets), program.identity)
+                    np.minimum.at(combined, at[active], message)
+                awake = np.array([float(active.any())])
+                arrived = peers.exchange([np.concatenate([awake, combined[k]]) for k in wanted])
+                if not any(x[0] for x in arrived):
+                    break
+                received = np.full(len(ids), program.identity)
+                for place, x in zip(places, arrived):
+                    received[place] = received[place] + x[1:] if program.identity == 0.0 else np.minimum(received[place], x[1:])
         final = pa.array(state, pa.float64(), mask=~np.isfinite(state))
         yield pa.RecordBatch.from_arrays([pa.array(ids), final], ["id", "state"])
 
