@@ -183,6 +183,19 @@ def _settled(graph, edges, wanted, source, kind, report, began, max_rounds) -> D
     return state.current()
 
 
+def _volume(e: DataFrame, pruning: str):
+    """One row ``(m, s)``: messages and ids that a run sends, from the degrees, without making them.
+
+    A vertex with d neighbours, h of them above it, sends d or h lists; a receiver that gets smaller ids only, the k-th
+    neighbour from below, gets k - 1 of them.
+    """
+    ends = e.groupBy("src").agg(F.count(F.lit(1)).alias("d"), F.count_if(F.col("dst") > F.col("src")).alias("h"))
+    d, h = F.col("d"), F.col("h")
+    lists = h if pruning in ("higher_id", "both") else d
+    ids = {"none": d * d, "smaller_ids": d * (d - 1) / 2, "higher_id": h * d, "both": h * (d - h) + h * (h - 1) / 2}[pruning]
+    return ends.agg(F.coalesce(F.sum(lists), F.lit(0)).alias("m"), F.coalesce(F.sum(ids.cast("long")), F.lit(0)).alias("s")).first()
+
+
 def onehop_messages(graph: PropertyGraph, task: str, threshold: int = 0, pruning: str = "none", budget: int | None = None, allow_lossy: bool = False) -> tuple[DataFrame | None, dict]:
     """Neighbourhood analyses by messages: every vertex sends its neighbour list to its neighbours, which then compute.
 
@@ -203,7 +216,7 @@ def onehop_messages(graph: PropertyGraph, task: str, threshold: int = 0, pruning
     sent = sends.join(lists, "src").select(F.col("src").alias("via"), F.col("dst").alias("id"), "near")
     if pruning in ("smaller_ids", "both"):
         sent = sent.withColumn("near", F.filter("near", lambda x: x < F.col("id")))
-    volume = sent.agg(F.count(F.lit(1)).alias("m"), F.coalesce(F.sum(F.size("near")), F.lit(0)).alias("s")).first()
+    volume = _volume(e, pruning)
     inbox = sent.select("id", "via", F.explode("near").alias("other")).where("other <> id")
     if task == "overlap":
         counts = inbox.groupBy(F.col("other").alias("n1"), F.col("id").alias("n2")).agg(F.count(F.lit(1)).alias("common"))
