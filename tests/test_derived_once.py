@@ -3,6 +3,7 @@
 import pytest
 
 from tidegraph import workloads as W
+from tidegraph.plans.physical import settings
 from tidegraph.sources import derived as G
 
 
@@ -34,4 +35,5 @@ def test_mixed_costs_lay_out_rows_of_the_written_graph(spark, sf, monkeypatch):
 
 def test_lines_move_once_to_their_order(spark, sf):
     """Both sides of the join are one exchange, as are copies dropped; another takes the pairs."""
-    assert plan_of(G.co_purchase(spark, sf).edges).count("Exchange hashpartitioning") == 3
+    with settings(spark, spark__sql__autoBroadcastJoinThreshold=-1):
+        assert plan_of(G.co_purchase(spark, sf).edges).count("Exchange hashpartitioning") == 3
