@@ -2,6 +2,7 @@
 
 import random
 
+import numpy as np
 import pytest
 
 from tests.test_graphs import graph, values
@@ -136,3 +137,25 @@ def test_written_edges_leave_no_shuffle_files(spark):
     assert not shuffles() - before
     materialize(moved)
     assert shuffles() - before
+
+
+@pytest.mark.parametrize("measure,threshold", [("count", 5), ("jaccard", 0.25), ("cosine", 0.4), ("min", 0.5), ("adamic", 2.0)])
+def test_sources_with_counters_of_their_own(spark, monkeypatch, measure, threshold):
+    """All, those with many wedges, or none of them: a dense part beside a sparse one."""
+    import math
+
+    pairs = list(set(pairs_of(60, 900, 3))) + [(100 + k, 160 + k) for k in range(50)]
+    near, want = neighbours(pairs), {}
+    for a in near:
+        for b in near:
+            both, d, e = near[a] & near[b], len(near[a]), len(near[b])
+            n = len(both)
+            value = {"count": n, "jaccard": n / (d + e - n), "cosine": n / math.sqrt(d * e), "min": n / min(d, e), "adamic": sum(1 / math.log(len(near[x]) + 1) for x in both)}[measure]
+            if a < b and value > threshold:
+                want[a, b] = n
+    g, usual = graph(spark, pairs, directed=False), blocks._dense
+    for form in (usual, lambda per, edges, others: per >= 0, lambda per, edges, others: per < 0):
+        monkeypatch.setattr(blocks, "_dense", form)
+        assert {(r.n1, r.n2): r.common for r in M.strong_overlap(g, threshold, measure=measure).collect()} == want and len(want) > 5
+    per, edges = np.array([1000, 1000, 3]), np.array([10, 100, 2])
+    assert usual(per, edges, 2000).tolist() == [True, False, False] and not usual(per, edges, 5000).any()
