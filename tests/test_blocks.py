@@ -159,3 +159,19 @@ def test_sources_with_counters_of_their_own(spark, monkeypatch, measure, thresho
         assert {(r.n1, r.n2): r.common for r in M.strong_overlap(g, threshold, measure=measure).collect()} == want and len(want) > 5
     per, edges = np.array([1000, 1000, 3]), np.array([10, 100, 2])
     assert usual(per, edges, 2000).tolist() == [True, False, False] and not usual(per, edges, 5000).any()
+
+
+@pytest.mark.parametrize("ranges", [True, False])
+def test_cells_of_edges_hold_every_triangle_once(spark, monkeypatch, ranges):
+    import itertools
+    import random
+
+    draw = random.Random(8)
+    pairs = {(draw.randrange(40), draw.randrange(40)) for _ in range(260)}
+    monkeypatch.setattr(blocks, "BAND_EDGES", 60 if ranges else 8)
+    near = {frozenset(p) for p in pairs if p[0] != p[1]}
+    wanted = sum(all(frozenset(p) in near for p in itertools.combinations(three, 2)) for three in itertools.combinations(range(40), 3))
+    rows = blocks.edge_cells(spark.createDataFrame([*pairs, *[(b, a) for a, b in pairs], (1, None)], "src long, dst long")).collect()
+    assert sum(r["n"] for r in rows) == len(near) and all(r["i"] <= r["j"] for r in rows) and len({r["i"] for r in rows}) > 2
+    found = sum(blocks.closed_cells(a["one"], a["two"], b["one"], b["two"], c["one"], c["two"]) for a in rows for b in rows for c in rows if b["i"] == a["j"] and c["i"] == a["i"] and c["j"] == b["j"])
+    assert found == wanted > 50
