@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, functions as F
 
 from tidegraph.graph import PropertyGraph
 from tidegraph.vertexprog.api import Factors
-from tidegraph.vertexprog.runners import run_program
+from tidegraph.vertexprog.cells import RatingCells, run_factors
 
 ITEM_OFFSET = 1_000_000_000
 
@@ -17,19 +17,23 @@ def rating_graph(ratings: DataFrame) -> PropertyGraph:
     return PropertyGraph.of_edges(r.unionByName(r.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "weight")), directed=False)
 
 
-def collaborative_filtering(ratings: DataFrame, rank: int = 8, rounds: int = 10, method: str = "vertex_program") -> tuple[DataFrame, DataFrame]:
-    """``(id, factors)`` and a row ``rmse, rmse_mean``: the error of the factors and that of always predicting the mean."""
-    mean = ratings.agg(F.avg("rating").alias("m")).first()["m"] or 0.0
+def collaborative_filtering(ratings: DataFrame, rank: int = 8, rounds: int = 10, method: str = "vertex_program", cells: RatingCells | None = None) -> tuple[DataFrame, DataFrame]:
+    """``(id, factors)`` and a row ``rmse, rmse_mean``: the error of the factors and that of always predicting the mean.
+
+    Ratings are dealt out to ``cells`` unless they are already (see ``rating_cells``); the vertex program runs over these and makes no message a row.
+    """
+    cells = cells or rating_cells(ratings)
+    names = [f"f{k}" for k in range(rank)]
     if method == "mllib":
         from pyspark.ml.recommendation import ALS
 
         model = ALS(rank=rank, maxIter=rounds, userCol="user", itemCol="item", ratingCol="rating", seed=5, regParam=0.1).fit(ratings.select(F.col("user").cast("int"), F.col("item").cast("int"), "rating"))
-        factors = model.userFactors.select(F.col("id").cast("long"), F.col("features").cast("array<double>").alias("factors")).unionByName(model.itemFactors.select((F.col("id") + ITEM_OFFSET).cast("long").alias("id"), F.col("features").cast("array<double>").alias("factors")))
-        centre = 0.0
+        both = model.userFactors.select(F.col("id").cast("long"), "features").unionByName(model.itemFactors.select((F.col("id") + ITEM_OFFSET).cast("long").alias("id"), "features"))
+        states, centre = both.select("id", *[F.col("features")[k].cast("double").alias(c) for k, c in enumerate(names)]), 0.0
     else:
-        states, _ = run_program(rating_graph(ratings), Factors(rank, rounds, centre=mean), "union", "weight")
-        factors, centre = states.withColumnRenamed("state", "factors"), mean
-    dot = F.aggregate(F.zip_with("x", "y", lambda a, b: a * b), F.lit(0.0), lambda s, a: s + a)
-    joined = ratings.select("user", (F.col("item") + ITEM_OFFSET).alias("item"), "rating").join(factors.select(F.col("id").alias("user"), F.col("factors").alias("x")), "user").join(factors.select(F.col("id").alias("item"), F.col("factors").alias("y")), "item")
-    errors = joined.agg(F.sqrt(F.avg(F.pow(F.col("rating") - centre - dot, 2))).alias("rmse"), F.stddev_pop("rating").alias("rmse_mean"))
-    return factors, errors
+        states, centre = run_factors(cells, Factors(rank, rounds, centre=cells.mean)).df, cells.mean
+    return states.select("id", F.array(*names).alias("factors")), cells.errors(states, centre)
+
+
+def rating_cells(ratings: DataFrame) -> RatingCells:
+    return RatingCells(ratings.withColumn("item", F.col("item") + ITEM_OFFSET))
