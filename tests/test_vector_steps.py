@@ -39,3 +39,19 @@ def test_a_program_with_a_vector_form_is_not_stepped_by_vertex(spark, input):
     no_edges = PropertyGraph(spark.range(1, 5), spark.createDataFrame([], "src long, dst long"))
     assert {round(r["state"], 9) for r in run_program(no_edges, Told(4, 3), input)[0].collect()} == {0.0375}
     assert run_program(_graph(spark), Told(63, 2), input)[0].count() == 63
+
+
+@pytest.mark.parametrize("input", ["union", "join"])
+def test_few_edges_are_few_parts_and_listed_once(spark, monkeypatch, input):
+    """A superstep does not start a function in each of the session's shuffle partitions."""
+    seen, name = [], f"_{input}_step"
+    usual = getattr(runners, name)
+
+    def step(vertices, edges, *args):
+        seen.append((edges.rdd.getNumPartitions(), edges.columns, edges.is_cached))
+        return usual(vertices, edges, *args)
+
+    monkeypatch.setattr(runners, name, step)
+    run_program(_graph(spark), Ranking(63, 3), input)
+    columns = ["id", "edges"] if input == "join" else ["id", "dst", "w"]
+    assert len(seen) == 4 and all(x == (1, columns, True) for x in seen)
